@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import licenses, toxicity
+from . import licenses, neardup, toxicity
 from .common import table
 
 
@@ -14,6 +14,10 @@ def op2_toxicity(spark, sf_dir):
     return toxicity.query(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op3_near_duplicates(spark, sf_dir):
+    return neardup.grouped(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
     return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
 
