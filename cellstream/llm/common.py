@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -33,11 +34,43 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def staged(df: DataFrame, what: str) -> DataFrame:
-    """df written to the shared folder as Parquet and read again: cuts lineage and survives lost executors."""
+    """df written to the shared folder as Parquet and read again: cuts lineage and survives lost executors.
+
+    The exchanges of the write are let go once it is done; the files stay for later reads.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/{what}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    cleanup = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(cleanup, None)
+    if before is not None:
+        spark.conf.set(cleanup, "true")
+    try:
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        if before is not None:
+            spark.conf.set(cleanup, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._staged_path = path
+    return out
+
+
+def dropped(*tables: DataFrame) -> None:
+    """Deletes the files of staged tables that nothing will read again."""
+    for df in tables:
+        path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._staged_path)
+        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
+def numbered(docs: DataFrame, name: str = "row_id") -> DataFrame:
+    """docs with a number for each row that stays the same whenever the result is read again.
+
+    Over a plain file scan, partition and place in it give the same number each time; anything else is
+    written first.
+    """
+    plan = docs._jdf.queryExecution().optimizedPlan().toString()
+    plain = re.fullmatch(r"(Project [^\n]*\n\+- )?Relation \[[^\n]*\] parquet\s*", plan)
+    out = docs.withColumn(name, F.monotonically_increasing_id())
+    return out if plain else staged(out, "rows")
 
 
 def components(edges: DataFrame, rounds: int = 40) -> DataFrame:

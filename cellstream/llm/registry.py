@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import licenses, neardup, toxicity
+from . import licenses, neardup, substrings, toxicity
 from .common import table
 
 
@@ -18,6 +18,10 @@ def op3_near_duplicates(spark, sf_dir):
     return neardup.grouped(table(spark, sf_dir, "documents"))
 
 
+def op8_substring_dedup(spark, sf_dir):
+    return substrings.digest(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
     return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
 
