@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from . import licenses, neardup, substrings, toxicity
+import public_tokenizers
+
+from . import byte_bpe, licenses, neardup, packing, substrings, toxicity
 from .common import table
 
 
@@ -22,6 +24,14 @@ def op8_substring_dedup(spark, sf_dir):
     return substrings.digest(table(spark, sf_dir, "documents"))
 
 
+def op5_packing(spark, sf_dir):
+    return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
+def op10_byte_bpe(spark, sf_dir):
+    return byte_bpe.digests(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))
+
+
 def queries() -> dict:
     return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
 
