@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import byte_bpe, licenses, neardup, packing, substrings, toxicity
+from . import byte_bpe, licenses, neardup, packing, quality, substrings, toxicity
 from .common import table
 
 
@@ -20,6 +20,10 @@ def op3_near_duplicates(spark, sf_dir):
     return neardup.grouped(table(spark, sf_dir, "documents"))
 
 
+def op6_quality_rules(spark, sf_dir):
+    return quality.query(table(spark, sf_dir, "documents"))
+
+
 def op8_substring_dedup(spark, sf_dir):
     return substrings.digest(table(spark, sf_dir, "documents"))
 
@@ -37,4 +41,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {"op1_license_scan": licenses.oracle()}
+    return {"op1_license_scan": licenses.oracle(), "op6_quality_rules": quality.oracle()}
