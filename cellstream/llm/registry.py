@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import byte_bpe, licenses, neardup, packing, quality, substrings, toxicity
+from . import byte_bpe, licenses, neardup, neighbours, packing, quality, substrings, toxicity
 from .common import table
 
 
@@ -24,6 +24,10 @@ def op6_quality_rules(spark, sf_dir):
     return quality.query(table(spark, sf_dir, "documents"))
 
 
+def op7_nearest_neighbours(spark, sf_dir):
+    return neighbours.query(table(spark, sf_dir, "embeddings"))
+
+
 def op8_substring_dedup(spark, sf_dir):
     return substrings.digest(table(spark, sf_dir, "documents"))
 
