@@ -102,15 +102,18 @@ def prefix_pairs(members: DataFrame, sets: DataFrame, share=SHARE) -> DataFrame:
     """Pairs of members of different components that share a shingle of both prefixes: exact for the threshold.
 
     In the order rarest first, two sets that meet the threshold share one of the first n - ceil(n * share) + 1
-    shingles of each. Within a shingle, a component's members stand one by one only against other components.
+    shingles of each, and so early that enough are left (positional filter). Within a shingle, a component's members stand one by one only against other components.
     """
     rows = sets.join(members.select("doc_id", "root").distinct(), "doc_id").select("doc_id", "root", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
     frequency = rows.groupBy("s").agg(F.count(F.lit(1)).alias("f"), F.min("root").alias("lo"), F.max("root").alias("hi"))
     ordered = rows.join(frequency, "s").groupBy("doc_id", "root", "n").agg(F.array_sort(F.collect_list(F.struct("f", "s", "lo", "hi"))).alias("o"))
-    first = ordered.select("doc_id", "root", "n", F.explode(F.slice("o", F.lit(1), (F.col("n") - F.ceil(F.col("n") * share[0] / share[1]) + 1).cast("int"))).alias("x"))
-    first = first.where("x.lo <> x.hi").select("doc_id", "root", "n", F.col("x.s").alias("s"))
+    prefix = F.slice("o", F.lit(1), (F.col("n") - F.ceil(F.col("n") * share[0] / share[1]) + 1).cast("int"))
+    first = ordered.select("doc_id", "root", "n", F.posexplode(prefix).alias("at", "x"))
+    first = first.where("x.lo <> x.hi").select("doc_id", "root", "n", "at", F.col("x.s").alias("s"))
     l, r = first.alias("l"), first.alias("r")
-    fits = (F.least("l.n", "r.n") * share[1] >= F.greatest("l.n", "r.n") * share[0]) & (F.col("l.root") < F.col("r.root"))
+    # What two sets can share if this is the first shingle that they share; for a later one the first has spoken.
+    most = F.least(F.col("l.n") - F.col("l.at"), F.col("r.n") - F.col("r.at"))
+    fits = (F.col("l.root") < F.col("r.root")) & ((share[0] + share[1]) * most >= share[0] * (F.col("l.n") + F.col("r.n")))
     return l.join(r, (F.col("l.s") == F.col("r.s")) & fits).select(F.col("l.doc_id").alias("a"), F.col("r.doc_id").alias("b")).distinct()
 
 
