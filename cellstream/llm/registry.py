@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 
-from . import byte_bpe, licenses, neardup, neighbours, packing, pages, quality, substrings, toxicity
+from . import byte_bpe, language_model, licenses, neardup, neighbours, packing, pages, quality, substrings, toxicity
 from .common import table
 
 
@@ -32,6 +32,10 @@ def op8_substring_dedup(spark, sf_dir):
     return substrings.digest(table(spark, sf_dir, "documents"))
 
 
+def op4_language_model(spark, sf_dir):
+    return language_model.query(table(spark, sf_dir, "documents"))
+
+
 def op5_packing(spark, sf_dir):
     return packing.pack(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
