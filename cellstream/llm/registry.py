@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
 import public_tokenizers
 
 from . import byte_bpe, language_model, licenses, neardup, neighbours, packing, pages, quality, substrings, toxicity
@@ -49,7 +50,8 @@ def op10_byte_bpe(spark, sf_dir):
 
 
 def queries() -> dict:
-    return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
+    found = {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
+    return found | {"pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict:
