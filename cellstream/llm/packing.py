@@ -24,40 +24,57 @@ SEQUENCE, CLOSE, SPECIAL = 1024, 0, "<|endoftext|>"
 PART = 100_000
 
 
+def byte_ranks(path: str) -> dict[bytes, int]:
+    """The vocabulary of a byte-level tokenizer file as bytes and ids; its ids are in the order of its merges."""
+    import json
+
+    from tokenizers.pre_tokenizers import ByteLevel
+
+    with open(path, encoding="utf-8") as f:
+        vocabulary = json.load(f)["model"]["vocab"]
+    # The file writes bytes as printable characters: printable Latin-1 as themselves, the rest from 256 on, in order.
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in shown]
+    back = {chr(b): b for b in shown} | {chr(256 + k): b for k, b in enumerate(rest)}
+    assert set(back) == set(ByteLevel.alphabet())
+    return {bytes(back[c] for c in token): i for token, i in vocabulary.items() if token != SPECIAL}
+
+
 def encoder(path: str):
-    """A function from texts to little-endian unsigned 32-bit ids; ids of slices seen lately are kept."""
-    import os
+    """A function from texts to little-endian unsigned 32-bit ids; ids of slices seen lately are kept.
+
+    Slices that are new are encoded with the tokenizer's vocabulary by the faster of the installed libraries;
+    texts that hold the special token go through the tokenizer itself.
+    """
+    from array import array
 
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    import numpy as np
+    import public_tokenizers
+    import tiktoken
     from tokenizers import Tokenizer
 
     from .byte_bpe import slices
 
     own = Tokenizer.from_file(path)
-    kept: dict[str, bytes] = {}
-    packed = lambda ids: np.array(ids, "<u4").tobytes()
-
-    def encode(texts: list) -> list[bytes]:
-        out = []
-        for text in texts:
-            if not text:
-                out.append(b"")
-                continue
-            if SPECIAL in text:  # the tokenizer's own rule for its special token
-                out.append(packed(own.encode(text, add_special_tokens=False).ids))
-                continue
-            found = slices(text)
-            try:
-                out.append(b"".join([kept[x] for x in found]))
-            except KeyError:
-                if len(kept) > 300_000:
-                    kept.clear()
-                new = list(set(found).difference(kept))
-                got = dict(zip(new, (packed(e.ids) for e in own.encode_batch_fast(new, add_special_tokens=False))))
-                kept.update((k, v) for k, v in got.items() if len(k) <= 256)
-                out.append(b"".join([kept.get(x) or got[x] for x in found]))
-        return out
+    fast = tiktoken.Encoding("packing", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_ranks(path), special_tokens={}).encode_ordinary
+    packed = lambda ids: array("I", ids).tobytes()
+
+    class Kept(dict):
+        def __missing__(self, piece: str) -> bytes:
+            if len(self) >= 300_000:
+                self.clear()
+            found = packed(fast(piece))
+            if len(piece) <= 256:
+                self[piece] = found
+            return found
+
+    kept = Kept()
+
+    def encode(text: str | None) -> bytes:
+        if not text:
+            return b""
+        if SPECIAL in text:  # the tokenizer's own rule for its special token
+            return packed(own.encode(text, add_special_tokens=False).ids)
+        return b"".join(map(kept.__getitem__, slices(text)))
 
     return encode
 
@@ -74,7 +91,7 @@ def pieces(docs: DataFrame, path: str, sequence: int = SEQUENCE) -> DataFrame:
         for batch in batches:
             out = ([], [], [], [], [])
             for doc_id, text in zip(batch.column("doc_id"), batch.column("text")):
-                doc_id, ids = doc_id.as_py(), encode([text.as_py()])[0] + close
+                doc_id, ids = doc_id.as_py(), encode(text.as_py()) + close
                 n = len(ids) // 4
                 for at in range(0, n, sequence):
                     part = ids[4 * at : 4 * (at + sequence)]
