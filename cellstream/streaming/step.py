@@ -57,7 +57,7 @@ def advance(state: Snapshot, cells: DataFrame, scales: DataFrame | None, spec: T
             r = batch.column("r").to_numpy(zero_copy_only=False)
             for n in range(len(factors) + 1):
                 h = kernel.rows(factors, idx, n) * w if n < len(factors) else kernel.rows(factors, idx)
-                np.add.at(sums[n], idx[:, n] if n < len(factors) else 0, np.c_[r[:, None] * h, (h * h).sum(1)])
+                np.add.at(sums[n], idx[:, n] if n < len(factors) else np.zeros(len(r), np.int64), np.c_[r[:, None] * h, (h * h).sum(1)])
         if seen:
             for n, s in enumerate(sums):
                 on = np.flatnonzero(np.abs(s).sum(1))
