@@ -87,26 +87,56 @@ def slices(text: str) -> list[str]:
     return [text[a:b] for a, b in zip(at, at[1:])]
 
 
+class Merger:
+    """Ids of single slices by a table of ranks, in which a merged token's id is its rank.
+
+    The adjacent pair of the lowest rank is merged first, the leftmost of equals. What a pair of ids merges to
+    is kept, at most `most` pairs.
+    """
+
+    NONE = 1 << 30
+
+    def __init__(self, ranks: dict[bytes, int], most: int = 500_000):
+        self.ranks, self.most = ranks, most
+        self.bytes_of = {i: b for b, i in ranks.items()}
+        self.single = [ranks[bytes([b])] for b in range(256)]
+        self.pairs: dict[int, int] = {}
+
+    def pair(self, a: int, b: int) -> int:
+        key = a << 20 | b
+        found = self.pairs.get(key)
+        if found is None:
+            if len(self.pairs) >= self.most:
+                self.pairs.clear()
+            self.pairs[key] = found = self.ranks.get(self.bytes_of[a] + self.bytes_of[b], self.NONE)
+        return found
+
+    def __call__(self, piece: bytes) -> list[int]:
+        whole = self.ranks.get(piece)
+        if whole is not None:
+            return [whole]
+        if len(piece) > LONG:
+            return merge_long([piece[i : i + 1] for i in range(len(piece))], self.ranks)
+        ids = [self.single[b] for b in piece]
+        pair, none = self.pair, self.NONE
+        ranks = list(map(pair, ids, ids[1:]))
+        while ranks:
+            low = min(ranks)
+            if low == none:
+                break
+            i = ranks.index(low)
+            ids[i] = low
+            del ids[i + 1], ranks[i]
+            if i:
+                ranks[i - 1] = pair(ids[i - 1], low)
+            if i < len(ranks):
+                ranks[i] = pair(low, ids[i + 1])
+        return ids
+
+
 def merge(piece: bytes, ranks: dict) -> list[int]:
-    """Ids of one slice: the adjacent pair of the lowest rank is merged first, the leftmost of equals."""
-    if piece in ranks:
-        return [ranks[piece]]
-    parts = [piece[i : i + 1] for i in range(len(piece))]
-    if len(parts) > LONG:
-        return merge_long(parts, ranks)
-    get = ranks.get
-    pair = [get(a + b) for a, b in zip(parts, parts[1:])]
-    while True:
-        low = min((r for r in pair if r is not None), default=None)
-        if low is None:
-            return [ranks[p] for p in parts]
-        i = pair.index(low)
-        parts[i : i + 2] = [parts[i] + parts[i + 1]]
-        del pair[i]
-        if i:
-            pair[i - 1] = get(parts[i - 1] + parts[i])
-        if i < len(pair):
-            pair[i] = get(parts[i] + parts[i + 1])
+    """Ids of one slice, for a single call."""
+    return Merger(ranks)(piece)
 
 
 def merge_long(parts: list, ranks: dict) -> list[int]:
@@ -142,7 +172,8 @@ class Coder:
 
     def __init__(self, path: str):
         self.ranks = load_ranks(path)
-        self.bytes_of = {i: b for b, i in self.ranks.items()}
+        self.merge = Merger(self.ranks)
+        self.bytes_of = self.merge.bytes_of
         self.kept: dict[str, tuple] = {}
 
     def entry(self, piece: str) -> tuple:
@@ -151,14 +182,14 @@ class Coder:
         if found is None:
             if len(self.kept) >= KEPT:
                 self.kept.clear()
-            ids = merge(piece.encode("utf-8", "surrogatepass"), self.ranks)
+            ids = self.merge(piece.encode("utf-8", "surrogatepass"))
             found = len(ids), "".join(f"{i}," for i in ids), b"".join(map(self.bytes_of.__getitem__, ids))
             if len(piece) <= 256:
                 self.kept[piece] = found
         return found
 
     def encode(self, text: str | None) -> list[int]:
-        return [i for p in slices(text or "") for i in merge(p.encode("utf-8", "surrogatepass"), self.ranks)]
+        return [i for p in slices(text or "") for i in self.merge(p.encode("utf-8", "surrogatepass"))]
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))
@@ -166,7 +197,7 @@ class Coder:
     def offsets(self, text: str | None) -> list[tuple[int, int, list[int]]]:
         """(start, end, ids) of each slice, in code points of the text."""
         at = boundaries(text or "").tolist()
-        return [(a, b, merge(text[a:b].encode("utf-8", "surrogatepass"), self.ranks)) for a, b in zip(at, at[1:])]
+        return [(a, b, self.merge(text[a:b].encode("utf-8", "surrogatepass"))) for a, b in zip(at, at[1:])]
 
 
 def digests(docs: DataFrame, path: str) -> DataFrame:
