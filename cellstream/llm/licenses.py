@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from .common import lower_ascii
 
 SEPARATORS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-THRESHOLD = 0.8
+THRESHOLD = 0.9
 
 # The phrases that count as places, and their labels.
 PHRASES = {
