@@ -593,3 +593,96 @@ def q5_scalability(s, d):
 
     rows = [(n, experiments.scalability(n, 45)["art"]) for n in (2_000, 4_000, 8_000, 16_000)]
     return s.createDataFrame(rows, "cells int, seconds_a_step double")
+
+
+@query("b3_step", f"""{_with()}, c AS (SELECT i1, i2, y / 100 AS y, cos((i1 + 1) * 0.3) AS u, cos((i2 + 1) * 0.5) AS v FROM cells WHERE t = 40), w AS (SELECT sum(u * v * y) / (sum((u * v) ** 2) + 0.001) AS w FROM c),
+n AS (SELECT sqrt(sum(cos((j + 1) * 0.3) ** 2)) AS n FROM range(25) r(j)), s AS (SELECT i1, sum((v * w) ** 2) AS g, sum(y * v * w) AS c FROM c, w GROUP BY i1)
+SELECT i AS idx, round((coalesce(c, 0) + 0.001 * cos((i + 1) * 0.3) * greatest(n - 0.01, 0) / n) / (coalesce(g, 0) + 0.001 + 1e-9), 6) + 0.0 AS u FROM range(25) r(i) LEFT JOIN s ON i1 = i, n""")
+def b3_step(s, d):
+    m, idx, y = _one_step(s, d, methods.MultiAspectStream(TensorSpec((25, 25), 12, 1), inner=1))
+    m.feed(idx, y)
+    return s.createDataFrame([(i, round(float(x), 6) + 0.0) for i, x in enumerate(m.factors[0][:, 0])], "idx long, u double")
+
+
+@query("b6_step", f"""{_with('orders_day')}, x AS (SELECT (a.i * 5 + b.i) AS idx, coalesce(y, 0) AS x, cos((a.i * 5 + b.i + 1) * 0.2) AS u, cos(3 * 0.4) AS c FROM range(5) a(i) CROSS JOIN range(5) b(i) LEFT JOIN cells ON i1 = a.i AND i2 = b.i AND t = 100)
+SELECT idx, round(u + 0.3 * (x - u * c) * c / (c * c) / 2, 6) + 0.0 AS u, round(c + 0.3 * (SELECT sum(u * (x - u * c)) / sum(u * u) FROM x), 6) + 0.0 AS c FROM x""")
+def b6_step(s, d):
+    m = methods.SeasonalStreamMf(TensorSpec((5, 5), 7, 1), zero_fill=True)
+    m.history, m.t = None, 99
+    m.u = np.cos((np.arange(25)[:, None] + 1) * 0.2)
+    m.c = np.cos((np.arange(7)[:, None] + 1) * 0.4)
+    rows = _cube(s, d, "orders_day").where("t = 100").toPandas()  # one slice
+    m.feed(rows[["i1", "i2"]].to_numpy(np.int64), rows["y"].to_numpy())
+    return s.createDataFrame([(i, round(float(u), 6) + 0.0, round(float(m.c[2, 0]), 6) + 0.0) for i, u in enumerate(m.u[:, 0])], "idx long, u double, c double")
+
+
+@query("b7_forecast", _fold_sql() + " SELECT key, i AS i1, h, round(cos((i + 1) * 0.3) * (level + h * trend + season[(h - 1) % 7 + 1]), 6) + 0.0 AS x_hat FROM st, range(1, 8) r(h), range(5) q(i) WHERE k = len(ys)")
+def b7_forecast(s, d):
+    """Forecast of a time column times a static factor's rows."""
+    rows = _state(s, d).select("key", "st", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(7).cast("long"))).alias("h"))
+    u = s.range(5).select(F.col("id").alias("i1"), F.cos((F.col("id") + 1) * 0.3).alias("u"))
+    return rows.crossJoin(F.broadcast(u)).select("key", "i1", "h", r6(F.col("u") * lts.forecast(F.col("st"), F.col("h"), 7)).alias("x_hat"))
+
+
+# ---- many online steps of a rank-one stream of orders by priority and month, from a given state
+
+_R1 = """WITH RECURSIVE cells AS (SELECT list_position(['1-URGENT','2-HIGH','3-MEDIUM','4-NOT SPECIFIED','5-LOW'], o_orderpriority) AS i, (year(o_orderdate) - 1995) * 12 + month(o_orderdate) - 1 AS t, count(*) / 100 AS y FROM orders GROUP BY ALL),
+g AS (SELECT t, list(y ORDER BY i) AS ys FROM (SELECT a.t, b.i, y FROM range(60) a(t) CROSS JOIN range(1, 6) b(i) LEFT JOIN cells ON cells.t = a.t AND cells.i = b.i) GROUP BY t),
+st AS (SELECT -1::BIGINT AS t, [1.0, 0.9, 0.8, 0.7, 0.6]::DOUBLE[] AS u, 0.4::DOUBLE AS level, 0.01::DOUBLE AS trend, list_transform(range(12), lambda k: 0.02 * cos(k + 1))::DOUBLE[] AS season, list_transform(range(12), lambda k: 0.4 + 0.01 * k)::DOUBLE[] AS ring, list_transform(range(5), lambda k: 0.01)::DOUBLE[] AS s2, 0::DOUBLE AS w
+UNION ALL SELECT t + 1, un, ln, 0.1 * (ln - level) + 0.9 * trend, season[2:] || [0.2 * (wn - base) + 0.8 * season[1]], ring[2:] || [wn], sn, wn FROM (
+ SELECT *, 0.3 * (wn - season[1]) + 0.7 * base AS ln FROM (SELECT *, wh + 0.2 * (list_sum(list_transform(range(1, 6), lambda i: coalesce(r[i] * u[i], 0))) + 0.1 * (ring[12] - wh) + 0.2 * (ring[1] - wh)) / (list_sum(list_transform(range(1, 6), lambda i: CASE WHEN ys[i] IS NULL THEN 0 ELSE u[i] ** 2 END)) + 0.1 + 0.2) AS wn,
+  list_transform(range(1, 6), lambda i: u[i] + CASE WHEN ys[i] IS NULL THEN 0 ELSE 0.2 * r[i] * wh / (wh * wh) END) AS un,
+  list_transform(range(1, 6), lambda i: CASE WHEN ys[i] IS NULL THEN s2[i] ELSE s2[i] * (0.95 + 0.05 * CASE WHEN abs(z[i]) <= 2 THEN 2.52 * (1 - (1 - (z[i] / 2) ** 2) ** 3) ELSE 2.52 END) END) AS sn
+  FROM (SELECT *, list_transform(range(1, 6), lambda i: greatest(least(z[i], 2), -2) * sqrt(s2[i])) AS r FROM (SELECT *, list_transform(range(1, 6), lambda i: (ys[i] - u[i] * wh) / sqrt(s2[i])) AS z FROM (
+   SELECT st.*, ys, level + trend AS base, level + trend + season[1] AS wh FROM st JOIN g ON g.t = st.t + 1))))))
+SELECT t, round(w, 6) AS w, round(level, 6) AS level, round(u[1], 6) AS u1, round(u[5], 6) AS u5, round(s2[3], 6) AS s3 FROM st WHERE t >= 0"""
+
+
+@query("online_r1_recursive", _R1)
+def online_r1_recursive(s, d):
+    o = load(s, d, "orders").select(cubes.code("o_orderpriority", cubes.PRIORITIES).alias("i1"), ((F.year("o_orderdate") - 1995) * 12 + F.month("o_orderdate") - 1).alias("t"))
+    cells = o.where("t < 60").groupBy("i1", "t").agg((F.count(F.lit(1)) / 100).alias("y"))
+    hp = HyperParams(lambda1=0.1, lambda2=0.2, lambda3=10.0, mu=0.1, phi=0.05)
+    one = lambda x: np.array([x])
+    season = 0.02 * np.cos(np.arange(12) + 1)[:, None]
+    state = Snapshot([np.array([[1.0], [0.9], [0.8], [0.7], [0.6]])], SeasonState(one(0.4), one(0.01), season, one(0.3), one(0.1), one(0.2)), (0.4 + 0.01 * np.arange(12))[:, None], -1)
+
+    def go(pdf):
+        import pandas as pd
+
+        now, out = state.copy(), []
+        by = {t: g for t, g in pdf.groupby("t")}
+        for t in range(60):
+            g = by.get(t)
+            idx, y = (g[["i1"]].to_numpy(np.int64), g["y"].to_numpy()) if g is not None else (np.empty((0, 1), np.int64), np.empty(0))
+            now, _ = kernel.advance(now, idx, y, hp)
+            out.append((t, now.ring[t % 12][0], now.season.level[0], now.factors[0][0, 0], now.factors[0][4, 0], now.scales.get((2,), 0.01)))
+        return pd.DataFrame(out, columns=["t", "w", "level", "u1", "u5", "s3"])
+
+    run = cells.withColumn("stream", F.lit(0)).groupBy("stream").applyInPandas(go, "t long, w double, level double, u1 double, u5 double, s3 double")  # one short stream
+    return run.select("t", *[F.round(c, 6).alias(c) for c in ("w", "level", "u1", "u5", "s3")])
+
+
+@query("rank_choice")
+def rank_choice(s, d):
+    """Running error by rank on the planted daily orders shape, each rank in a task of its own."""
+    from . import experiments
+
+    def go(pdf):
+        import pandas as pd
+
+        got = experiments.rank_choice("flow_month", 1, [int(pdf["rank"].iloc[0])])
+        return pd.DataFrame(got.items(), columns=["rank", "rae"])
+
+    return s.createDataFrame([(r,) for r in experiments.RANKS], "rank int").groupBy("rank").applyInPandas(go, "rank int, rae double")
+
+
+for _name in ("impute", "outliers"):
+
+    @query(f"op_udtf_{_name}")
+    def _table_function(s, d, name=_name):
+        from . import sql
+
+        sql.register(s)
+        _cube(s, d, "sensor_hour").select(F.lit("sensor").alias("tensor_id"), "i1", "i2", "t", F.log2(1 + F.col("y")).alias("y")).createOrReplaceTempView("sensor_cells")
+        return s.sql(f"SELECT * FROM tensor_{name}(TABLE(SELECT i1, i2, t, y, tensor_id FROM sensor_cells) PARTITION BY tensor_id ORDER BY (t), '16,5', 24, 2, 0)")
