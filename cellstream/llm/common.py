@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import re
+import shutil
 import tempfile
 import uuid
 
@@ -30,6 +32,7 @@ def shared_dir(spark: SparkSession) -> str:
         return named
     if not _own_dir:
         _own_dir.append(tempfile.mkdtemp(prefix="cellstream-"))
+        atexit.register(shutil.rmtree, _own_dir[0], ignore_errors=True)
     return f"file://{_own_dir[0]}"
 
 
@@ -61,6 +64,14 @@ def dropped(*tables: DataFrame) -> None:
         path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
+def free_name(df: DataFrame, name: str) -> str:
+    """name, or one like it that df has no column of."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
+
+
 def numbered(docs: DataFrame, name: str = "row_id") -> DataFrame:
     """docs with a number for each row that stays the same whenever the result is read again.
 
@@ -92,7 +103,8 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
     now = staged(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct(), "links")
     sign = None
     for _ in range(rounds):
-        now = staged(hung(hung(now, True), False), "links")
+        before, now = now, staged(hung(hung(now, True), False), "links")
+        dropped(before)
         new = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if tuple(new) == sign:
             break

@@ -116,7 +116,9 @@ def query(docs: DataFrame) -> DataFrame:
 
 def filtered(docs: DataFrame) -> DataFrame:
     """The rows of docs that are kept, with the columns of docs."""
-    return judged(docs.select("*")).where("kept").select(docs.columns)
+    aside = {c: c if c in ("text", "lang", "source") else f"own_{i}" for i, c in enumerate(docs.columns)}
+    rows = docs.select([F.col(c).alias(a) for c, a in aside.items()])  # so that no name clashes with a count's
+    return judged(rows).where("kept").select([F.col(a).alias(c) for c, a in aside.items()])
 
 
 def oracle() -> str:
