@@ -131,11 +131,19 @@ def repeated_windows(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR)
     each = mixed.select("anchor", "kind", "times", F.posexplode("hashes").alias("i", "hash"))
     twice = each.groupBy("anchor", "hash").agg(F.sum("times").alias("n")).where("n > 1").select("anchor", "hash")
     offsets = each.join(twice, ["anchor", "hash"]).groupBy("anchor", "kind").agg(F.collect_set("i").alias("offsets"))
-    judged = mixed.select("anchor", "kind").join(offsets, ["anchor", "kind"], "left").select("anchor", "kind", F.coalesce("offsets", F.array().cast("array<int>")).alias("offsets"))
-    runs = found.select("row_id", "start", F.size("hashes").alias("size"), "anchor", "kind").join(judged, ["anchor", "kind"], "left")
+    judged = mixed.select("anchor", "kind", "times").join(offsets, ["anchor", "kind"], "left").select("anchor", "kind", "times", F.coalesce("offsets", F.array().cast("array<int>")).alias("offsets"))
+    judged = common.staged(judged, "judged")
+    # An array that holds more than a thousandth of all rows is one of a thousand at most; these few are broadcast,
+    # so that a passage in a third of all documents does not send its rows to one task.
+    common_one = F.col("times") * 1000 > found.count()
+    hot = judged.where(common_one).select("anchor", "kind", F.col("offsets").alias("hot"))
+    runs = found.select("row_id", "start", F.size("hashes").alias("size"), "anchor", "kind").join(F.broadcast(hot), ["anchor", "kind"], "left")
+    rest = runs.where("hot is null").join(judged.where(~common_one).select("anchor", "kind", "offsets"), ["anchor", "kind"], "left")
+    columns = ["row_id", "start", "size", "offsets"]
+    runs = runs.where("hot is not null").withColumnRenamed("hot", "offsets").select(columns).unionByName(rest.select(columns))
     runs = runs.where("offsets is null or size(offsets) > 0")
     out = common.staged(runs.groupBy("row_id").agg(F.collect_list(F.struct("start", "size", "offsets")).alias("runs")), "runs")
-    common.dropped(found, mixed)
+    common.dropped(found, mixed, judged)
     return out
 
 
@@ -151,11 +159,13 @@ def removed(runs: list | None, width: int, n: int):
     return np.cumsum(edge[:n]) > 0
 
 
-def marked(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR) -> DataFrame:
-    """docs with the column repeated_runs (null: nothing repeated)."""
-    rows = common.numbered(docs)
-    runs = repeated_windows(rows.select("row_id", "text"), width, anchor).withColumnRenamed("runs", "repeated_runs")
-    return rows.join(runs, "row_id", "left").select(*docs.columns, "repeated_runs")
+def marked(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR) -> tuple[DataFrame, str]:
+    """docs with one more column of repeated runs (null: nothing repeated), and that column's name."""
+    row, runs = common.free_name(docs, "row_id"), common.free_name(docs, "repeated_runs")
+    rows = common.numbered(docs, row)
+    found = repeated_windows(rows.select(F.col(row).alias("row_id"), "text"), width, anchor)
+    found = found.select(F.col("row_id").alias(row), F.col("runs").alias(runs))
+    return rows.join(found, row, "left").select(*docs.columns, runs), runs
 
 
 def digest(docs: DataFrame, width: int = WIDTH) -> DataFrame:
@@ -178,7 +188,7 @@ def digest(docs: DataFrame, width: int = WIDTH) -> DataFrame:
                 out[2].append(hashlib.sha256(b" ".join(kept)).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.string())], ["doc_id", "n_words", "n_removed", "kept_sha256"])
 
-    rows = marked(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), width)
+    rows, _ = marked(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), width)
     return rows.mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_sha256 string")
 
 
@@ -189,6 +199,7 @@ def cut(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     depend on an order of documents. A document left without words stays, with what white space it had.
     """
     names, schema = docs.columns, docs.schema
+    rows, column = marked(docs, width)
 
     def run(batches):
         import re
@@ -197,7 +208,7 @@ def cut(docs: DataFrame, width: int = WIDTH) -> DataFrame:
 
         word = re.compile(rb"[^\x20\x09-\x0D]+")
         for batch in batches:
-            runs, texts = batch.column("repeated_runs"), []
+            runs, texts = batch.column(column), []
             for i, text in enumerate(batch.column("text")):
                 t = text.as_py()
                 if t is None or not runs[i].is_valid:
@@ -219,4 +230,4 @@ def cut(docs: DataFrame, width: int = WIDTH) -> DataFrame:
                 texts.append(b"".join(parts).decode("utf-8", "surrogatepass"))
             yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()) if c == "text" else batch.column(c) for c in names], names)
 
-    return marked(docs, width).mapInArrow(run, schema)
+    return rows.mapInArrow(run, schema)
