@@ -231,3 +231,15 @@ def cut(docs: DataFrame, width: int = WIDTH) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()) if c == "text" else batch.column(c) for c in names], names)
 
     return rows.mapInArrow(run, schema)
+
+
+def oracle(width: int = WIDTH) -> str:
+    """The same rows in DuckDB, window by window."""
+    return rf"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+win AS (SELECT r, i, array_to_string(w[i:i + {width - 1}], ' ') AS k FROM (SELECT r, w, unnest(range(1, len(w) - {width - 2})) AS i FROM d WHERE len(w) >= {width})),
+again AS (SELECT r, i FROM (SELECT r, i, count(*) OVER (PARTITION BY k) AS n FROM win) WHERE n > 1),
+gone AS (SELECT DISTINCT r, j FROM (SELECT r, unnest(range(i, i + {width})) AS j FROM again)),
+kept AS (SELECT r, count(*) AS n, string_agg(x, ' ' ORDER BY j) AS s FROM (SELECT r, unnest(w) AS x, generate_subscripts(w, 1) AS j FROM d) p ANTI JOIN gone USING (r, j) GROUP BY r)
+SELECT doc_id, len(w)::BIGINT AS n_words, (len(w) - coalesce(n, 0))::BIGINT AS n_removed, sha256(coalesce(s, '')) AS kept_sha256 FROM d LEFT JOIN kept USING (r)
+"""

@@ -440,6 +440,14 @@ def test_pages(spark):
     assert pages.extract(small(spark, "pages").limit(0)).count() == 0
 
 
+def test_pages_in_marked_wrappers():
+    kept = lambda page: [t for s, t in pages.blocks(page) if s == pages.KEPT]
+    assert kept("<body><div class='with-sidebar'><nav>n</nav><main><p>a</p><div class=share>s</div></main></div>") == ["a"]
+    assert kept("<body><div class='with-sidebar'><article>a</article><p>x</div>") == ["a"]
+    assert kept("<body><article>a</article><div class=related><article>b</article></div>") == ["a"]
+    assert kept("<article>a<p class=notice>n<p>b<section id='comments'><article>c</article></section>d</article>") == ["a", "b", "d"]
+
+
 def test_suffix_order_brings_equal_stretches_together():
     rng = np.random.default_rng(0)
     t = rng.integers(0, 3, 400)
