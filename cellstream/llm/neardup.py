@@ -54,7 +54,8 @@ def profiles(docs: DataFrame, width: int = WIDTH) -> DataFrame:
         import pyarrow as pa
 
         words = common.WordHash()
-        seeds = common.mix(np.arange(1, 2 * HALVES * ROWS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        # Shingle hashes are well mixed, so an odd factor each makes 60 orders of them.
+        factors = common.mix(np.arange(1, 2 * HALVES * ROWS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
         for batch in batches:
             n, ids, halves = [], [], []
             for text in batch.column("text"):
@@ -65,7 +66,8 @@ def profiles(docs: DataFrame, width: int = WIDTH) -> DataFrame:
                     halves.append(None)
                     continue
                 ids.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
-                low = np.array([common.mix(s ^ seed).min() for seed in seeds])
+                buffer = np.empty_like(s)
+                low = np.array([np.multiply(s, f, out=buffer).min() for f in factors])
                 halves.append(common.mix((low.reshape(-1, ROWS) * np.array([1, 3, 5], np.uint64)[:ROWS]).sum(1)).view(np.int64))
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(ids, pa.binary()), pa.array(halves, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "set_id", "halves"])
 
@@ -141,6 +143,7 @@ def grouped(docs: DataFrame, width: int = WIDTH, share=SHARE) -> DataFrame:
     # Rows that repeat a doc_id with other texts tie that id's classes together.
     ties = seen.where("set_id is not null and doc_id is not null").join(reps.select("set_id", "rep"), "set_id").where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     roots = common.staged(common.components(links.unionByName(more).unionByName(ties)), "roots")
+    common.dropped(reps, met, stars, sets, links, members)
     out = seen.select("doc_id", "n_shingles").join(roots, seen["doc_id"] == roots["node"], "left")
     component = F.coalesce("root", "doc_id")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
@@ -150,3 +153,19 @@ def keep_one(docs: DataFrame) -> DataFrame:
     """docs with one document of each group of near copies, the one with the smallest doc_id."""
     gone = grouped(docs).where("not kept").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+
+
+def oracle(width: int = WIDTH, share=SHARE) -> str:
+    """The same rows in DuckDB, by joining the sets on every shingle."""
+    return rf"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT doc_id, CASE WHEN len(w) >= {width} THEN list_distinct(list_transform(range(1, len(w) - {width - 2}), lambda i: array_to_string(w[i:i + {width - 1}], ' '))) WHEN len(w) > 0 THEN [array_to_string(w, ' ')] ELSE [] END AS s FROM w),
+c AS (SELECT *, CASE WHEN len(s) > 0 THEN md5(array_to_string(list_sort(s), chr(10))) END AS id FROM s),
+rep AS (SELECT id, min(doc_id) AS rep, any_value(s) AS s FROM c WHERE id IS NOT NULL GROUP BY id),
+x AS (SELECT rep, len(s) AS n, unnest(s) AS k FROM rep),
+link AS (SELECT a.rep AS a, b.rep AS b FROM x a JOIN x b ON a.k = b.k AND a.rep < b.rep GROUP BY a.rep, b.rep, a.n, b.n HAVING {share[1]} * count(*) >= {share[0]} * (a.n + b.n - count(*))),
+edge AS (SELECT a, b FROM link UNION ALL SELECT b, a FROM link),
+reach AS (SELECT DISTINCT a, a AS b FROM edge UNION SELECT reach.a, edge.b FROM reach JOIN edge ON reach.b = edge.a),
+root AS (SELECT a AS rep, min(b) AS root FROM reach GROUP BY a)
+SELECT doc_id, len(c.s)::BIGINT AS n_shingles, coalesce(root, rep, doc_id) AS component_id, doc_id = coalesce(root, rep, doc_id) AS kept FROM c LEFT JOIN rep USING (id) LEFT JOIN root USING (rep)
+"""

@@ -55,4 +55,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {"op1_license_scan": licenses.oracle(), "op6_quality_rules": quality.oracle()}
+    return {"op1_license_scan": licenses.oracle(), "op3_near_duplicates": neardup.oracle(), "op6_quality_rules": quality.oracle(), "op8_substring_dedup": substrings.oracle()}
