@@ -633,7 +633,7 @@ UNION ALL SELECT t + 1, un, ln, 0.1 * (ln - level) + 0.9 * trend, season[2:] ||
  SELECT *, 0.3 * (wn - season[1]) + 0.7 * base AS ln FROM (SELECT *, wh + 0.2 * (list_sum(list_transform(range(1, 6), lambda i: coalesce(r[i] * u[i], 0))) + 0.1 * (ring[12] - wh) + 0.2 * (ring[1] - wh)) / (list_sum(list_transform(range(1, 6), lambda i: CASE WHEN ys[i] IS NULL THEN 0 ELSE u[i] ** 2 END)) + 0.1 + 0.2) AS wn,
   list_transform(range(1, 6), lambda i: u[i] + CASE WHEN ys[i] IS NULL THEN 0 ELSE 0.2 * r[i] * wh / (wh * wh) END) AS un,
   list_transform(range(1, 6), lambda i: CASE WHEN ys[i] IS NULL THEN s2[i] ELSE s2[i] * (0.95 + 0.05 * CASE WHEN abs(z[i]) <= 2 THEN 2.52 * (1 - (1 - (z[i] / 2) ** 2) ** 3) ELSE 2.52 END) END) AS sn
-  FROM (SELECT *, list_transform(range(1, 6), lambda i: greatest(least(z[i], 2), -2) * sqrt(s2[i])) AS r FROM (SELECT *, list_transform(range(1, 6), lambda i: (ys[i] - u[i] * wh) / sqrt(s2[i])) AS z FROM (
+  FROM (SELECT *, list_transform(range(1, 6), lambda i: CASE WHEN ys[i] IS NULL THEN 0 ELSE greatest(least(z[i], 2), -2) * sqrt(s2[i]) END) AS r FROM (SELECT *, list_transform(range(1, 6), lambda i: (ys[i] - u[i] * wh) / sqrt(s2[i])) AS z FROM (
    SELECT st.*, ys, level + trend AS base, level + trend + season[1] AS wh FROM st JOIN g ON g.t = st.t + 1))))))
 SELECT t, round(w, 6) AS w, round(level, 6) AS level, round(u[1], 6) AS u1, round(u[5], 6) AS u5, round(s2[3], 6) AS s3 FROM st WHERE t >= 0"""
 
@@ -656,7 +656,7 @@ def online_r1_recursive(s, d):
             g = by.get(t)
             idx, y = (g[["i1"]].to_numpy(np.int64), g["y"].to_numpy()) if g is not None else (np.empty((0, 1), np.int64), np.empty(0))
             now, _ = kernel.advance(now, idx, y, hp)
-            out.append((t, now.ring[t % 12][0], now.season.level[0], now.factors[0][0, 0], now.factors[0][4, 0], now.scales.get((2,), 0.01)))
+            out.append((t, now.ring[t % 12][0], now.season.level[0], now.factors[0][0, 0], now.factors[0][4, 0], now.scales.get(np.array([[2]]), 0.01)[0]))
         return pd.DataFrame(out, columns=["t", "w", "level", "u1", "u5", "s3"])
 
     run = cells.withColumn("stream", F.lit(0)).groupBy("stream").applyInPandas(go, "t long, w double, level double, u1 double, u5 double, s3 double")  # one short stream

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import asdict, dataclass, field
+from dataclasses import asdict, dataclass
 
 import numpy as np
 
@@ -64,6 +64,55 @@ class SeasonState:
     gamma: np.ndarray
 
 
+class Scales:
+    """Squared error scales of coordinates; one that was never observed has the start value.
+
+    An array over the slice while that is small, else a dictionary of the coordinates touched.
+    """
+
+    LIMIT = 4_000_000
+
+    def __init__(self, sizes, known=()):
+        self.sizes = tuple(int(s) for s in sizes)
+        size = int(np.prod([float(s) for s in self.sizes]))
+        self.dense = np.full(size, np.nan) if size <= self.LIMIT else None
+        self.sparse: dict[tuple, float] = {}
+        for k, v in known:
+            self.put(np.array([k], np.int64), np.array([v]))
+
+    def _flat(self, idx):
+        return np.ravel_multi_index(idx.T, self.sizes)
+
+    def get(self, idx: np.ndarray, start: float) -> np.ndarray:
+        if self.dense is None:
+            return np.array([self.sparse.get(k, start) for k in map(tuple, idx.tolist())], float)
+        v = self.dense[self._flat(idx)] if len(idx) else np.empty(0)
+        return np.where(np.isnan(v), start, v)
+
+    def put(self, idx: np.ndarray, values: np.ndarray) -> None:
+        if self.dense is None:
+            self.sparse.update(zip(map(tuple, idx.tolist()), values.tolist()))
+        elif len(idx):
+            self.dense[self._flat(idx)] = values
+
+    def items(self):
+        if self.dense is None:
+            return list(self.sparse.items())
+        on = np.flatnonzero(~np.isnan(self.dense))
+        return list(zip(map(tuple, np.stack(np.unravel_index(on, self.sizes), 1).tolist()), self.dense[on].tolist()))
+
+    def copy(self) -> Scales:
+        out = Scales.__new__(Scales)
+        out.sizes, out.dense, out.sparse = self.sizes, None if self.dense is None else self.dense.copy(), dict(self.sparse)
+        return out
+
+    def __len__(self) -> int:
+        return len(self.sparse) if self.dense is None else int((~np.isnan(self.dense)).sum())
+
+    def __eq__(self, other) -> bool:
+        return isinstance(other, Scales) and dict(self.items()) == dict(other.items())
+
+
 @dataclass
 class Snapshot:
     """Everything that the next step needs; independent of how many steps have passed."""
@@ -72,8 +121,12 @@ class Snapshot:
     season: SeasonState
     ring: np.ndarray  # m x R, time vectors of the last m steps
     t: int  # last step that was processed
-    scales: dict[tuple, float] = field(default_factory=dict)  # sigma**2 where it differs from the start
+    scales: Scales | None = None
+
+    def __post_init__(self):
+        if self.scales is None:
+            self.scales = Scales([len(u) for u in self.factors])
 
     def copy(self) -> Snapshot:
         s = self.season
-        return Snapshot([u.copy() for u in self.factors], SeasonState(s.level.copy(), s.trend.copy(), s.season.copy(), s.alpha, s.beta, s.gamma), self.ring.copy(), self.t, dict(self.scales))
+        return Snapshot([u.copy() for u in self.factors], SeasonState(s.level.copy(), s.trend.copy(), s.season.copy(), s.alpha, s.beta, s.gamma), self.ring.copy(), self.t, self.scales.copy())

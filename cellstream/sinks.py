@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .model import SeasonState, Snapshot
+from .model import Scales, SeasonState, Snapshot
 
 #: Steps in one folder.
 BUCKET = 1000
@@ -39,4 +39,4 @@ def snapshot_text(state: Snapshot) -> str:
 
 def snapshot_from(text: str) -> Snapshot:
     d = json.loads(text)
-    return Snapshot([np.array(u) for u in d["factors"]], SeasonState(**{k: np.array(v) for k, v in d["season"].items()}), np.array(d["ring"]), d["t"], {tuple(k): v for k, v in d["scales"]})
+    return Snapshot([np.array(u) for u in d["factors"]], SeasonState(**{k: np.array(v) for k, v in d["season"].items()}), np.array(d["ring"]), d["t"], Scales([len(u) for u in d["factors"]], d["scales"]))

@@ -32,6 +32,11 @@ def rows(factors: list[np.ndarray], idx: np.ndarray, skip: int | None = None) ->
     return p
 
 
+def scattered(at: np.ndarray, values: np.ndarray, size: int) -> np.ndarray:
+    """Sums of rows of values by index."""
+    return np.stack([np.bincount(at, values[:, j], minlength=size) for j in range(values.shape[1])], 1)
+
+
 def update_season(s: SeasonState, w: np.ndarray, slot: int) -> SeasonState:
     old, base = s.season[slot], s.level + s.trend
     level = s.alpha * (w - old) + (1 - s.alpha) * base
@@ -55,21 +60,19 @@ def advance(state: Snapshot, idx: np.ndarray, y: np.ndarray, hp: HyperParams, in
     p = rows(factors, idx)
     y_hat = p @ w_hat
     start = (hp.lambda3 * hp.floor) ** 2
-    keys = list(map(tuple, idx.tolist()))
-    sigma2 = np.array([state.scales.get(k, start) for k in keys]) if keys else np.empty(0)
+    sigma2 = state.scales.get(idx, start)
     sigma = np.sqrt(sigma2)
     z = (y - y_hat) / sigma
     r = psi(z, hp.k) * sigma
     outlier = y - y_hat - r
     sigma2 = sigma2 * (1 - hp.phi + hp.phi * rho(z, hp.k, hp.c_k))
-    scales = state.scales if in_place else dict(state.scales)
-    scales.update(zip(keys, sigma2.tolist()))
+    scales = state.scales if in_place else state.scales.copy()
+    scales.put(idx, sigma2)
     scaled = hp.step_rule == "row_scaled"
     new = []
     for n, u in enumerate(factors):
         h = rows(factors, idx, n) * w_hat
-        g = np.zeros_like(u)
-        np.add.at(g, idx[:, n], r[:, None] * h)
+        g = scattered(idx[:, n], r[:, None] * h, len(u))
         if scaled:
             size = np.bincount(idx[:, n], (h * h).sum(1), minlength=len(u))
             g = g / np.where(size > 0, size, 1.0)[:, None]
