@@ -5,8 +5,8 @@ norm), and queries scaled to norm 1, so that the largest inner product is the sm
 random directions give one sorted array of values each. For a query, a window centred on its own value opens
 in every array; by virtual rehashing it widens with the search radius R, half-width R, and only the newly
 covered ends are counted. A vector at distance R or less falls into a window with probability 0.683, so one
-that collides in at least `THRESHOLD` arrays is verified on its original components. A query ends at the
-first radius within which it has its k nearest; at the last radius all vectors are in reach.
+that collides in at least `THRESHOLD` arrays is verified on its original components. Once it has
+k vectors, the k-th's distance is the last radius that a query needs; at the largest radius all are in reach.
 
 The query set is stated (a fixed share of rows), and runs against all rows block by block: a task gets one block
 of queries and one of vectors, both of bounded size, and returns k rows a query, which are merged by rank.
@@ -26,8 +26,8 @@ K, EVERY = 20, 20
 PROJECTIONS = 64
 #: Collisions that a vector needs: 0.683 * 64 less some two standard deviations.
 THRESHOLD = 37
-RADII = (0.2, 0.6, 1.0, 1.12, 1.24, 1.4, 2.0)
-VECTORS, QUERIES = 16_384, 512
+RADII = (0.2, 0.6, 1.0, 1.24, 1.5, 2.0)
+VECTORS, QUERIES = 65_536, 512
 
 
 def valid(rows: DataFrame) -> DataFrame:
@@ -65,18 +65,22 @@ def search_block(ids, x, query_ids, q, top: float, k: int):
         found, score = np.empty(0, np.int64), np.empty(0)
         l0 = h0 = None
         wanted = min(k, n - int(own.sum()))
-        for level, r in enumerate(RADII):
-            l, h = lows[level][i].tolist(), highs[level][i].tolist()
-            if sum(h) - sum(l) < THRESHOLD and level < len(RADII) - 1:
+        level, last = 0, None
+        while True:
+            r = RADII[level] if last is None else last
+            whole = level == len(RADII) - 1 and last is None
+            l, h = (lows[level][i].tolist(), highs[level][i].tolist()) if last is None else (None, None)
+            if last is None and sum(h) - sum(l) < THRESHOLD and not whole:
+                level += 1
                 continue
-            if sum(h) - sum(l) > PROJECTIONS * n // 16:
+            if last is not None or sum(h) - sum(l) > PROJECTIONS * n // 16:
                 # Wide windows: the same collisions, read off the values in place instead of slice by slice.
                 count[:] = 0
                 for j in range(PROJECTIONS):
                     np.subtract(plain[j], centre[i, j], out=gap)
                     np.abs(gap, out=gap)
                     np.less_equal(gap, np.float32(r), out=inside)
-                    count += inside.view(np.uint8)
+                    np.add(count, inside.view(np.uint8), out=count)
             else:
                 for j in range(PROJECTIONS):
                     o = order[j]
@@ -87,7 +91,7 @@ def search_block(ids, x, query_ids, q, top: float, k: int):
                         count[o[h0[j] : h[j]]] += 1
             l0, h0 = l, h
             fresh = np.flatnonzero((count >= THRESHOLD) & ~tried)
-            if level == len(RADII) - 1 and len(found) + len(fresh) < wanted:
+            if whole and len(found) + len(fresh) < wanted:
                 fresh = np.flatnonzero(~tried)
             if len(fresh):
                 tried[fresh] = True
@@ -95,9 +99,16 @@ def search_block(ids, x, query_ids, q, top: float, k: int):
                 if len(found) > 4 * k:
                     low = np.partition(score, -k)[-k]
                     found, score = found[score >= low], score[score >= low]
-            # Inner product of a vector at distance r.
-            if len(found) >= wanted and (wanted == 0 or np.partition(score, -wanted)[-wanted] >= scale[i] * (1 - r * r / 2)):
+            if whole or last is not None or wanted == 0:
                 break
+            if len(found) >= wanted:
+                # The k nearest are no farther than the k-th found: one more window of that radius, and it ends.
+                need = float(np.sqrt(max(0.0, 2 - 2 * np.partition(score, -wanted)[-wanted] / scale[i])))
+                if need <= r:
+                    break
+                last = need
+            else:
+                level += 1
         best = np.lexsort((ids[found], -score))[:k]
         out[0].append(np.full(len(best), i))
         out[1].append(found[best])
