@@ -148,27 +148,27 @@ def spread(ranked: list[str], most: int, alike: float = 0.7) -> list[str]:
     return taken
 
 
-def fit_words(seen: dict[str, list[int]], n_toxic: int, n_clean: int) -> tuple[np.ndarray, float]:
+def fit_words(words: list[str], toxic: np.ndarray, clean: np.ndarray, n_toxic: int, n_clean: int) -> tuple[np.ndarray, float]:
     """Folded weights and bias from, for each word, the number of toxic and of clean documents that hold it."""
-    p0 = n_toxic / (n_toxic + n_clean)
-
-    def surprise(a: int, b: int) -> float:
-        n, p = a + b, a / (a + b)
-        return (a * math.log(p / p0) + (b * math.log((1 - p) / (1 - p0)) if b else 0.0)) if p > p0 else 0.0
+    from heapq import nsmallest
 
-    words = [w for w in seen if 2 <= len(w) <= 40]
-    value = {w: surprise(*seen[w]) for w in words}
-    ranked = sorted(words, key=lambda w: (-value[w], w))
-    positive = [w for w in ranked[:1500] if value[w] > 5.0]
-    least = 5.0
+    p0 = n_toxic / (n_toxic + n_clean)
+    p = toxic / (toxic + clean)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        surprise = toxic * np.log(p / p0) + np.where(clean > 0, clean * np.log((1 - p) / (1 - p0)), 0.0)
+    fits = np.array([2 <= len(w) <= 40 for w in words], bool)
+    value = np.where(p > p0, surprise, 0.0)
+    ranked = nsmallest(max(1500, 9 * LANDMARKS), np.flatnonzero(fits & (value > 0)).tolist(), key=lambda i: (-value[i], words[i]))
+    positive = [i for i in ranked[:1500] if value[i] > 5.0]
     if len(positive) < 20:
-        least = 1.5
-        positive = [w for w in ranked[:200] if value[w] > least]
-    others = sorted((w for w in words if seen[w][1] > 0 and value[w] <= 1.0), key=crc)
-    common = sorted(others, key=lambda w: (-sum(seen[w]), w))[:1000]
-    negative = list(dict.fromkeys(common + others[:5000]))
+        positive = [i for i in ranked[:200] if value[i] > 1.5]
+    others = np.flatnonzero(fits & (clean > 0) & (value <= 1.0)).tolist()
+    common = nsmallest(1000, others, key=lambda i: (-(toxic[i] + clean[i]), words[i]))
+    negative = [words[i] for i in dict.fromkeys(common + nsmallest(5000, others, key=lambda i: crc(words[i])))]
     if not positive or not negative:
         return np.zeros(32768), -1.0
+    strength = np.array([min(value[i], 30.0) for i in positive])
+    positive = [words[i] for i in positive]
     landmarks = spread(positive, LANDMARKS * 3 // 4, 0.85) + spread(negative, LANDMARKS // 4)
     z = dense(landmarks)
     gram = z @ z.T
@@ -176,9 +176,8 @@ def fit_words(seen: dict[str, list[int]], n_toxic: int, n_clean: int) -> tuple[n
     keep = lam > 1e-4
     root = vec[:, keep] / np.sqrt(lam[keep])
     all_words = positive + negative
-    x = np.vstack([dense(all_words[s : s + 500]) @ z.T for s in range(0, len(all_words), 500)]).astype(np.float64) @ root
+    x = np.vstack([dense(all_words[s : s + 128]) @ z.T for s in range(0, len(all_words), 128)]).astype(np.float64) @ root
     y = np.r_[np.ones(len(positive)), -np.ones(len(negative))]
-    strength = np.array([min(value[w], 30.0) for w in positive])
     weight = np.r_[strength / strength.sum(), np.full(len(negative), 1.0 / len(negative))]
     u, b = hinge(x, y, weight)
     return z.T.astype(np.float64) @ (root @ u), float(b)
@@ -237,20 +236,22 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED) -> dict
 
     sample = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("toxic", "text")
     rows = sample.mapInPandas(reduced, sample.schema).orderBy("toxic", F.xxhash64("text"), "text").collect()  # at most twice `most`
-    bags = [(int(r["toxic"]), [w for w in r["text"].split("\n") if w]) for r in rows]
-    n = [sum(1 for t, _ in bags if t == c) for c in (0, 1)]
+    ids: dict[str, int] = {}
+    bags, labels = [], np.array([r["toxic"] for r in rows], int)
+    while rows:
+        found = rows.pop(0)["text"]
+        bags.append(np.array([ids.setdefault(w, len(ids)) for w in found.split("\n") if w], np.int32))
+    n = [int((labels == c).sum()) for c in (0, 1)]
     share = (n[1] + 0.5) / (n[0] + n[1] + 1)
     if not all(n):
         return {"weights": np.zeros(32768, np.float32), "bias": -1.0, "doc": np.r_[np.zeros(SUMMARY), math.log(share / (1 - share))]}
-    seen: dict[str, list[int]] = {}
-    for toxic, bag in bags:
-        for w in bag:
-            seen.setdefault(w, [0, 0])[1 - toxic] += 1
-    weights, bias = fit_words(seen, n[1], n[0])
-    distinct = sorted(seen)
-    value = dict(zip(distinct, margins(distinct, weights, bias)))
-    x = np.array([summary(np.array([value[w] for w in bag])) for _, bag in bags])
-    return {"weights": weights.astype(np.float32), "bias": bias, "doc": logistic(x, np.array([t for t, _ in bags], float))}
+    words = list(ids)
+    seen = [np.bincount(np.concatenate([b for b, t in zip(bags, labels) if t == c]), minlength=len(words)) for c in (0, 1)]
+    weights, bias = fit_words(words, seen[1], seen[0], n[1], n[0])
+    value = margins(words, weights, bias)
+    x = np.array([summary(value[b]) for b in bags])
+    y = labels.astype(float)
+    return {"weights": weights.astype(np.float32), "bias": bias, "doc": logistic(x, y)}
 
 
 def scorer(model: dict):
