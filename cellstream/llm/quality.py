@@ -3,12 +3,15 @@
 Each text gives counts in one pass. Four rates are drawn from them: signs a word, repeated lines a line,
 words in repeated three-word windows a word, and code points a word. Spark's percentile_approx keeps a
 Greenwald-Khanna sketch for each (lang, source), merged from the tasks' partial ones, so a source that holds a third of
-all rows costs one sketch a task. The thresholds are joined back to the documents and replace fixed cutoffs:
-a rate is out when it lies beyond the group's median by more than FENCE times the distance from the median to
-the QUANTILE on its side, and by at least the rate's own margin, so that a group of equal documents rejects none.
-The same thresholds are drawn over all documents; where a group has fewer than LEAST rows, its sketch says too
-little and these hold instead. Junk that is common in its group cannot hide: a rate is out too where it is
-beyond its hard margin over the corpus.
+all rows costs one sketch a task. Rows that fail the base rules are rejected anyway and left out of the sketches.
+The thresholds are joined back to the documents and replace fixed cutoffs: a rate is out when it lies beyond the
+median by more than FENCE times the spread, the distance from the median to the rate's quantile of TAILS.
+
+Median and spread are the group's own, so a source of tables or code, or of long words, is judged by what is usual
+in it, be that more or less than elsewhere. The median leans towards the corpus's as n / (n + LEAN) for a group of n
+rows, and the spread, taken from there, towards that of all rows around their groups' medians. It is never under
+TIGHTEST of the latter, since a group that is mostly copies of one document shows hardly any and must not reject
+its others; FLOORS only stand where there is no spread at all.
 
 The base rules (too few words, mostly repeated) reject on their own.
 Defined results: null and empty texts have no words and fail the base rules; null lang or source is a group like
@@ -22,8 +25,15 @@ from pyspark.sql import functions as F
 
 from . import common
 
-FENCE, LEAST, ACCURACY = 4.0, 50, 10_000
-#: Least distance from the median that counts as out, by rate.
+FENCE, ACCURACY, LEAN, TIGHTEST = 4.0, 10_000, 200, 0.25
+#: The quantile whose distance from the median is the spread: junk by repeats fails the base rules, so the sketches of
+#: these two reach far out; junk by signs and by word length is still among the rows.
+TAILS = {"symbol_rate": 0.75, "dup_line_rate": 0.99, "repeat_rate": 0.99, "word_length": 0.9}
+LOW = 0.1
+#: Least spread by rate, against none at all.
+FLOORS = {"symbol_rate": 0.005, "dup_line_rate": 0.005, "repeat_rate": 0.005, "word_length": 0.025}
+#: The twin in DuckDB still has the fixed margins and the least size of a group that the fences here replaced.
+LEAST = 50
 MARGINS = {"symbol_rate": 0.25, "dup_line_rate": 0.5, "repeat_rate": 0.3, "word_length": 4.0}
 COUNTS = ["n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words"]
 _SIGNS = b"#*$%&|<>"
@@ -81,32 +91,42 @@ def rates() -> list:
     ]
 
 
-def thresholds(rows: DataFrame, by: list[str]) -> DataFrame:
-    """The fences of every group of `by`, with the group's size."""
-    sketches = rows.groupBy(*by).agg(F.count(F.lit(1)).alias("size"), *[F.percentile_approx(c, F.array(F.lit(0.1), F.lit(0.5), F.lit(0.75)), F.lit(ACCURACY)).alias(c) for c in MARGINS])
-    low = lambda c, m: F.col(c)[1] - F.greatest(FENCE * (F.col(c)[1] - F.col(c)[0]), F.lit(m))
-    high = lambda c, m: F.col(c)[1] + F.greatest(FENCE * (F.col(c)[2] - F.col(c)[1]), F.lit(m))
-    return sketches.select(*by, "size", *[high(c, m).alias(f"{c}_hi") for c, m in MARGINS.items()], low("word_length", MARGINS["word_length"]).alias("word_length_lo"))
+def base_failed():
+    return (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
+
+
+def thresholds(rows: DataFrame) -> DataFrame:
+    """g_lang, g_source and the fences t_ of every group of lang and source."""
+    by = ["lang", "source"]
+    lean = lambda own, whole: (F.col("size") * own + LEAN * whole) / (F.col("size") + LEAN)
+    at = lambda c, p: F.percentile_approx(c, F.lit(p), F.lit(ACCURACY))
+    whole = rows.agg(*[at(c, 0.5).alias(f"all_{c}") for c in TAILS])
+    group = rows.groupBy(*by).agg(F.count(F.lit(1)).alias("size"), *[at(c, 0.5).alias(c) for c in TAILS]).crossJoin(F.broadcast(whole))  # one row at the right
+    centres = group.select(F.col("lang").alias("g_lang"), F.col("source").alias("g_source"), "size", *[lean(F.col(c), F.col(f"all_{c}")).alias(f"mid_{c}") for c in TAILS])
+    met = F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source"))
+    away = rows.join(centres.drop("size"), met).select(*by, *[(F.col(c) - F.col(f"mid_{c}")).alias(c) for c in TAILS])
+    spread = [*[F.greatest(at(c, p), F.lit(0.0)).alias(f"{c}_hi") for c, p in TAILS.items()], F.greatest(-at("word_length", LOW), F.lit(0.0)).alias("word_length_lo")]
+    pooled = away.agg(*spread)
+    pooled = pooled.select([F.col(c).alias(f"all_{c}") for c in pooled.columns])
+    group = centres.join(away.groupBy(*by).agg(*spread), met).crossJoin(F.broadcast(pooled))  # one row at the right
+    wide = lambda c, side: FENCE * F.greatest(lean(F.col(f"{c}_{side}"), F.col(f"all_{c}_{side}")), TIGHTEST * F.col(f"all_{c}_{side}"), F.lit(FLOORS[c]))
+    high = [(F.col(f"mid_{c}") + wide(c, "hi")).alias(f"t_{c}_hi") for c in TAILS]
+    return group.select("g_lang", "g_source", *high, (F.col("mid_word_length") - wide("word_length", "lo")).alias("t_word_length_lo"))
 
 
 def judged(docs: DataFrame) -> DataFrame:
     """docs with the counts, base_failed and kept."""
     rows = measured(docs)
     names = [c for c in rows.columns if c not in ("base_failed", "kept")]
-    thin = common.staged(measured(docs.select("text", "lang", "source")).select("lang", "source", *rates()), "rates")
-    bounds = [f"{c}_hi" for c in MARGINS] + ["word_length_lo"]
-    whole = thresholds(thin, []).select(*[F.col(c).alias(f"all_{c}") for c in bounds])
-    group = thresholds(thin, ["lang", "source"]).crossJoin(F.broadcast(whole))  # one row at the right
-    group = group.select(F.col("lang").alias("g_lang"), F.col("source").alias("g_source"), *[F.when(F.col("size") >= LEAST, (F.greatest if c.endswith("lo") else F.least)(c, f"all_{c}")).otherwise(F.col(f"all_{c}")).alias(f"t_{c}") for c in bounds])
+    thin = common.staged(measured(docs.select("text", "lang", "source")).where(~base_failed()).select("lang", "source", *rates()), "rates")
     met = F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source"))
-    out = rows.join(group, met, "left")
-    failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    rate = dict(zip(MARGINS, rates()))
+    out = rows.join(thresholds(thin), met, "left")
+    rate = dict(zip(TAILS, rates()))
     odd = F.lit(False)
-    for c in MARGINS:
+    for c in TAILS:
         odd = odd | (rate[c] > F.col(f"t_{c}_hi"))
     odd = odd | (rate["word_length"] < F.col("t_word_length_lo"))
-    return out.select(*names, failed.alias("base_failed"), (~failed & ~F.coalesce(odd, F.lit(False))).alias("kept"))
+    return out.select(*names, base_failed().alias("base_failed"), (~base_failed() & ~F.coalesce(odd, F.lit(False))).alias("kept"))
 
 
 def query(docs: DataFrame) -> DataFrame:
@@ -122,7 +142,7 @@ def filtered(docs: DataFrame) -> DataFrame:
 
 
 def oracle() -> str:
-    """The same rows in DuckDB; exact where no group has more rows than the sketch's accuracy."""
+    """The same counts in DuckDB; its verdict has the fixed margins of MARGINS and differs where these decide."""
     q = lambda c, p: f"list_sort(list({c}))[greatest(1, ceil({p} * count(*)))::BIGINT]"
     hi = lambda c, m: f"{q(c, 0.5)} + greatest({FENCE} * ({q(c, 0.75)} - {q(c, 0.5)}), {m}) AS {c}_hi"
     fences = ", ".join(hi(c, m) for c, m in MARGINS.items()) + f", {q('word_length', 0.5)} - greatest({FENCE} * ({q('word_length', 0.5)} - {q('word_length', 0.1)}), {MARGINS['word_length']}) AS word_length_lo"

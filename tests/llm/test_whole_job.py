@@ -4,7 +4,7 @@ import random
 import string
 from itertools import combinations
 
-from cellstream.llm import neardup
+from cellstream.llm import neardup, quality
 from tests.conftest import SMALL
 
 LOWER = str.maketrans(string.ascii_uppercase, string.ascii_lowercase)
@@ -48,3 +48,22 @@ def test_stage_equals_brute_force_at_four_fifths(spark):
             root[y] = x
     kept = {r["doc_id"] for r in neardup.keep_one(docs).select("doc_id").collect()}
     assert kept & set(sets) == {i for i in sets if find(i) == i}
+
+
+def test_quality_judges_an_unusual_group_by_itself(spark):
+    """A regular source of many signs and one of long words are kept whole; what is odd within a source is not."""
+    rng = random.Random(9)
+    word = lambda n: "".join(rng.choice("abcdefghijklmnop") for _ in range(n))
+
+    def text(signs, length):
+        w = [word(rng.randint(length - 2, length + 2)) for _ in range(100)]
+        for k in range(signs):
+            w[k] += "|"
+        return " ".join(w)
+
+    made = [("prose", text(0, 5)) for _ in range(4000)] + [("tables", text(rng.randint(40, 60), 5)) for _ in range(1000)] + [("long", text(0, 14)) for _ in range(1000)]
+    strange = [("prose", text(12, 5)), ("prose", text(0, 9)), ("long", text(0, 5)), ("tables", text(100, 5).replace("|", "|||"))]
+    rows = [(i, t, "en", s) for i, (s, t) in enumerate(made + strange)]
+    got = {r["doc_id"]: r["kept"] for r in quality.query(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
+    assert all(got[i] for i in range(len(made)))
+    assert not any(got[i] for i in range(len(made), len(rows)))
