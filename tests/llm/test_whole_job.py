@@ -4,7 +4,7 @@ import random
 import string
 from itertools import combinations
 
-from cellstream.llm import neardup, quality
+from cellstream.llm import neardup, pages, quality
 from tests.conftest import SMALL
 
 LOWER = str.maketrans(string.ascii_uppercase, string.ascii_lowercase)
@@ -67,3 +67,11 @@ def test_quality_judges_an_unusual_group_by_itself(spark):
     got = {r["doc_id"]: r["kept"] for r in quality.query(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
     assert all(got[i] for i in range(len(made)))
     assert not any(got[i] for i in range(len(made), len(rows)))
+
+
+def test_suffix_array_judges_blocks_beside_an_article(spark):
+    """The main text beside a teaser article is kept; a plain notice that the host's pages repeat there is not."""
+    page = "<body><article>teaser {0}</article><div>main text {0} of which each of the words {0} stands here only {0}</div><div>this site is made with care by the people of the house</div></body>"
+    rows = [(i, f"http://h.org/{i}", page.format(f"n{i}")) for i in range(5)]
+    got = {r["page_id"]: r["text"] for r in pages.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == {i: "teaser n{0}\nmain text n{0} of which each of the words n{0} stands here only n{0}".format(i) for i in range(5)}
