@@ -473,25 +473,29 @@ for _b, _name in (("b1", "sgd_stream_cp"), ("b2", "rls_stream_cp"), ("b3", "mult
     query(f"{_b}_run")(_run_method(_name))
 
 
+def _fed(s, d, make, read, schema):
+    """A method fed the monthly flows, all months that the table has, in one task: 25 x 25 cells a month."""
+    def go(pdf):
+        import pandas as pd
+
+        m, by = make(), dict(list(pdf.groupby("t")))
+        for t in range(int(pdf["t"].max()) + 1):
+            p = by.get(t, pdf.iloc[:0])
+            m.feed(p[["i1", "i2"]].to_numpy(np.int64), p["y"].to_numpy())
+        return pd.DataFrame([(read(m),)], columns=[schema.split()[0]])
+
+    return _log_flow(s, d).withColumn("stream", F.lit(0)).groupBy("stream").applyInPandas(go, schema)
+
+
 @query("b8_run")
 def b8_run(s, d):
-    """Masked gradient factorization of the first year of flows; loss before and after."""
-    rows = _log_flow(s, d).where("t < 12").toPandas()  # one year of slices
-    m = methods.MaskedGradientCp(TensorSpec((25, 25), 12, 2), 60)
-    for t in range(12):
-        p = rows[rows["t"] == t]
-        m.feed(p[["i1", "i2"]].to_numpy(np.int64), p["y"].to_numpy())
-    return s.createDataFrame([(float(m.run()),)], "loss double")
+    """Loss of the masked gradient factorization of all monthly flows."""
+    return _fed(s, d, lambda: methods.MaskedGradientCp(TensorSpec((25, 25), 12, 2), 60), lambda m: float(m.run()), "loss double")
 
 
 @query("b4_effective_rank")
 def b4_effective_rank(s, d):
-    rows = _log_flow(s, d).where("t < 24").toPandas()  # two years of slices
-    m = methods.BayesRobustStream(TensorSpec((25, 25), 12, 6))
-    for t in range(24):
-        p = rows[rows["t"] == t]
-        m.feed(p[["i1", "i2"]].to_numpy(np.int64), p["y"].to_numpy())
-    return s.createDataFrame([(m.effective_rank,)], "rank int")
+    return _fed(s, d, lambda: methods.BayesRobustStream(TensorSpec((25, 25), 12, 6)), lambda m: m.effective_rank, "rank int")
 
 
 # ---- measures; truth y / 100, estimate a closed formula
