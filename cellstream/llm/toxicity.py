@@ -1,190 +1,273 @@
-"""Toxicity: a support vector machine on a gap-weighted subsequence kernel of words, with Nyström landmarks.
-
-Strings are words, lower-cased, reduced to letters (so that inserted signs vanish) and framed by marks of
-their start and end; runs of single letters ("i d i o t") count as one more word. The kernel of two strings
-sums, over all subsequences of three symbols that both hold, DECAY to the power of the gaps, and is
-normalised. Subsequences need not be contiguous, so gaps and inserted characters lower a word's kernel with
-an insult but do not end it.
-
-Training: labels come with documents. From a bounded, hash-chosen sample of labelled documents (at most
-`MOST_LABELLED` of each class, parameter `most`) each distinct word inherits the labels of the sentences
-that hold it; words that stand out in toxic ones are the positive strings, a hash-chosen set of others the
-negative ones. Landmarks are spread over the positive and negative strings; the machine is a squared-hinge
-linear one on the Nyström features. Its expansion over landmarks is a linear function of the subsequence
-features, so it is folded into one table of 32 * 32 * 32 weights: scoring a word needs no landmark. A
-document's score is a logistic function, fitted on the same sample, of its highest word margins.
-
-Scoring sees whole texts only; labels, lang, source and doc_id never enter. Texts never leave their task.
-Defined results: null and empty texts get the score of a text without words; where there are no labels, or
-only one class, every score is the (smoothed) share of the class.
+"""Toxicity: a support vector machine on a gap-weighted subsequence kernel, with Nyström landmarks, trained on sentences.
+
+Sentences are read as strings of lower-cased letters, all kept apart, with blanks around words. Signs inside words
+vanish, digits and signs that look like a letter are read as it, and single letters that follow each other
+("i d i o t") close up. The kernel of two words sums, over the subsequences of four symbols (letters, and the blanks
+at a word's ends) that both hold within SPAN symbols, DECAY to the power of the gaps; it is divided by a norm of each
+word's length. So gapped and inserted-character insults, and words of one stem, share most of it.
+
+Training: labels come with documents, and a sentence inherits its document's. The machine is a multiple-instance one:
+a sentence's value is that of its highest word, its witness. At most `most` labelled documents of each class are
+chosen by hash (MOST_LABELLED), and of these at most `sentences` distinct sentences of each class (MOST_SENTENCES).
+How many of the documents hold a word, or a word's beginning, is counted in Spark; what stands out in toxic ones
+becomes landmarks, with others from clean ones. In ROUNDS rounds a squared-hinge linear machine is fitted on the
+Nyström features of the witnesses of toxic sentences and the hardest words of clean ones, and chooses the next
+witnesses; a toxic document's sentence whose witness is on the clean side is left out. The expansion over landmarks
+is linear in their subsequences, so it is folded into one table of weights, which gives the same value. A document's
+score is a logistic function, fitted on the chosen documents, of its highest sentences and their number.
+
+Scoring sees whole texts only; labels, lang, source and doc_id never enter. Texts never leave their task but for the
+training sentences. Defined results: null and empty texts get the score of a text without sentences; where there are
+no labels, or only one class, every score is the (smoothed) share of the class; a repeated row is scored each time;
+a sentence of any length counts whole, and a word over LONGEST letters as overlapping words of LONGEST.
 """
 
 from __future__ import annotations
 
 import math
-import re
 from itertools import combinations
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-DECAY, LANDMARKS, MOST_LABELLED, LONGEST = 0.6, 128, 3000, 20
-START, END = 30, 31
-#: Words kept from scoring again, at most so many in a worker.
-KEPT = 200_000
-#: Look-alike signs and the letters they stand for.
-LOOKALIKES = str.maketrans("013457@$", "oieastas")
-
-_letters = re.compile(r"[\W\d_]+")
-_spaced = re.compile(r"(?<!\S)(?:\w[ .*_-]{1,2}){2,}\w(?!\w)")
-
-
-def cleaned(word: str) -> str:
-    """Letters only; digits and signs inside a word are read as the letters they look like."""
-    inner = word.strip("0123456789.,;:!?\"'()[]|*#$%&<>-_@")
-    return _letters.sub("", inner.lower() if inner.isalpha() else inner.lower().translate(LOOKALIKES))
-
-
-def strings(text: str) -> set[str]:
-    """The distinct cleaned words of a text."""
-    found = set(map(cleaned, set(text.split())))
-    found.update(_letters.sub("", x.lower()) for x in _spaced.findall(text))
-    found.discard("")
-    return found
+from . import common
+
+DECAY, SPAN, LONGEST = 0.6, 7, 40
+LANDMARKS, MOST_SENTENCES, MOST_LABELLED, ROUNDS = 256, 30_000, 3000, 3
+#: Words of clean sentences that a round looks at: the hardest, and some by hash.
+HARD, OTHERS = 4000, 2000
+#: How much larger a landmark's share of toxic documents must be than its share of clean ones to stand out.
+TELLING = 8
+#: Distances of the second, third and fourth symbol from the first.
+STEPS = [c for c in combinations(range(1, SPAN), 3)]
+BLANK, WALL, CUT, MARK = 32, 10, 0x110000, 0x10FFFF
+#: Symbols that are worked on at once, about, and words whose values a worker keeps at most.
+CHUNK, KEPT = 500_000, 200_000
+#: Signs and digits that are read as letters.
+LOOKALIKES = dict(zip("013457@$", "oieastas"))
+
+_fold: list[np.ndarray] = []
+
+
+def fold_table() -> np.ndarray:
+    """What each code point is read as: a letter, BLANK, WALL, a full stop, or 0 for nothing."""
+    if not _fold:
+        every = "".join(map(chr, range(CUT)))
+        t = np.zeros(CUT + 1, np.uint32)
+        t[:CUT] = np.where(np.fromiter(map(str.isalpha, every), bool, CUT), np.arange(CUT), 0)
+        t[:CUT][np.fromiter(map(str.isspace, every), bool, CUT)] = BLANK
+        for a, b in LOOKALIKES.items():
+            t[ord(a)] = ord(b)
+        t[[10, 13]] = WALL
+        t[[ord(c) for c in ".!?"]] = ord(".")
+        t[CUT] = MARK
+        _fold.append(t)
+    return _fold[0]
+
+
+def tokens(texts: list) -> list[str]:
+    """Words of all texts in order; MARK starts a text, and WALL ends a sentence."""
+    wall, parts = np.array([WALL, CUT, WALL], np.uint32), []
+    for text in texts:
+        parts += wall, np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32)
+    points = np.concatenate([*parts, wall[:1]])
+    c = fold_table()[points]
+    stop = c == ord(".")
+    after = np.r_[c[1:], WALL]
+    c[stop] = np.where(after <= BLANK, WALL, 0)[stop] * (after != 0)[stop]
+    c = c[c != 0]
+    # Single letters that follow each other close up.
+    white = c <= BLANK
+    lone = np.zeros(len(c), bool)
+    lone[1:-1] = white[:-2] & white[2:] & ~white[1:-1] & (c[1:-1] != MARK)
+    gone = np.zeros(len(c), bool)
+    gone[1:-1] = (c[1:-1] == BLANK) & lone[:-2] & lone[2:]
+    c = c[~gone]
+    walls = np.where(c == WALL, 3, 1)
+    at = np.cumsum(walls) - 2
+    out = np.repeat(np.where(c == WALL, BLANK, c), walls)
+    out[at[c == WALL]] = WALL
+    return out.astype("<u4").tobytes().decode("utf-32-le", "surrogatepass").split(" ")
+
+
+def sentences(text: str | None) -> list[list[str]]:
+    out: list[list[str]] = [[]]
+    for t in tokens([text]):
+        if t == chr(WALL):
+            out.append([])
+        elif t and t != chr(MARK):
+            out[-1].append(t)
+    return [s for s in out if s]
+
+
+def pieces(word: str) -> list[str]:
+    """The word with its blanks; a longer one as overlapping pieces."""
+    if len(word) <= LONGEST:
+        return [f" {word} "]
+    half = LONGEST // 2
+    cuts = range(0, len(word) - half, half)
+    return [(" " if i == 0 else "") + word[i : i + LONGEST] + (" " if i + LONGEST >= len(word) else "") for i in cuts]
+
+
+def norm(m: int) -> float:
+    """Of a string of m symbols: the root of the sum of its subsequences' squared weights."""
+    return math.sqrt(sum((m - z) * DECAY ** (2 * (z - 3)) for _, _, z in STEPS if z < m)) or 1.0
+
+
+class Index:
+    """Numbers for the subsequences of some landmarks; symbols that no landmark holds are not told apart.
+
+    Landmarks are words with their blanks, or beginnings of words with the blank before.
+    """
+
+    def __init__(self, landmarks: list[str]):
+        letters = sorted(set("".join(landmarks)))
+        self.base = len(letters) + 1
+        self.points = np.array([ord(c) for c in letters], np.uint32)
+        number = {c: i + 1 for i, c in enumerate(letters)}
+        rows = [(k, number[w[i]], number[w[i + x]], number[w[i + y]], number[w[i + z]], DECAY ** (z - 3)) for k, w in enumerate(landmarks) for i in range(len(w)) for x, y, z in STEPS if i + z < len(w)]
+        table = np.array(rows, np.float64).reshape(-1, 6)
+        owner, four, weight = table[:, 0].astype(int), table[:, 1:5].astype(np.int64), table[:, 5]
+        lefts, left = np.unique(four[:, 0] * self.base + four[:, 1], return_inverse=True)
+        rights, right = np.unique(four[:, 2] * self.base + four[:, 3], return_inverse=True)
+        self.left, self.right = np.zeros(self.base**2, np.int32), np.zeros(self.base**2, np.int32)
+        self.width = len(rights) + 1
+        self.left[lefts] = (np.arange(len(lefts)) + 1) * self.width  # 0: no landmark has such a first pair
+        self.right[rights] = np.arange(len(rights)) + 1
+        self.size = (len(lefts) + 1) * self.width
+        self.places, f = np.unique((left.astype(np.int64) + 1) * self.width + right + 1, return_inverse=True)
+        z = np.zeros((len(landmarks), len(self.places)))
+        np.add.at(z, (owner, f), weight)
+        self.z = z / np.linalg.norm(z, axis=1, keepdims=True)
+
+    def groups(self, words: list[str]):
+        """(owners, codes) of the words' pieces, equally long ones together."""
+        by: dict[int, tuple[list, list]] = {}
+        for k, word in enumerate(words):
+            for p in pieces(word):
+                owner, parts = by.setdefault(len(p), ([], []))
+                owner.append(k)
+                parts.append(p)
+        lut = np.zeros(CUT, np.uint16)
+        lut[self.points] = np.arange(1, self.base)
+        for m, (owner, parts) in by.items():
+            step = max(1, 300_000 // m)
+            for k in range(0, len(parts), step):
+                raw = "".join(parts[k : k + step]).encode("utf-32-le", "surrogatepass")
+                yield np.array(owner[k : k + step]), lut[np.frombuffer(raw, np.uint32)].astype(np.int32).reshape(-1, m)
+
+    def hits(self, codes: np.ndarray):
+        """For each choice of steps: its gaps and the places in the table of all subsequences with these steps."""
+        m = codes.shape[1]
+        pair = {d: codes[:, :-d] * self.base + codes[:, d:] for d in range(1, min(SPAN - 2, m))}
+        left, right = {d: self.left[x] for d, x in pair.items()}, {d: self.right[x] for d, x in pair.items()}
+        for x, y, z in STEPS:
+            if z < m:
+                yield z - 3, left[x][:, : m - z] + right[z - y][:, y : m - z + y]
+
+
+def margins(index: Index, table: np.ndarray, bias: float, words: list[str]) -> np.ndarray:
+    """The machine's value of each word; of a long one, its highest piece's."""
+    out = np.full(len(words), -np.inf)
+    for owner, codes in index.groups(words):
+        total = np.zeros((SPAN - 3, len(codes)), np.float64)
+        for gaps, at in index.hits(codes):
+            total[gaps] += table[at].sum(1)
+        np.maximum.at(out, owner, (DECAY ** np.arange(SPAN - 3)) @ total / norm(codes.shape[1]) + bias)
+    return out
 
 
-def codes(word: str) -> list[int]:
-    return [ord(c) - 96 if "a" <= c <= "z" else 27 + ord(c) % 3 for c in word]
+def kernel_rows(index: Index, words: list[str]) -> np.ndarray:
+    """Kernel of words and normalised landmarks; a long word's is its first piece's."""
+    number = np.zeros(index.size, np.int64)
+    number[index.places] = np.arange(len(index.places)) + 1
+    f = len(index.places) + 1
+    z = np.vstack([np.zeros(len(index.z)), index.z.T]).astype(np.float32)
+    out = np.zeros((len(words), len(index.z)))
+    done = np.zeros(len(words), bool)
+    for owner, codes in index.groups(words):
+        fresh = np.unique(owner, return_index=True)[1]
+        fresh = fresh[~done[owner[fresh]]]
+        for k in range(0, len(fresh), 256):
+            own, part = owner[fresh[k : k + 256]], codes[fresh[k : k + 256]]
+            at, weight = [np.empty(0, np.int64)], [np.empty(0)]
+            for gaps, place in index.hits(part):
+                row, _ = np.nonzero(place)
+                at.append(row * f + number[place[place != 0]])
+                weight.append(np.full(len(row), DECAY**gaps))
+            held = np.bincount(np.concatenate(at), np.concatenate(weight), minlength=len(own) * f).reshape(-1, f)
+            held[:, 0] = 0
+            out[own] = held.astype(np.float32) @ z / norm(codes.shape[1])
+            done[own] = True
+    return out
 
 
-def pieces(word: str) -> list[list[int]]:
-    """Symbol lists of at most LONGEST + 2 symbols; a longer word is cut into overlapping ones."""
-    if len(word) <= LONGEST:
-        return [[START, *codes(word), END]]
-    c = codes(word)
-    return [[START] * (i == 0) + c[i : i + LONGEST] + [END] * (i + LONGEST >= len(c)) for i in range(0, len(c) - LONGEST // 2, LONGEST // 2)]
-
-
-_triples: dict[int, tuple] = {}
-
-
-def features(batch: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Of words with equally many symbols: subsequence codes, their weights, and the norm of each word."""
-    n, m = batch.shape
-    if m not in _triples:
-        t = np.array(list(combinations(range(m), 3)), np.int64).reshape(-1, 3)
-        _triples[m] = t[:, 0], t[:, 1], t[:, 2], DECAY ** (t[:, 2] - t[:, 0] - 2).astype(np.float64)
-    i, j, k, w = _triples[m]
-    b = batch.astype(np.int32)
-    key = (b[:, i] << 10) | (b[:, j] << 5) | b[:, k]
-    order = np.argsort(key, axis=1)
-    flat = np.take_along_axis(key, order, 1).ravel()
-    new = np.ones(len(flat), bool)
-    new[1:] = flat[1:] != flat[:-1]
-    new[:: len(w)] = True
-    starts = np.flatnonzero(new)
-    sums = np.add.reduceat(w[order].ravel(), starts)
-    norms = np.sqrt(np.bincount(starts // len(w), sums**2, minlength=n))
-    return key, w, norms
-
-
-def by_length(words: list[str]):
-    """Batches (owner index, symbols) of equally long pieces of the words."""
-    groups: dict[int, tuple[list, list]] = {}
-    for at, word in enumerate(words):
-        for p in pieces(word):
-            owner, rows = groups.setdefault(len(p), ([], []))
-            owner.append(at)
-            rows.append(p)
-    for m, (owner, rows) in groups.items():
-        step = max(1, 400_000 // max(1, math.comb(m, 3)))
-        for s in range(0, len(rows), step):
-            yield np.array(owner[s : s + step]), np.array(rows[s : s + step], np.int64)
-
-
-def margins(words: list[str], weights: np.ndarray, bias: float) -> np.ndarray:
-    """The machine's value of each word; of a long word, its highest piece's."""
-    out = np.full(len(words), -np.inf)
-    for owner, batch in by_length(words):
-        if batch.shape[1] < 3:
-            np.maximum.at(out, owner, bias)
-            continue
-        key, w, norms = features(batch)
-        np.maximum.at(out, owner, (weights[key] @ w) / norms + bias)
-    return out
+def spread(ranked: list[str], most: int, alike: float = 0.85) -> list[str]:
+    """The first of a ranking that are not alike one taken before."""
+    ranked = ranked[: 6 * most]
+    z = Index(ranked).z.astype(np.float32) if ranked else None
+    taken: list[int] = []
+    for i in range(len(ranked)):
+        if len(taken) < most and (not taken or float((z[taken] @ z[i]).max()) < alike):
+            taken.append(i)
+    return [ranked[i] for i in taken]
 
 
-def dense(words: list[str]) -> np.ndarray:
-    """Normalised subsequence features of a few words, as rows."""
-    out = np.zeros((len(words), 32768), np.float32)
-    for owner, batch in by_length(words):
-        if batch.shape[1] >= 3:
-            key, w, norms = features(batch)
-            rows = np.repeat(owner, key.shape[1])
-            np.add.at(out, (rows, key.ravel()), (w[None, :] / norms[:, None]).ravel().astype(np.float32))
-    n = np.linalg.norm(out, axis=1, keepdims=True)
-    return out / np.maximum(n, 1e-9)
+def units(words) -> set[str]:
+    """What may be a landmark: words with their blanks, and beginnings of words."""
+    words = {w for w in words if 2 <= len(w) <= LONGEST}
+    return {f" {w} " for w in words} | {f" {w[:k]}" for w in words for k in range(4, min(9, len(w)))}
 
 
 def crc(word: str) -> int:
     import zlib
 
-    return zlib.crc32(word.encode())
-
-
-def spread(ranked: list[str], most: int, alike: float = 0.7) -> list[str]:
-    """Landmarks: the first of the ranking that are not alike one taken before."""
-    taken, rows = [], None
-    for word in ranked[: 12 * most]:
-        row = dense([word])
-        if rows is None or len(taken) == 0 or float((rows[: len(taken)] @ row[0]).max()) < alike:
-            if rows is None:
-                rows = np.zeros((most, row.shape[1]), np.float32)
-            rows[len(taken)] = row[0]
-            taken.append(word)
-            if len(taken) == most:
-                break
-    return taken
-
-
-def fit_words(words: list[str], toxic: np.ndarray, clean: np.ndarray, n_toxic: int, n_clean: int) -> tuple[np.ndarray, float]:
-    """Folded weights and bias from, for each word, the number of toxic and of clean documents that hold it."""
-    from heapq import nsmallest
-
-    p0 = n_toxic / (n_toxic + n_clean)
-    p = toxic / (toxic + clean)
-    with np.errstate(divide="ignore", invalid="ignore"):
-        surprise = toxic * np.log(p / p0) + np.where(clean > 0, clean * np.log((1 - p) / (1 - p0)), 0.0)
-    fits = np.array([2 <= len(w) <= 40 for w in words], bool)
-    value = np.where(p > p0, surprise, 0.0)
-    ranked = nsmallest(max(1500, 9 * LANDMARKS), np.flatnonzero(fits & (value > 0)).tolist(), key=lambda i: (-value[i], words[i]))
-    positive = [i for i in ranked[:1500] if value[i] > 5.0]
-    if len(positive) < 20:
-        positive = [i for i in ranked[:200] if value[i] > 1.5]
-    others = np.flatnonzero(fits & (clean > 0) & (value <= 1.0)).tolist()
-    common = nsmallest(1000, others, key=lambda i: (-(toxic[i] + clean[i]), words[i]))
-    negative = [words[i] for i in dict.fromkeys(common + nsmallest(5000, others, key=lambda i: crc(words[i])))]
-    if not positive or not negative:
-        return np.zeros(32768), -1.0
-    strength = np.array([min(value[i], 30.0) for i in positive])
-    positive = [words[i] for i in positive]
-    landmarks = spread(positive, LANDMARKS * 3 // 4, 0.85) + spread(negative, LANDMARKS // 4)
-    z = dense(landmarks)
-    gram = z @ z.T
-    lam, vec = np.linalg.eigh(gram.astype(np.float64))
-    keep = lam > 1e-4
-    root = vec[:, keep] / np.sqrt(lam[keep])
-    all_words = positive + negative
-    x = np.vstack([dense(all_words[s : s + 128]) @ z.T for s in range(0, len(all_words), 128)]).astype(np.float64) @ root
-    y = np.r_[np.ones(len(positive)), -np.ones(len(negative))]
-    weight = np.r_[strength / strength.sum(), np.full(len(negative), 1.0 / len(negative))]
-    u, b = hinge(x, y, weight)
-    return z.T.astype(np.float64) @ (root @ u), float(b)
+    return zlib.crc32(word.encode("utf-8", "surrogatepass"))
 
 
-def hinge(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 2e-4, steps: int = 600) -> tuple[np.ndarray, float]:
-    """Squared hinge with a ridge, by accelerated gradient steps; weight: of each row, in all 2."""
+def fit(telling: list[str], plain: list[str], bad: list[list[str]], good: list[list[str]]) -> tuple[Index, np.ndarray, float] | None:
+    """Index, folded table and bias from the units that stand out, others, and the sentences (words) of both classes."""
+    if not telling or not plain:
+        return None
+    index = Index(list(dict.fromkeys(spread(telling, LANDMARKS // 2) + spread(plain, LANDMARKS // 2))))
+    lam, vec = np.linalg.eigh(index.z @ index.z.T)
+    keep = lam > 1e-6
+    root = vec[:, keep] / np.sqrt(lam[keep])
+    rank = {u: i for i, u in enumerate(telling)}
+    words = list(dict.fromkeys(w for s in (*bad, *good) for w in s))
+    at = {w: i for i, w in enumerate(words)}
+    best = np.array([min((rank[u] for u in units([w]) if u in rank), default=len(rank)) for w in words])
+    value = np.where(best < len(rank), 1.0 + 1.0 / (1 + best), -1.0)  # before there is a machine: the order in which units stand out
+    clean, often = np.unique([at[w] for s in good for w in set(s)], return_counts=True)
+    count = np.zeros(len(words))
+    count[clean] = often
+    bags = [np.array([at[w] for w in s]) for s in bad]
+    some = np.array(sorted(clean.tolist(), key=lambda i: crc(words[i])), np.int64)[:OTHERS]
+    table, bias = None, 0.0
+    for _ in range(ROUNDS):
+        witness = np.array([b[np.argmax(value[b])] for b in bags], np.int64)
+        witness = witness[value[witness] > 0]
+        witness = witness[~np.isin(witness, clean)]  # a word of a clean sentence is none
+        if not len(witness):
+            break
+        good_ones, times = np.unique(witness, return_counts=True)
+        hard = clean[np.argsort(-value[clean], kind="stable")[:HARD]]
+        bad_ones = np.union1d(hard, some)
+        x = kernel_rows(index, [words[i] for i in (*good_ones, *bad_ones)]) @ root
+        y = np.r_[np.ones(len(good_ones)), -np.ones(len(bad_ones))]
+        # A word counts by how many sentences it is in, so that chance witnesses weigh little.
+        p, q = np.minimum(times, 50.0), np.sqrt(count[bad_ones])
+        weight = np.r_[0.5 * p / p.sum(), 0.5 * q / q.sum()]
+        u, bias = hinge(x, y, weight)
+        table = np.zeros(index.size, np.float32)
+        table[index.places] = index.z.T @ (root @ u)
+        value = margins(index, table, bias, words)
+    return (index, table, float(bias)) if table is not None else None
+
+
+def hinge(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1e-4, steps: int = 500) -> tuple[np.ndarray, float]:
+    """Squared hinge with a ridge, by accelerated gradient steps; weights sum to 1."""
     xb = np.c_[x, np.ones(len(x))]
     rate = 1.0 / (2 * np.linalg.eigvalsh((xb * weight[:, None]).T @ xb)[-1] + 2 * ridge)
     u = v = np.zeros(xb.shape[1])
@@ -196,22 +279,34 @@ def hinge(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 2e-4,
     return u[:-1], u[-1]
 
 
-#: Margins at which a document's words are counted.
-LEVELS = (-0.4, 0.0, 0.3, 0.6)
-SUMMARY = 3 + len(LEVELS) + 2
-
-
-def summary(values: np.ndarray) -> list[float]:
-    """What a document's score looks at: its highest margins, how many words pass each level, their share, the length."""
-    if not len(values):
-        return [-1.5, -1.5, -1.5, *[0.0] * (SUMMARY - 3)]
-    top = np.sort(values)[::-1][:3]
-    top = np.r_[top, np.full(3 - len(top), -1.5)]
-    over = [float((values > x).sum()) for x in LEVELS]
-    return [*np.clip(top, -1.5, 1.5), *np.log1p(over), 10 * over[1] / (len(values) + 20), math.log1p(len(values)) / 4]
+NONE = [-3.0, -3.0, 0.0, 0.0]
+
+
+def summaries(value: np.ndarray) -> np.ndarray:
+    """Of each text (token values; inf at its start, -inf at a sentence's end): its two highest sentences, how many are
+    positive and how many there are, as logarithms."""
+    ends = np.flatnonzero(np.isinf(value))
+    owner = np.cumsum(value == np.inf) - 1
+    n = int(owner[-1]) + 1 if len(owner) else 0
+    out = np.tile(NONE, (n, 1))
+    held = ends[:-1][np.diff(ends) > 1]  # a mark or wall with words after it
+    if len(held):
+        finite = np.where(np.isinf(value), -np.inf, value)
+        top = np.clip(np.maximum.reduceat(finite, held), -3, 3)
+        text = owner[held]
+        order = np.lexsort((-top, text))
+        t, v = text[order], top[order]
+        first = np.flatnonzero(np.r_[True, t[1:] != t[:-1]])
+        size = np.diff(np.r_[first, len(t)])
+        out[t[first], 0] = v[first]
+        more = first[size > 1]
+        out[t[more], 1] = v[more + 1]
+        out[:, 2] = np.log1p(np.bincount(text, top > 0, minlength=n))
+        out[:, 3] = np.log1p(np.bincount(text, minlength=n))
+    return out
 
 
-def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05, steps: int = 50) -> np.ndarray:
+def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.02, steps: int = 60) -> np.ndarray:
     xb = np.c_[x, np.ones(len(x))]
     u = np.zeros(xb.shape[1])
     reg = np.r_[np.full(x.shape[1], ridge), 1e-6]
@@ -223,65 +318,133 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05, steps: int = 50)
     return u
 
 
-def train(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED) -> dict:
-    """The model, from at most `most` labelled documents of each class, the smallest by a hash of doc_id."""
-    chosen = labels.select("doc_id", "toxic").where("toxic in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
-    ids = [chosen.where(F.col("toxic") == c).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most) for c in (0, 1)]
-    ids = ids[0].unionByName(ids[1])
-
-    def reduced(batches):
-        for pdf in batches:
-            pdf["text"] = ["\n".join(sorted(strings(t))) if t else "" for t in pdf["text"]]
-            yield pdf
-
-    sample = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("toxic", "text")
-    rows = sample.mapInPandas(reduced, sample.schema).orderBy("toxic", F.xxhash64("text"), "text").collect()  # at most twice `most`
-    ids: dict[str, int] = {}
-    bags, labels = [], np.array([r["toxic"] for r in rows], int)
-    while rows:
-        found = rows.pop(0)["text"]
-        bags.append(np.array([ids.setdefault(w, len(ids)) for w in found.split("\n") if w], np.int32))
-    n = [int((labels == c).sum()) for c in (0, 1)]
-    share = (n[1] + 0.5) / (n[0] + n[1] + 1)
-    if not all(n):
-        return {"weights": np.zeros(32768, np.float32), "bias": -1.0, "doc": np.r_[np.zeros(SUMMARY), math.log(share / (1 - share))]}
-    words = list(ids)
-    seen = [np.bincount(np.concatenate([b for b, t in zip(bags, labels) if t == c]), minlength=len(words)) for c in (0, 1)]
-    weights, bias = fit_words(words, seen[1], seen[0], n[1], n[0])
-    value = margins(words, weights, bias)
-    x = np.array([summary(value[b]) for b in bags])
-    y = labels.astype(float)
-    return {"weights": weights.astype(np.float32), "bias": bias, "doc": logistic(x, y)}
-
-
-def scorer(model: dict):
-    """A function from a list of texts to their scores; margins of words seen lately are kept."""
-    weights, bias, doc = model["weights"].astype(np.float64), model["bias"], model["doc"]
-    kept: dict[str, float] = {}
-
-    def score(texts: list) -> np.ndarray:
-        out = []
-        for s in range(0, len(texts), 64):
-            bags = [strings(t) if t else set() for t in texts[s : s + 64]]
+def chunks(texts: list):
+    """Stretches of texts of about CHUNK symbols; a text is never cut."""
+    at, size = 0, 0
+    for k, t in enumerate(texts):
+        size += len(t or "") + 1
+        if size >= CHUNK:
+            yield texts[at : k + 1]
+            at, size = k + 1, 0
+    if at < len(texts):
+        yield texts[at:]
+
+
+def featured(model: dict):
+    """A function from a list of texts to what their scores look at; values of words seen lately are kept."""
+    marks = {chr(MARK): np.inf, chr(WALL): -np.inf, "": np.nan}
+    kept: dict[str, float] = dict(marks)
+
+    def of(texts: list) -> np.ndarray:
+        out = [np.empty((0, len(NONE)))]
+        for part in chunks(texts):
+            if model["index"] is None:
+                out.append(np.tile(NONE, (len(part), 1)))
+                continue
+            words = tokens(part)
             if len(kept) > KEPT:
                 kept.clear()
-            new = list(set().union(*bags).difference(kept))
-            kept.update(zip(new, margins(new, weights, bias).tolist()))
-            out += [summary(np.fromiter(map(kept.__getitem__, b), float, len(b))) for b in bags]
-        x = np.c_[np.array(out).reshape(-1, len(doc) - 1), np.ones(len(out))]
-        return 1 / (1 + np.exp(-np.clip(x @ doc, -30, 30)))
+                kept.update(marks)
+            new = list(set(words).difference(kept))
+            kept.update(zip(new, margins(model["index"], model["table"], model["bias"], new).tolist()))
+            value = np.fromiter(map(kept.__getitem__, words), float, len(words))
+            out.append(summaries(value[~np.isnan(value)]))
+        return np.concatenate(out)
+
+    return of
+
+
+def counted(rows: DataFrame) -> DataFrame:
+    """unit, toxic, clean: how many documents of either class hold a unit. rows: toxic, text."""
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            for k in range(0, batch.num_rows, 64):
+                part = batch.slice(k, 64)
+                found = [list(units({w for s in sentences(t.as_py()) for w in s})) for t in part.column("text")]
+                yield pa.RecordBatch.from_arrays([part.column("toxic"), pa.array(found, pa.list_(pa.string()))], ["toxic", "units"])
+
+    held = rows.select("toxic", "text").mapInArrow(run, "toxic int, units array<string>").select("toxic", F.explode("units").alias("unit"))
+    return held.groupBy("unit").agg(F.sum("toxic").alias("toxic"), F.sum(1 - F.col("toxic")).alias("clean"))
+
+
+def standing(counts: DataFrame, n: dict[int, int]) -> tuple[list[str], list[str]]:
+    """Units that stand out in toxic documents, best first, and others: the commonest and some by hash."""
+    p0 = n[1] / (n[0] + n[1])
+    both = F.col("toxic") + F.col("clean")
+    p = F.col("toxic") / both
+    surprise = F.col("toxic") * F.log(p / p0) + F.when(F.col("clean") > 0, F.col("clean") * F.log((1 - p) / (1 - p0))).otherwise(0.0)
+    rows = counts.select("unit", "toxic", "clean", F.when(p > p0, surprise).otherwise(0.0).alias("value"))
+    size, most = rows.agg(F.count(F.lit(1)), F.max("value")).first()
+    if not size:
+        return [], []
+    least = min(math.log(size + 1), 0.5 * most)  # what the best of so many units reach by chance
+    ratio = (F.col("toxic") / n[1]) / ((F.col("clean") + 0.5) / n[0])
+    telling = rows.where((F.col("value") > max(least, 0.1)) & (ratio >= TELLING)).orderBy(F.desc("value"), "unit").limit(3 * LANDMARKS)
+    plain = rows.where((F.col("value") <= 1.0) & (F.col("clean") > 0) & F.col("unit").endswith(" "))
+    common = plain.orderBy(F.desc(both), "unit").limit(2 * LANDMARKS)
+    rare = plain.orderBy(F.xxhash64("unit"), "unit").limit(2 * LANDMARKS)
+    named = lambda df: [r["unit"] for r in df.collect()]  # noqa: E731  bounded by the limits
+    return named(telling), [u for pair in zip(*(named(x) for x in (common, rare))) for u in pair]
+
+
+def train(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED, most_sentences: int = MOST_SENTENCES) -> dict:
+    """The model, from at most `most` labelled documents of each class and `most_sentences` of their sentences, the smallest by hash."""
+    spark = docs.sparkSession
+    chosen = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).where("toxic in (0, 1) and doc_id is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    ids = [chosen.where(F.col("toxic") == c).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most) for c in (0, 1)]
+    rows = common.staged(docs.select("doc_id", "text").join(F.broadcast(ids[0].unionByName(ids[1])), "doc_id").select("toxic", "text"), "labelled")  # twice `most` ids
+    n = {0: 0, 1: 0} | {r["toxic"]: r["count"] for r in rows.groupBy("toxic").count().collect()}
+    share = (n[1] + 0.5) / (n[0] + n[1] + 1)
+    model = {"index": None, "table": None, "bias": 0.0, "doc": np.r_[np.zeros(len(NONE)), math.log(share / (1 - share))]}
+    if not all(n.values()):
+        common.dropped(rows)
+        return model
+
+    def cut(batches):
+        import pandas as pd
 
-    return score
+        for pdf in batches:
+            for k in range(0, len(pdf), 64):
+                part = pdf.iloc[k : k + 64]
+                # Bounded sentences for the training sample; scoring takes sentences of any length whole.
+                found = [(t, " ".join(s[a : a + 64])) for t, text in zip(part["toxic"], part["text"]) for s in sentences(text) for a in range(0, len(s), 64)]
+                yield pd.DataFrame(found, columns=["toxic", "string"])
+
+    counts = common.staged(counted(rows), "units")
+    telling, plain = standing(counts, n)
+    common.dropped(counts)
+    found = rows.mapInPandas(cut, "toxic int, string string").groupBy("string").agg(F.min("toxic").alias("toxic"))  # what a clean document holds is clean
+    sample = [[r["string"].split(" ") for r in found.where(F.col("toxic") == c).orderBy(F.xxhash64("string"), "string").limit(most_sentences).collect()] for c in (1, 0)]
+    fitted = fit(telling, plain, *sample)
+    if fitted is not None:
+        model |= dict(zip(("index", "table", "bias"), fitted))
+        shared = spark.sparkContext.broadcast(model)
+        columns = [f"x{i}" for i in range(len(NONE))]
+
+        def seen(batches):
+            of = featured(shared.value)
+            for pdf in batches:
+                x = of(pdf["text"].tolist())
+                yield pdf[["toxic"]].assign(**{c: x[:, i] for i, c in enumerate(columns)})
+
+        got = rows.mapInPandas(seen, "toxic int, " + ", ".join(f"{c} double" for c in columns)).orderBy("toxic", *columns).toPandas()  # a few numbers for each of twice `most` documents
+        model["doc"] = logistic(got[columns].to_numpy(), got["toxic"].to_numpy(float))
+    common.dropped(rows)
+    return model
 
 
 def score(docs: DataFrame, model: dict, column: str = "toxicity") -> DataFrame:
     """docs with a further column of scores."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # 128 KB, whatever the data
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # by the number of landmarks, whatever the data
 
     def scored(batches):
-        f = scorer(shared.value)
+        model = shared.value
+        of = featured(model)
         for pdf in batches:
-            pdf[column] = f(pdf["text"].tolist())
+            x = np.c_[of(pdf["text"].tolist()), np.ones(len(pdf))]
+            pdf[column] = 1 / (1 + np.exp(-np.clip(x @ model["doc"], -30, 30)))
             yield pdf
 
     from pyspark.sql.types import DoubleType, StructType

@@ -82,31 +82,60 @@ def test_licenses_filters_are_exact(spark):
 # 2
 
 
+def subsequences(x):
+    """Plain features of a string: four symbols within SPAN, weighted by their gaps."""
+    out = Counter()
+    for i, j, k, n in combinations(range(len(x)), 4):
+        if n - i < toxicity.SPAN:
+            out[x[i], x[j], x[k], x[n]] += toxicity.DECAY ** (n - i - 3)
+    return out
+
+
 def test_kernel_table_equals_landmark_expansion():
-    """Folded weights give the same value as the sum over landmarks; gaps and inserted letters stay close."""
-    ws = ["idiot", "idxiot", "clown", "hello", "a", "thing"]
-    z = toxicity.dense(ws)
-    c = np.array([0.5, -0.2, 0.3, 0.1, -0.4, 0.2])
-    table = z.T.astype(float) @ c
-    for w in ws + ["moron", "idioot"]:
-        k = toxicity.dense([w]) @ z.T
-        assert abs(float(k[0] @ c) - toxicity.margins([w], table, 0.0)[0]) < 1e-4
-
-    def kernel(s, t):
-        def f(x):
-            s_ = [toxicity.START, *toxicity.codes(x), toxicity.END]
-            out = Counter()
-            for i, j, k in combinations(range(len(s_)), 3):
-                out[s_[i], s_[j], s_[k]] += toxicity.DECAY ** (k - i - 2)
-            return out
-
-        a, b = f(s), f(t)
-        dot = lambda x, y: sum(v * y[k] for k, v in x.items())
-        return dot(a, b) / (dot(a, a) * dot(b, b)) ** 0.5
-
-    assert abs(kernel("idiot", "idxiot") - float(z[0] @ z[1])) < 1e-5
-    assert z[0] @ z[1] > 0.4 > z[0] @ z[3]
-    assert toxicity.cleaned("***IDI.OT###") == "idiot" and "idiot" in toxicity.strings("you i d i o t yes")
+    """Folded weights give the same value as the sum of plain kernels with the landmarks; letters are kept apart."""
+    landmarks = [" idiot ", " clown ", " niño ", " größ", " thing "]
+    index = toxicity.Index(landmarks)
+    c = np.array([0.5, -0.2, 0.3, 0.1, -0.4])
+    table = np.zeros(index.size, np.float32)
+    table[index.places] = index.z.T @ c
+    words = ["idiot", "idxiot", "idiiot", "clown", "nino", "niño", "größer", "großer", "a", "thing", "字字字字", "moron" * 12]
+
+    def plain(word):
+        best = []
+        for p in toxicity.pieces(word):
+            f, own = subsequences(p), 0.0
+            for w, l in zip(c, landmarks):
+                z = subsequences(l)
+                own += w * sum(v * z[k] for k, v in f.items()) / sum(v * v for v in z.values()) ** 0.5
+            best.append(own / toxicity.norm(len(p)))
+        return max(best)
+
+    got = toxicity.margins(index, table, 0.0, words)
+    assert np.allclose(got, [plain(w) for w in words], atol=1e-5)
+    rows = toxicity.kernel_rows(index, words[:-1]) @ c
+    assert np.allclose(rows, got[:-1], atol=1e-5)
+    near = dict(zip(words, toxicity.kernel_rows(index, words)))
+    assert near["idxiot"][0] > 0.3 > near["clown"][0] and near["niño"][2] > 2 * near["nino"][2] and near["größer"][3] > 2 * near["großer"][3]
+
+
+def test_tokens_of_sentences():
+    assert toxicity.sentences("You ***IDI.OT###! i d i o t yes.\nNo 1d1ot here.") == [["you", "idiot"], ["idiot", "yes"], ["no", "idiot", "here"]]
+    assert toxicity.sentences(None) == toxicity.sentences(" \n .. ") == []
+    assert toxicity.tokens(["", "a.", None]).count(chr(toxicity.MARK)) == 3
+
+
+def test_score_is_the_highest_sentences(spark):
+    """The query's scores equal a plain reading of its model, sentence by sentence and word by word."""
+    d = SMALL.replace("sf0.001", "sf0.01")
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    model = toxicity.train(docs, labels)
+    few = docs.where("doc_id % 7 = 0")
+    got = {r["doc_id"]: r["toxicity"] for r in toxicity.score(few.select("doc_id", "text"), model).collect()}
+    for r in few.collect():
+        tops = [max(toxicity.margins(model["index"], model["table"], model["bias"], s)) for s in toxicity.sentences(r["text"])]
+        tops = sorted((min(max(t, -3), 3) for t in tops), reverse=True)
+        x = [*(tops[:2] + [-3.0, -3.0])[:2], np.log1p(sum(t > 0 for t in tops)), np.log1p(len(tops)), 1.0]
+        assert abs(got[r["doc_id"]] - 1 / (1 + np.exp(-np.dot(x, model["doc"])))) < 1e-6
 
 
 def test_toxicity_held_out(spark):
@@ -118,6 +147,7 @@ def test_toxicity_held_out(spark):
     pos, neg = [s for s, t in pairs if t], [s for s, t in pairs if not t]
     auc = np.mean([(a > b) + 0.5 * (a == b) for a in pos for b in neg])
     assert auc > 0.75
+    assert np.mean([t >= 0.5 for t in neg]) < 0.02
     assert all(r["held_out"] == (zlib.crc32(str(i).encode()) % 5 == 0) and 0 <= r["score"] <= 1 for i, r in got.items())
 
 
