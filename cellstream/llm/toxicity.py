@@ -66,8 +66,8 @@ def fold_table() -> np.ndarray:
     return _fold[0]
 
 
-def tokens(texts: list) -> list[str]:
-    """Words of all texts in order; MARK starts a text, and WALL ends a sentence."""
+def symbols(texts: list) -> np.ndarray:
+    """Code points of the words of all texts in order, with blanks between; MARK starts a text, and WALL ends a sentence."""
     wall, parts = np.array([WALL, CUT, WALL], np.uint32), []
     for text in texts:
         parts += wall, np.frombuffer((text or "").lower().encode("utf-32-le", "surrogatepass"), np.uint32)
@@ -88,7 +88,24 @@ def tokens(texts: list) -> list[str]:
     at = np.cumsum(walls) - 2
     out = np.repeat(np.where(c == WALL, BLANK, c), walls)
     out[at[c == WALL]] = WALL
-    return out.astype("<u4").tobytes().decode("utf-32-le", "surrogatepass").split(" ")
+    return out.astype(np.uint32)
+
+
+def tokens(texts: list) -> list[str]:
+    return [t for t in symbols(texts).astype("<u4").tobytes().decode("utf-32-le", "surrogatepass").split(" ") if t]
+
+
+def places(c: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Start, length and a 64-bit hash of each token in an array of `symbols`."""
+    word = c != BLANK
+    edge = np.flatnonzero(np.diff(np.r_[False, word, False].view(np.int8)))
+    starts, sizes = edge[::2], np.diff(edge)[::2]
+    if not len(starts):
+        return starts, sizes, np.empty(0, np.uint64)
+    at = np.flatnonzero(word)
+    inside = at - np.repeat(starts, sizes)
+    h = common.mix(c[at].astype(np.uint64) + (inside.astype(np.uint64) << np.uint64(21)) + np.uint64(0x9E3779B97F4A7C15))
+    return starts, sizes, common.mix(np.add.reduceat(h, np.r_[0, np.cumsum(sizes)[:-1]]))
 
 
 def sentences(text: str | None) -> list[list[str]]:
@@ -96,7 +113,7 @@ def sentences(text: str | None) -> list[list[str]]:
     for t in tokens([text]):
         if t == chr(WALL):
             out.append([])
-        elif t and t != chr(MARK):
+        elif t != chr(MARK):
             out[-1].append(t)
     return [s for s in out if s]
 
@@ -167,14 +184,37 @@ class Index:
                 yield z - 3, left[x][:, : m - z] + right[z - y][:, y : m - z + y]
 
 
+def valued(index: Index, table: np.ndarray, bias: float, codes: np.ndarray) -> np.ndarray:
+    """The machine's value of equally long strings, as rows of codes."""
+    total = np.zeros((SPAN - 3, len(codes)))
+    for gaps, at in index.hits(codes):
+        total[gaps] += table[at].sum(1)
+    return (DECAY ** np.arange(SPAN - 3)) @ total / norm(codes.shape[1]) + bias
+
+
 def margins(index: Index, table: np.ndarray, bias: float, words: list[str]) -> np.ndarray:
     """The machine's value of each word; of a long one, its highest piece's."""
     out = np.full(len(words), -np.inf)
     for owner, codes in index.groups(words):
-        total = np.zeros((SPAN - 3, len(codes)), np.float64)
-        for gaps, at in index.hits(codes):
-            total[gaps] += table[at].sum(1)
-        np.maximum.at(out, owner, (DECAY ** np.arange(SPAN - 3)) @ total / norm(codes.shape[1]) + bias)
+        np.maximum.at(out, owner, valued(index, table, bias, codes))
+    return out
+
+
+def margins_at(model: dict, lut: np.ndarray, c: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The same of the words at these places in an array of `symbols`."""
+    index, table, bias = model["index"], model["table"], model["bias"]
+    out = np.empty(len(starts))
+    for size in np.unique(sizes).tolist():
+        on = np.flatnonzero(sizes == size)
+        if size > LONGEST:
+            words = [c[a : a + size].astype("<u4").tobytes().decode("utf-32-le", "surrogatepass") for a in starts[on].tolist()]
+            out[on] = margins(index, table, bias, words)
+            continue
+        for k in range(0, len(on), step := max(1, 200_000 // size)):
+            own = on[k : k + step]
+            codes = np.full((len(own), size + 2), lut[BLANK], np.int32)
+            codes[:, 1:-1] = lut[c[starts[own][:, None] + np.arange(size)]]
+            out[own] = valued(index, table, bias, codes)
     return out
 
 
@@ -332,23 +372,31 @@ def chunks(texts: list):
 
 def featured(model: dict):
     """A function from a list of texts to what their scores look at; values of words seen lately are kept."""
-    marks = {chr(MARK): np.inf, chr(WALL): -np.inf, "": np.nan}
-    kept: dict[str, float] = dict(marks)
+    kept: dict[int, float] = {}
+    lut = None
+    if model["index"] is not None:
+        lut = np.zeros(CUT, np.int32)
+        lut[model["index"].points] = np.arange(1, model["index"].base)
 
     def of(texts: list) -> np.ndarray:
         out = [np.empty((0, len(NONE)))]
         for part in chunks(texts):
-            if model["index"] is None:
+            if lut is None:
                 out.append(np.tile(NONE, (len(part), 1)))
                 continue
-            words = tokens(part)
+            c = symbols(part)
+            starts, sizes, h = places(c)
+            _, first, back = np.unique(h, return_index=True, return_inverse=True)
+            names = h[first].tolist()
             if len(kept) > KEPT:
                 kept.clear()
-                kept.update(marks)
-            new = list(set(words).difference(kept))
-            kept.update(zip(new, margins(model["index"], model["table"], model["bias"], new).tolist()))
-            value = np.fromiter(map(kept.__getitem__, words), float, len(words))
-            out.append(summaries(value[~np.isnan(value)]))
+            new = [i for i, x in enumerate(names) if x not in kept]
+            at = first[new]
+            kept.update(zip([names[i] for i in new], margins_at(model, lut, c, starts[at], sizes[at]).tolist()))
+            value = np.fromiter(map(kept.__getitem__, names), float, len(names))[back]
+            value[c[starts] == MARK] = np.inf
+            value[c[starts] == WALL] = -np.inf
+            out.append(summaries(value))
         return np.concatenate(out)
 
     return of
