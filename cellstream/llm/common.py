@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import atexit
-import re
 import shutil
 import tempfile
 import uuid
@@ -15,6 +14,8 @@ from pyspark.sql import functions as F
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 _own_dir: list[str] = []
+#: Folders of staged tables that are still there, in the order of their writing.
+_held: list[str] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -27,9 +28,11 @@ def lower_ascii(text: Column) -> Column:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none."""
+    """The folder that driver and executors share; a temporary one only where a local session names none."""
     if named := spark.conf.get("spark.checkpoint.dir", None):
         return named
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not _own_dir:
         _own_dir.append(tempfile.mkdtemp(prefix="cellstream-"))
         atexit.register(shutil.rmtree, _own_dir[0], ignore_errors=True)
@@ -54,14 +57,31 @@ def staged(df: DataFrame, what: str) -> DataFrame:
             spark.conf.set(cleanup, before)
     out = spark.read.schema(df.schema).parquet(path)
     out._staged_path = path
+    _held.append(path)
     return out
 
 
+def removed(spark: SparkSession, paths: list[str]) -> None:
+    for name in paths:
+        path = spark._jvm.org.apache.hadoop.fs.Path(name)
+        path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+        _held.remove(name)
+
+
 def dropped(*tables: DataFrame) -> None:
     """Deletes the files of staged tables that nothing will read again."""
     for df in tables:
-        path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._staged_path)
-        path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+        removed(df.sparkSession, [df._staged_path])
+
+
+def mark() -> int:
+    """A place in the order of staged tables, for `release`."""
+    return len(_held)
+
+
+def release(since: int, keep: DataFrame) -> None:
+    """Deletes all tables staged after `since` but `keep`: what they led to is written, and nothing reads them again."""
+    removed(keep.sparkSession, [p for p in _held[since:] if p != keep._staged_path])
 
 
 def free_name(df: DataFrame, name: str) -> str:
@@ -73,15 +93,24 @@ def free_name(df: DataFrame, name: str) -> str:
 
 
 def numbered(docs: DataFrame, name: str = "row_id") -> DataFrame:
-    """docs with a number for each row that stays the same whenever the result is read again.
+    """docs with a number for each row, different in each.
+
+    The numbers follow the partitions of the scan, and these follow the cores that are there: another read may
+    number the rows anew. So only one read may use them, or the result is `staged` first.
+    """
+    return docs.withColumn(name, F.monotonically_increasing_id())
+
+
+def matched(rows: DataFrame, keys: DataFrame, on: list[str], heavy) -> DataFrame:
+    """rows joined with keys, which hold `on` once. heavy: a condition that a thousand keys meet at most.
 
-    Over a plain file scan, partition and place in it give the same number each time; anything else is
-    written first.
+    Heavy keys are broadcast, so that none of them sends its rows to one task; the others are met by an exchange.
     """
-    plan = docs._jdf.queryExecution().optimizedPlan().toString()
-    plain = re.fullmatch(r"(Project [^\n]*\n\+- )?Relation \[[^\n]*\] parquet\s*", plan)
-    out = docs.withColumn(name, F.monotonically_increasing_id())
-    return out if plain else staged(out, "rows")
+    more = [c for c in keys.columns if c not in on]
+    hot = F.broadcast(keys.where(heavy).select(*on, F.struct(F.lit(True), *more).alias("_hot")))
+    split = rows.join(hot, on, "left")
+    rest = split.where("_hot is null").drop("_hot").join(keys.where(~heavy), on)
+    return split.where("_hot is not null").select(*rows.columns, *[F.col(f"_hot.{c}").alias(c) for c in more]).unionByName(rest.select(*rows.columns, *more))
 
 
 def components(edges: DataFrame, rounds: int = 40) -> DataFrame:

@@ -121,21 +121,26 @@ def repeated_windows(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR)
     offsets are repeated; null offsets mean all `size` of them. Documents without one have no row."""
     seen = common.staged(anchor_lists(docs, width, anchor), "anchors")
     places = seen.select("row_id", F.explode("anchors").alias("anchor"))
-    counts = places.groupBy("anchor").count().where("count > 1").select("anchor")
-    wanted = common.staged(places.join(counts, "anchor").groupBy("row_id").agg(F.collect_set("anchor").alias("repeated")), "repeated")
+    total = seen.agg(F.coalesce(F.sum(F.size("anchors")), F.lit(0))).first()[0]
+    counts = common.staged(places.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "counts")
+    wanted = common.matched(places, counts, ["anchor"], F.col("n") * 1000 > total)
+    wanted = common.staged(wanted.groupBy("row_id").agg(F.collect_set("anchor").alias("repeated")), "repeated")
     found = common.staged(candidate_windows(docs.select("row_id", "text").join(wanted, "row_id"), width, anchor).withColumn("kind", F.xxhash64("hashes")), "windows")
-    common.dropped(seen, wanted)
+    common.dropped(seen, counts, wanted)
+    everywhere = found.count()
     kinds = found.groupBy("anchor", "kind").agg(F.count(F.lit(1)).alias("times"), F.first("hashes").alias("hashes"))
-    several = found.groupBy("anchor").agg(F.min("kind").alias("lo"), F.max("kind").alias("hi")).where("lo <> hi").select("anchor")
-    mixed = common.staged(kinds.join(several, "anchor"), "mixed")
+    several = found.groupBy("anchor").agg(F.min("kind").alias("lo"), F.max("kind").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi")
+    several = common.staged(several.select("anchor", "n"), "several")
+    mixed = common.staged(common.matched(kinds, several, ["anchor"], F.col("n") * 1000 > everywhere), "mixed")
     each = mixed.select("anchor", "kind", "times", F.posexplode("hashes").alias("i", "hash"))
-    twice = each.groupBy("anchor", "hash").agg(F.sum("times").alias("n")).where("n > 1").select("anchor", "hash")
-    offsets = each.join(twice, ["anchor", "hash"]).groupBy("anchor", "kind").agg(F.collect_set("i").alias("offsets"))
+    windows = mixed.agg(F.coalesce(F.sum(F.size("hashes")), F.lit(0))).first()[0]
+    twice = common.staged(each.groupBy("anchor", "hash").agg(F.sum("times").alias("times"), F.count(F.lit(1)).alias("n")).where("times > 1").drop("times"), "twice")
+    offsets = common.matched(each, twice, ["anchor", "hash"], F.col("n") * 1000 > windows).groupBy("anchor", "kind").agg(F.collect_set("i").alias("offsets"))
     judged = mixed.select("anchor", "kind", "times").join(offsets, ["anchor", "kind"], "left").select("anchor", "kind", "times", F.coalesce("offsets", F.array().cast("array<int>")).alias("offsets"))
     judged = common.staged(judged, "judged")
     # An array that holds more than a thousandth of all rows is one of a thousand at most; these few are broadcast,
     # so that a passage in a third of all documents does not send its rows to one task.
-    common_one = F.col("times") * 1000 > found.count()
+    common_one = F.col("times") * 1000 > everywhere
     hot = judged.where(common_one).select("anchor", "kind", F.col("offsets").alias("hot"))
     runs = found.select("row_id", "start", F.size("hashes").alias("size"), "anchor", "kind").join(F.broadcast(hot), ["anchor", "kind"], "left")
     rest = runs.where("hot is null").join(judged.where(~common_one).select("anchor", "kind", "offsets"), ["anchor", "kind"], "left")
@@ -143,7 +148,7 @@ def repeated_windows(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR)
     runs = runs.where("hot is not null").withColumnRenamed("hot", "offsets").select(columns).unionByName(rest.select(columns))
     runs = runs.where("offsets is null or size(offsets) > 0")
     out = common.staged(runs.groupBy("row_id").agg(F.collect_list(F.struct("start", "size", "offsets")).alias("runs")), "runs")
-    common.dropped(found, mixed, judged)
+    common.dropped(found, several, mixed, twice, judged)
     return out
 
 
@@ -162,7 +167,7 @@ def removed(runs: list | None, width: int, n: int):
 def marked(docs: DataFrame, width: int = WIDTH, anchor: int = ANCHOR) -> tuple[DataFrame, str]:
     """docs with one more column of repeated runs (null: nothing repeated), and that column's name."""
     row, runs = common.free_name(docs, "row_id"), common.free_name(docs, "repeated_runs")
-    rows = common.numbered(docs, row)
+    rows = common.staged(common.numbered(docs, row), "rows")  # read three times, with one number a row
     found = repeated_windows(rows.select(F.col(row).alias("row_id"), "text"), width, anchor)
     found = found.select(F.col("row_id").alias(row), F.col("runs").alias(runs))
     return rows.join(found, row, "left").select(*docs.columns, runs), runs
