@@ -32,9 +32,8 @@ TAILS = {"symbol_rate": 0.75, "dup_line_rate": 0.99, "repeat_rate": 0.99, "word_
 LOW = 0.1
 #: Least spread by rate, against none at all.
 FLOORS = {"symbol_rate": 0.005, "dup_line_rate": 0.005, "repeat_rate": 0.005, "word_length": 0.025}
-#: The twin in DuckDB still has the fixed margins and the least size of a group that the fences here replaced.
-LEAST = 50
-MARGINS = {"symbol_rate": 0.25, "dup_line_rate": 0.5, "repeat_rate": 0.3, "word_length": 4.0}
+#: Groups of language and source whose fences are broadcast at most; more are met by an exchange.
+BROADCAST = 20_000
 COUNTS = ["n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words"]
 _SIGNS = b"#*$%&|<>"
 
@@ -114,13 +113,12 @@ def thresholds(rows: DataFrame) -> DataFrame:
     return group.select("g_lang", "g_source", *high, (F.col("mid_word_length") - wide("word_length", "lo")).alias("t_word_length_lo"))
 
 
-def judged(docs: DataFrame) -> DataFrame:
-    """docs with the counts, base_failed and kept."""
-    rows = measured(docs)
+def verdicts(rows: DataFrame) -> DataFrame:
+    """rows (lang, source and the counts, staged) with base_failed and kept."""
     names = [c for c in rows.columns if c not in ("base_failed", "kept")]
-    thin = common.staged(measured(docs.select("text", "lang", "source")).where(~base_failed()).select("lang", "source", *rates()), "rates")
+    fences = common.staged(thresholds(rows.where(~base_failed()).select("lang", "source", *rates())), "fences")
     met = F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source"))
-    out = rows.join(thresholds(thin), met, "left")
+    out = rows.join(F.broadcast(fences) if fences.count() <= BROADCAST else fences, met, "left")
     rate = dict(zip(TAILS, rates()))
     odd = F.lit(False)
     for c in TAILS:
@@ -130,24 +128,32 @@ def judged(docs: DataFrame) -> DataFrame:
 
 
 def query(docs: DataFrame) -> DataFrame:
-    out = judged(docs.select("doc_id", "text", "lang", "source"))
+    """doc_id, the counts, base_failed and kept of every document; each text is read once, its counts are staged."""
+    rows = measured(docs.select("doc_id", "text", "lang", "source")).select("doc_id", "lang", "source", *COUNTS)
+    out = verdicts(common.staged(rows, "measured"))
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
 def filtered(docs: DataFrame) -> DataFrame:
-    """The rows of docs that are kept, with the columns of docs."""
+    """The rows of docs that are kept, with the columns of docs; rows are staged with their counts, so texts are read once."""
     aside = {c: c if c in ("text", "lang", "source") else f"own_{i}" for i, c in enumerate(docs.columns)}
     rows = docs.select([F.col(c).alias(a) for c, a in aside.items()])  # so that no name clashes with a count's
-    return judged(rows).where("kept").select([F.col(a).alias(c) for c, a in aside.items()])
+    # What fails the base rules is gone whatever the sketches say, and takes no part in them.
+    rows = common.staged(measured(rows).where(~base_failed()), "measured")
+    return verdicts(rows).where("kept").select([F.col(a).alias(c) for c, a in aside.items()])
 
 
 def oracle() -> str:
-    """The same counts in DuckDB; its verdict has the fixed margins of MARGINS and differs where these decide."""
+    """The same rows in DuckDB, with exact quantiles in place of sketches (these are exact up to ACCURACY / 2 rows a group)."""
     q = lambda c, p: f"list_sort(list({c}))[greatest(1, ceil({p} * count(*)))::BIGINT]"
-    hi = lambda c, m: f"{q(c, 0.5)} + greatest({FENCE} * ({q(c, 0.75)} - {q(c, 0.5)}), {m}) AS {c}_hi"
-    fences = ", ".join(hi(c, m) for c, m in MARGINS.items()) + f", {q('word_length', 0.5)} - greatest({FENCE} * ({q('word_length', 0.5)} - {q('word_length', 0.1)}), {MARGINS['word_length']}) AS word_length_lo"
-    pick = lambda c, f: f"CASE WHEN g.size >= {LEAST} THEN {f}(g.{c}, a.{c}) ELSE a.{c} END"
-    odd = " OR ".join(f"{c} > {pick(c + '_hi', 'least')}" for c in MARGINS) + f" OR word_length < {pick('word_length_lo', 'greatest')}"
+    medians = ", ".join(f"{q(c, 0.5)} AS {c}" for c in TAILS)
+    lean = lambda own, whole: f"(size * {own} + {LEAN} * {whole}) / (size + {LEAN})"
+    mids = ", ".join(f"{lean('g.' + c, 'w.' + c)} AS mid_{c}" for c in TAILS)
+    away = ", ".join(f"{c} - mid_{c} AS {c}" for c in TAILS)
+    spreads = ", ".join(f"greatest({q(c, p)}, 0) AS {c}_hi" for c, p in TAILS.items()) + f", greatest(-{q('word_length', LOW)}, 0) AS word_length_lo"
+    wide = lambda c, side: f"{FENCE} * greatest({lean(f'e.{c}_{side}', f'p.{c}_{side}')}, {TIGHTEST} * p.{c}_{side}, {FLOORS[c]})"
+    odd = " OR ".join(f"{c} > mid_{c} + {wide(c, 'hi')}" for c in TAILS) + f" OR word_length < mid_word_length - {wide('word_length', 'lo')}"
+    both = lambda a, b: f"{a}.lang IS NOT DISTINCT FROM {b}.lang AND {a}.source IS NOT DISTINCT FROM {b}.source"
     return rf"""
 WITH d AS (SELECT row_number() OVER () AS r, doc_id, lang, source, coalesce(text, '') AS t FROM documents),
 w AS (SELECT *, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS w, list_filter(string_split(t, chr(10)), lambda l: regexp_matches(l, '[^\x20\x09-\x0D]')) AS lines FROM d),
@@ -157,8 +163,13 @@ m AS (SELECT r, doc_id, lang, source, len(w)::BIGINT AS n_words, length(array_to
   (len(lines) - len(list_distinct(lines)))::BIGINT AS n_dup_lines, coalesce(n, 0)::BIGINT AS n_repeat_words FROM w LEFT JOIN rep USING (r)),
 x AS (SELECT *, n_symbols / greatest(n_words, 1) AS symbol_rate, n_dup_lines / greatest(n_lines, 1) AS dup_line_rate, n_repeat_words / greatest(n_words, 1) AS repeat_rate, word_chars / greatest(n_words, 1) AS word_length,
   n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM m),
-g AS (SELECT lang, source, count(*) AS size, {fences} FROM x GROUP BY lang, source),
-a AS (SELECT {fences} FROM x)
-SELECT x.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT ({odd}) AS kept
-FROM x LEFT JOIN g ON x.lang IS NOT DISTINCT FROM g.lang AND x.source IS NOT DISTINCT FROM g.source CROSS JOIN a
+ok AS (SELECT * FROM x WHERE NOT base_failed),
+g AS (SELECT lang, source, count(*) AS size, {medians} FROM ok GROUP BY lang, source),
+w0 AS (SELECT {medians} FROM ok),
+mid AS (SELECT g.lang, g.source, size, {mids} FROM g, w0 w),
+away AS (SELECT ok.lang, ok.source, {away} FROM ok JOIN mid ON {both('ok', 'mid')}),
+e AS (SELECT lang, source, {spreads} FROM away GROUP BY lang, source),
+p AS (SELECT {spreads} FROM away)
+SELECT x.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT coalesce({odd}, false) AS kept
+FROM x LEFT JOIN mid ON {both('x', 'mid')} LEFT JOIN e ON {both('x', 'e')} CROSS JOIN p
 """
