@@ -27,7 +27,7 @@ PROJECTIONS = 64
 #: Collisions that a vector needs: 0.683 * 64 less some two standard deviations.
 THRESHOLD = 37
 RADII = (0.2, 0.6, 1.0, 1.24, 1.5, 2.0)
-VECTORS, QUERIES = 65_536, 512
+VECTORS, QUERIES = 65_536, 1024
 
 
 def valid(rows: DataFrame) -> DataFrame:
@@ -39,81 +39,69 @@ def valid(rows: DataFrame) -> DataFrame:
 
 
 def search_block(ids, x, query_ids, q, top: float, k: int):
-    """(query row, vector row, score) arrays: the k best of the block for every query, found by collisions."""
+    """(query row, vector row, score) arrays: the k best of the block for every query, found by collisions; and how many
+    vectors were verified."""
     import numpy as np
 
-    dims = x.shape[1]
+    dims, n = x.shape[1], len(ids)
     axes = np.random.default_rng(20).standard_normal((dims + 1, PROJECTIONS))
     norms2 = np.minimum((x * x).sum(1) / top**2, 1.0)
     px = np.ascontiguousarray((np.c_[x / top, np.sqrt(1 - norms2)] @ axes).T)
-    plain, gap, inside = px.astype(np.float32), np.empty(len(x), np.float32), np.empty(len(x), bool)
-    pq = (q / np.linalg.norm(q, axis=1, keepdims=True)) @ axes[:dims]
-    centre = pq.astype(np.float32)
     order = np.argsort(px, axis=1, kind="stable").astype(np.int32)
     values = np.take_along_axis(px, order, 1)
+    del px
+    pq = (q / np.linalg.norm(q, axis=1, keepdims=True)) @ axes[:dims]
     scale = np.linalg.norm(q, axis=1) * top
-    lows, highs = [], []
-    for r in RADII:
-        lows.append(np.stack([np.searchsorted(values[j], pq[:, j] - r, "left") for j in range(PROJECTIONS)], 1))
-        highs.append(np.stack([np.searchsorted(values[j], pq[:, j] + r, "right") for j in range(PROJECTIONS)], 1))
-    out = ([], [], [])
-    n = len(ids)
+    lows = [np.stack([np.searchsorted(values[j], pq[:, j] - r, "left") for j in range(PROJECTIONS)], 1) for r in RADII]
+    highs = [np.stack([np.searchsorted(values[j], pq[:, j] + r, "right") for j in range(PROJECTIONS)], 1) for r in RADII]
+    out, verified = ([], [], []), 0
     for i in range(len(q)):
         own = ids == query_ids[i]
-        count = np.zeros(n, np.uint8)
-        tried = own.copy()
+        count, tried = np.zeros(n, np.uint8), own.copy()
         found, score = np.empty(0, np.int64), np.empty(0)
-        l0 = h0 = None
         wanted = min(k, n - int(own.sum()))
-        level, last = 0, None
-        while True:
-            r = RADII[level] if last is None else last
-            whole = level == len(RADII) - 1 and last is None
-            l, h = (lows[level][i].tolist(), highs[level][i].tolist()) if last is None else (None, None)
-            if last is None and sum(h) - sum(l) < THRESHOLD and not whole:
-                level += 1
-                continue
-            if last is not None or sum(h) - sum(l) > PROJECTIONS * n // 16:
-                # Wide windows: the same collisions, read off the values in place instead of slice by slice.
-                count[:] = 0
-                for j in range(PROJECTIONS):
-                    np.subtract(plain[j], centre[i, j], out=gap)
-                    np.abs(gap, out=gap)
-                    np.less_equal(gap, np.float32(r), out=inside)
-                    np.add(count, inside.view(np.uint8), out=count)
-            else:
-                for j in range(PROJECTIONS):
-                    o = order[j]
-                    if l0 is None:
-                        count[o[l[j] : h[j]]] += 1
-                    else:
-                        count[o[l[j] : l0[j]]] += 1
-                        count[o[h0[j] : h[j]]] += 1
+        l0 = h0 = None
+        level, r = 0, RADII[0]
+        l, h = lows[0][i].tolist(), highs[0][i].tolist()
+        while wanted:
+            # Only what a wider window newly covers is counted, at both ends of each sorted array.
+            for j in range(PROJECTIONS):
+                o = order[j]
+                if l0 is None:
+                    count[o[l[j] : h[j]]] += 1
+                else:
+                    count[o[l[j] : l0[j]]] += 1
+                    count[o[h0[j] : h[j]]] += 1
             l0, h0 = l, h
+            last = r == RADII[-1]
             fresh = np.flatnonzero((count >= THRESHOLD) & ~tried)
-            if whole and len(found) + len(fresh) < wanted:
+            if last and len(found) + len(fresh) < wanted:
                 fresh = np.flatnonzero(~tried)
             if len(fresh):
+                verified += len(fresh)
                 tried[fresh] = True
                 found, score = np.r_[found, fresh], np.r_[score, x[fresh] @ q[i]]
                 if len(found) > 4 * k:
                     low = np.partition(score, -k)[-k]
                     found, score = found[score >= low], score[score >= low]
-            if whole or last is not None or wanted == 0:
+            if last:
                 break
             if len(found) >= wanted:
-                # The k nearest are no farther than the k-th found: one more window of that radius, and it ends.
+                # The k nearest are no farther than the k-th found: a window of that radius is the last one needed.
                 need = float(np.sqrt(max(0.0, 2 - 2 * np.partition(score, -wanted)[-wanted] / scale[i])))
                 if need <= r:
                     break
-                last = need
+                r = min(need, RADII[-1])
+                l = [int(np.searchsorted(values[j], pq[i, j] - r, "left")) for j in range(PROJECTIONS)]
+                h = [int(np.searchsorted(values[j], pq[i, j] + r, "right")) for j in range(PROJECTIONS)]
             else:
-                level += 1
+                level = next(m for m in range(level, len(RADII)) if RADII[m] > r)
+                r, l, h = RADII[level], lows[level][i].tolist(), highs[level][i].tolist()
         best = np.lexsort((ids[found], -score))[:k]
         out[0].append(np.full(len(best), i))
         out[1].append(found[best])
         out[2].append(score[best])
-    return [np.concatenate(o) if o else np.empty(0) for o in out]
+    return [np.concatenate(o) if o else np.empty(0) for o in out], verified
 
 
 def search(rows: DataFrame, queries: DataFrame, k: int = K) -> DataFrame:
@@ -138,7 +126,7 @@ def search(rows: DataFrame, queries: DataFrame, k: int = K) -> DataFrame:
         if not len(left) or not len(right):
             return pd.DataFrame({"query_id": pd.Series(dtype="int64"), "vec_id": pd.Series(dtype="int64"), "score": pd.Series(dtype="float64")})
         ids, query_ids = left["vec_id"].to_numpy(), right["vec_id"].to_numpy()
-        a, b, s = search_block(ids, np.stack(left["v"].to_numpy()).astype(float), query_ids, np.stack(right["v"].to_numpy()).astype(float), top, k)
+        (a, b, s), _ = search_block(ids, np.stack(left["v"].to_numpy()).astype(float), query_ids, np.stack(right["v"].to_numpy()).astype(float), top, k)
         return pd.DataFrame({"query_id": query_ids[a.astype(int)], "vec_id": ids[b.astype(int)], "score": s.astype(float)})
 
     near = x.groupBy("block", "group").cogroup(q.groupBy("block", "group")).applyInPandas(run, schema)
