@@ -1,11 +1,12 @@
 """Byte-level BPE encoding and decoding with vectorised pre-tokenisation.
 
-The split pattern is a finite automaton over five classes of code points: letters, numbers, the blank, other
-white space, and the rest. Each code point is a transition function on its states, and composing functions is
-associative, so boundaries can be found by a scan. For this pattern a composition becomes constant after two
-code points (the next match depends on the classes left and right of a place, and on whether white space
-ends the text), so the scan is over neighbours: comparisons of the class array with itself, shifted by one. The only longer look is at contractions, which start at an apostrophe between
-two runs and are at most three code points long. No regular expression is run over a text.
+The split pattern is a finite automaton. Its symbols are classes of code points: letters, numbers, other signs,
+white space by what follows it, apostrophes by the contraction that they open; they come from arrays, with a look at the
+next two code points. Each symbol is a transition function on the automaton's states, and composing functions is
+associative. So a chunk of texts is cut into blocks: the functions of a block's symbols are composed, all blocks at a
+time; the blocks' functions are scanned by doubling, which gives each block its first state; and a second pass over the
+blocks gives every place its state, hence whether a slice begins there. Texts in a chunk are parted by a symbol whose
+function leads to the first state from all others. No regular expression is run over a text.
 
 Slices between boundaries feed a merge table with a cache: merged ids, their decimal digits and the bytes that
 the ids decode to are kept for slices seen lately. Offsets of the slices are kept, so a text can be decoded
@@ -24,6 +25,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 LETTER, NUMBER, OTHER, SPACE, BLANK = 0, 1, 2, 3, 4
+#: Symbols past the classes of single code points: white space before white space or an end, a blank before a word, other
+#: white space before a word, apostrophes that open a contraction of one or two letters, and the end of a text.
+WHITE, OPENS, STANDS, SHORT, LONGER, END = 3, 4, 5, 6, 7, 8
+#: States, by the slice that the last code point is in: the first state is that before a text and after a closed slice.
+FIRST, IN_LETTERS, IN_NUMBERS, IN_OTHERS, IN_WHITE, OPENED, ONE_LEFT, TWO_LEFT = range(8)
+BLOCK = 64
+#: Code points that are split at once, about.
+CHUNK = 400_000
 LONG = 64
 #: Slices kept in a worker at most.
 KEPT = 300_000
@@ -47,44 +56,101 @@ def class_table() -> np.ndarray:
     return _classes[0]
 
 
-def boundaries(text: str) -> np.ndarray:
-    """Start of every slice of the text, and its length at the end."""
-    points = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
-    n = len(points)
-    if not n:
-        return np.zeros(1, np.int64)
-    c = class_table()[points]
-    white = c >= SPACE
-    run = np.where(white, SPACE, c)
-    change = np.ones(n, bool)
-    change[1:] = run[1:] != run[:-1]
-    begin = change.copy()
-    # White space: its last code point stands apart before a word; a blank there opens the word's slice.
-    last = np.zeros(n, bool)
-    last[:-1] = white[:-1] & ~white[1:]
-    begin |= last
-    after_blank = np.zeros(n, bool)
-    after_blank[1:] = (c[:-1] == BLANK) & ~white[1:]
-    begin &= ~after_blank
-    # Contractions: a lone apostrophe between runs, not opened by a blank.
-    mark = np.flatnonzero((points == 39) & change & ~after_blank)
+def automaton() -> tuple[np.ndarray, np.ndarray]:
+    """Next state, and whether a slice begins, by symbol and state before."""
+    go, begin = np.zeros((9, 8), np.uint8), np.ones((9, 8), bool)
+    for symbol, inside in ((LETTER, IN_LETTERS), (NUMBER, IN_NUMBERS), (OTHER, IN_OTHERS), (WHITE, IN_WHITE)):
+        go[symbol] = inside
+        begin[symbol, inside] = False
+        begin[symbol, OPENED] = symbol == WHITE
+    go[OPENS], go[STANDS], go[SHORT], go[LONGER], go[END] = OPENED, FIRST, ONE_LEFT, TWO_LEFT, FIRST
+    for mark in (SHORT, LONGER):  # an apostrophe in a run of signs, or after the blank that opens one, is a sign
+        go[mark, [IN_OTHERS, OPENED]] = IN_OTHERS
+        begin[mark, [IN_OTHERS, OPENED]] = False
+    go[:, TWO_LEFT], go[:, ONE_LEFT] = ONE_LEFT, FIRST
+    begin[:, [TWO_LEFT, ONE_LEFT]] = False
+    return go, begin
+
+
+_GO, _BEGIN = automaton()
+
+
+def symbols(points: np.ndarray) -> np.ndarray:
+    """The automaton's symbol of each code point; END where a text ends (0x110000)."""
+    end = points >= 0x110000
+    c = class_table()[np.where(end, 0, points)]
+    c[end] = END
+    white = (c == SPACE) | (c == BLANK)
+    after = np.r_[c[1:], np.uint8(END)]
+    word = ~((after == SPACE) | (after == BLANK) | (after == END))
+    out = np.where(white, np.where(word, np.where(c == BLANK, OPENS, STANDS), WHITE), c).astype(np.uint8)
+    out[end] = END
+    mark = np.flatnonzero(points == 39)
     if len(mark):
-        mark = mark[mark + 1 < n]
-        one = np.minimum(mark + 1, n - 1)
-        two = np.minimum(mark + 2, n - 1)
-        a, b = points[one], np.where(mark + 2 < n, points[two], 0)
-        short = np.isin(a, [115, 116, 109, 100])  # s t m d
-        long = ((a == 114) & (b == 101)) | ((a == 118) & (b == 101)) | ((a == 108) & (b == 108))  # re ve ll
-        begin[one[short | long]] = False
-        ends = np.r_[mark[short] + 2, mark[long & ~short] + 3]
-        ends = ends[ends < n]
-        begin[ends] |= ~after_blank[ends]
-    return np.r_[np.flatnonzero(begin), n]
+        ahead = np.r_[points, np.full(2, 0x110000, points.dtype)]
+        a, b = ahead[mark + 1], ahead[mark + 2]
+        out[mark[np.isin(a, [115, 116, 109, 100])]] = SHORT  # s t m d
+        out[mark[((a == 114) & (b == 101)) | ((a == 118) & (b == 101)) | ((a == 108) & (b == 108))]] = LONGER  # re ve ll
+    return out
+
+
+def states(symbol: np.ndarray) -> np.ndarray:
+    """The automaton's state before each symbol, by a scan over the symbols' transition functions."""
+    n, blocks = len(symbol), -(-len(symbol) // BLOCK)
+    rows = np.full(blocks * BLOCK, END, np.uint8)
+    rows[:n] = symbol
+    rows = np.ascontiguousarray(rows.reshape(blocks, BLOCK).T).astype(np.int16) << 3
+    flat = _GO.ravel()
+    whole = np.tile(np.arange(8, dtype=np.uint8), (blocks, 1))  # each block's function: last state by first state
+    for row in rows:
+        whole = flat[row[:, None] + whole]
+    step = 1
+    while step < blocks:  # functions of ever longer stretches of blocks that end at each block
+        whole[step:] = np.take_along_axis(whole[step:], whole[:-step], 1)
+        step *= 2
+    now = np.r_[np.uint8(FIRST), whole[:-1, FIRST]]
+    out = np.empty((BLOCK, blocks), np.uint8)
+    for t, row in enumerate(rows):
+        out[t] = now
+        now = flat[row + now]
+    return out.T.ravel()[:n]
+
+
+def boundaries_of(texts: list[str]) -> list[np.ndarray]:
+    """For each text, the start of every slice, and its length at the end."""
+    parts, end = [], np.array([0x110000], np.uint32)
+    for text in texts:
+        parts += np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32), end
+    if not parts:
+        return []
+    points = np.concatenate(parts)
+    symbol = symbols(points)
+    at = np.flatnonzero(_BEGIN[symbol, states(symbol)] | (symbol == END))
+    last = np.flatnonzero(symbol[at] == END)
+    ends = at[last]
+    starts = np.r_[0, ends[:-1] + 1]
+    return [at[a : b + 1] - s for a, b, s in zip(np.r_[0, last[:-1] + 1], last, starts)]
+
+
+def boundaries(text: str) -> np.ndarray:
+    return boundaries_of([text])[0]
+
+
+def slices_of(texts: list):
+    """Each text's slices, in turn; a chunk of texts is split at once (null: none)."""
+    chunk, size = [], 0
+    for k, text in enumerate(texts):
+        chunk.append(text or "")
+        size += len(chunk[-1]) + 1
+        if size >= CHUNK or k + 1 == len(texts):
+            for t, at in zip(chunk, boundaries_of(chunk)):
+                at = at.tolist()
+                yield [t[a:b] for a, b in zip(at, at[1:])]
+            chunk, size = [], 0
 
 
 def slices(text: str) -> list[str]:
-    at = boundaries(text).tolist()
-    return [text[a:b] for a, b in zip(at, at[1:])]
+    return next(slices_of([text]))
 
 
 class Merger:
@@ -210,8 +276,8 @@ def digests(docs: DataFrame, path: str) -> DataFrame:
         coder = Coder(path)
         for batch in batches:
             n, ids, back = [], [], []
-            for text in batch.column("text"):
-                found = list(map(coder.entry, slices(text.as_py() or "")))
+            for found in slices_of(batch.column("text").to_pylist()):
+                found = list(map(coder.entry, found))
                 n.append(sum(x[0] for x in found))
                 ids.append(hashlib.sha256("".join([x[1] for x in found])[:-1].encode()).hexdigest())
                 back.append(hashlib.sha256(b"".join([x[2] for x in found])).hexdigest())

@@ -41,7 +41,7 @@ def byte_ranks(path: str) -> dict[bytes, int]:
 
 
 def encoder(path: str):
-    """A function from texts to little-endian unsigned 32-bit ids; ids of slices seen lately are kept.
+    """A function from a list of texts to each one's ids, little-endian unsigned 32-bit; ids of slices seen lately are kept.
 
     Slices that are new are encoded with the tokenizer's vocabulary by the faster of the installed libraries;
     texts that hold the special token go through the tokenizer itself.
@@ -52,7 +52,7 @@ def encoder(path: str):
     import tiktoken
     from tokenizers import Tokenizer
 
-    from .byte_bpe import slices
+    from .byte_bpe import slices_of
 
     own = Tokenizer.from_file(path)
     fast = tiktoken.Encoding("packing", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_ranks(path), special_tokens={}).encode_ordinary
@@ -69,12 +69,10 @@ def encoder(path: str):
 
     kept = Kept()
 
-    def encode(text: str | None) -> bytes:
-        if not text:
-            return b""
-        if SPECIAL in text:  # the tokenizer's own rule for its special token
-            return packed(own.encode(text, add_special_tokens=False).ids)
-        return b"".join(map(kept.__getitem__, slices(text)))
+    def encode(texts: list):
+        special = [bool(t) and SPECIAL in t for t in texts]  # these by the tokenizer's own rule for its special token
+        for text, odd, found in zip(texts, special, slices_of([None if odd else t for t, odd in zip(texts, special)])):
+            yield packed(own.encode(text, add_special_tokens=False).ids) if odd else b"".join(map(kept.__getitem__, found))
 
     return encode
 
@@ -90,8 +88,8 @@ def pieces(docs: DataFrame, path: str, sequence: int = SEQUENCE) -> DataFrame:
         close = CLOSE.to_bytes(4, "little")
         for batch in batches:
             out = ([], [], [], [], [])
-            for doc_id, text in zip(batch.column("doc_id"), batch.column("text")):
-                doc_id, ids = doc_id.as_py(), encode(text.as_py()) + close
+            for doc_id, ids in zip(batch.column("doc_id").to_pylist(), encode(batch.column("text").to_pylist())):
+                ids += close
                 n = len(ids) // 4
                 for at in range(0, n, sequence):
                     part = ids[4 * at : 4 * (at + sequence)]
