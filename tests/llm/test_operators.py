@@ -162,7 +162,7 @@ def test_toxicity_odd(spark, odd, empty):
 # 3
 
 
-def near_brute(rows):
+def near_brute(rows, least=85):
     sets = []
     for i, t in rows:
         w = words((t or "").translate(LOWER))
@@ -175,7 +175,7 @@ def near_brute(rows):
         return x
 
     for (a, s), (b, t) in combinations([x for x in sets if x[0] is not None and x[1]], 2):
-        if 100 * len(s & t) >= 85 * len(s | t):
+        if 100 * len(s & t) >= least * len(s | t):
             a, b = sorted((find(a), find(b)))
             root[b] = a
     return sorted((i if i is not None else -1, len(s), find(i) if i is not None else -1) for i, s in sets)
@@ -191,6 +191,20 @@ def test_neardup(spark, odd, empty):
     assert kept.columns == odd.columns and 4 not in {r["doc_id"] for r in kept.collect()}
 
 
+def test_neardup_ids_on_several_texts(spark):
+    """An id that stands on two texts ties what is near either; a DuckDB twin agrees."""
+    import duckdb
+
+    rng = random.Random(6)
+    a, b, c = ([f"{x}{rng.randrange(10**6)}" for _ in range(80)] for x in "abc")
+    near = lambda w: " ".join([*w[:79], "changed"])
+    rows = [(1, " ".join(a)), (1, " ".join(b)), (2, near(a)), (3, near(b)), (4, " ".join(c)), (4, ""), (5, near(c)), (6, " ".join(c)), (7, ""), (7, None)]
+    got = sorted(map(tuple, neardup.grouped(spark.createDataFrame(rows, "doc_id long, text string")).collect()))
+    documents = __import__("pandas").DataFrame(rows, columns=["doc_id", "text"])  # noqa: F841
+    assert got == sorted(duckdb.sql(neardup.oracle()).fetchall())
+    assert {(i, k) for i, _, k, _ in got} == {(1, 1), (2, 1), (3, 1), (4, 4), (5, 4), (6, 4), (7, 7)}
+
+
 def test_neardup_groups_of_edits(spark):
     """Chains and clouds of edited copies, some linked only through others."""
     rng = random.Random(5)
@@ -226,6 +240,28 @@ def test_language_model_counts_and_base(spark, odd):
     assert all(r["score"] < 0 for r in got)
 
 
+def test_language_model_follows_the_documents_alone(spark):
+    """One, four and sixteen partitions, in any order, give the same scores."""
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text")
+    got = [{r["doc_id"]: (r["base_score"], r["score"]) for r in language_model.query(d).collect()} for d in (docs.coalesce(1), docs.repartition(4), docs.orderBy("text").repartition(16))]
+    for other in got[1:]:
+        assert max(abs(a - b) / max(1, abs(a)) for i in got[0] for a, b in zip(got[0][i], other[i])) < 1e-5
+
+
+def test_copies_are_averaged_by_tokens(spark):
+    rng = np.random.default_rng(3)
+    rows = [(i, int(rng.integers(1, 50)), rng.standard_normal(5).tolist()) for i in range(70)]
+    n, flat = language_model.averaged(spark.createDataFrame(rows, "shard long, n long, flat array<double>").repartition(5), 70)
+    assert n == sum(r[1] for r in rows) and np.allclose(flat, np.sum([r[2] for r in rows], 0))
+
+
+def test_lanes_hold_long_texts():
+    """One document far longer than the others does not make every lane as long."""
+    docs = [np.zeros(50_000, np.int32), *[np.zeros(10, np.int32)] * 300]
+    inputs, _, _, owner = language_model.lanes(docs, 256, 0)
+    assert inputs.size <= 5 * sum(map(len, docs)) and sorted(set(owner.ravel().tolist()) - {-1}) == list(range(301))
+
+
 def test_language_model_empty(spark, empty, odd):
     assert language_model.query(empty).count() == 0
     nothing = odd.where("doc_id is null")
@@ -448,6 +484,26 @@ def test_rolling_hash_equals_direct():
     assert (got == want).all()
 
 
+def test_substrings_hold_when_splits_change(spark, tmp_path):
+    """Rows keep their numbers when the scan is split otherwise between the operator's reads."""
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text")
+    docs.unionAll(docs.selectExpr("doc_id + 1000000 as doc_id", "reverse(text) as text")).coalesce(1).write.parquet(f"{tmp_path}/docs")
+    names = ["spark.sql.files.openCostInBytes", "spark.sql.leafNodeDefaultParallelism"]
+    before = {n: spark.conf.get(n, None) for n in names}
+    read = lambda: substrings.digest(spark.read.parquet(f"{tmp_path}/docs"))
+    want = sorted(map(tuple, read().collect()))
+    try:
+        spark.conf.set(names[0], "1024")
+        spark.conf.set(names[1], "2")
+        later = read()
+        spark.conf.set(names[1], "16")
+        assert sorted(map(tuple, later.collect())) == want
+    finally:
+        for n, v in before.items():
+            spark.conf.unset(n) if v is None else spark.conf.set(n, v)
+    assert sum(r[2] for r in want) > 0
+
+
 # 9
 
 

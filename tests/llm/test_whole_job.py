@@ -75,3 +75,32 @@ def test_suffix_array_judges_blocks_beside_an_article(spark):
     rows = [(i, f"http://h.org/{i}", page.format(f"n{i}")) for i in range(5)]
     got = {r["page_id"]: r["text"] for r in pages.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
     assert got == {i: "teaser n{0}\nmain text n{0} of which each of the words n{0} stands here only n{0}".format(i) for i in range(5)}
+
+
+def test_text_does_not_hang_on_class_names(spark):
+    """Without its classes, ids and roles a page of the given table gives the same text: the suffix array finds its adverts."""
+    import re
+
+    given = spark.read.parquet(f"{SMALL.replace('sf0.001', 'sf0.01')}/pages.parquet")
+    bare = re.compile(r"""\s(?:class|id|role)\s*=\s*("[^"]*"|'[^']*'|[^\s>]+)""")
+    rows = [(r["page_id"], r["url"], bare.sub("", r["html"] or "")) for r in given.collect()]
+    want = {r["page_id"]: r["text"] for r in pages.extract(given).collect()}
+    got = {r["page_id"]: r["text"] for r in pages.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == want
+
+
+def test_stretches_equal_brute_force(spark, monkeypatch):
+    """Stretches on two distinct pages of a host, over hosts of several parts, as a plain count finds them."""
+    monkeypatch.setattr(pages, "PART", 8)
+    rng = random.Random(12)
+    rows = [(f"h{i % 3}", i // 2, [" ".join(rng.choice("abc") for _ in range(rng.randint(1, 14))) for _ in range(rng.randint(0, 4))]) for i in range(120)]
+    seen = {}
+    for host, page, texts in rows:
+        for t in texts:
+            w = t.split()
+            for k in range(max(1, len(w) - pages.GRAM + 1)):
+                seen.setdefault((host, tuple(w[k : k + pages.GRAM])), set()).add(page)
+    words = pages.common.WordHash()
+    want = {(h, int(pages.grams(list(g), words).view("int64")[0])) for (h, g), p in seen.items() if len(p) > 1}
+    got = pages.stretches(spark.createDataFrame(rows, "host string, page_id long, texts array<string>")).collect()
+    assert {(r["host"], r["gram"]) for r in got} == want and len(got) == len(want)
