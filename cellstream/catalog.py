@@ -16,7 +16,7 @@ from .functions import lts, robust
 from .model import HyperParams, TensorSpec
 from .operators import algebra, cost, metrics
 from .sources import cubes
-from .sources.tables import load
+from .sources.tables import load, staged
 
 _queries: dict[str, Callable] = {}
 _oracle: dict[str, str] = {}
@@ -93,8 +93,7 @@ def log2_scaled(s, d):
 @query("mode_dictionary", "SELECT 'brand' AS mode, p_brand AS label, (dense_rank() OVER (ORDER BY p_brand) - 1)::INT AS idx FROM (SELECT DISTINCT p_brand FROM part) UNION ALL SELECT 'event_type', event_type, (dense_rank() OVER (ORDER BY event_type) - 1)::INT FROM (SELECT DISTINCT event_type FROM events)")
 def mode_dictionary(s, d):
     def labels(table, column, mode):
-        rows = load(s, d, table).select(F.col(column).alias("label")).distinct()
-        return rows.select(F.lit(mode).alias("mode"), "label", (F.dense_rank().over(Window.orderBy("label")) - 1).cast("int").alias("idx"))
+        return cubes.numbered(load(s, d, table).select(F.col(column).alias("label")).distinct()).select(F.lit(mode).alias("mode"), "label", "idx")
 
     return labels("part", "p_brand", "brand").unionByName(labels("events", "event_type", "event_type"))
 
@@ -104,7 +103,9 @@ _density_sql = " UNION ALL ".join(f"SELECT '{n}' AS cube, count(*) AS cells, (co
 
 @query("density_report", f"SELECT cube, cells, round(density, 9) AS density FROM ({_density_sql})")
 def density_report(s, d):
-    parts = [cubes.cells(s, d, n).agg(F.lit(n).alias("cube"), F.count(F.lit(1)).alias("cells"), F.round(F.count(F.lit(1)) / float(np.prod(c.sizes) * c.steps), 9).alias("density")) for n, c in cubes.CUBES.items()]
+    ship = staged(cubes.shipped(s, d), "shipped")  # one star join for the four cubes of line items
+    made = {"flow_week": lambda: cubes.flow(s, d, "week", ship), "flow_month": lambda: cubes.flow(s, d, "month", ship), "flow_day": lambda: cubes.flow(s, d, "day", ship), "brand_region_month": lambda: cubes.brand_month(s, d, ship)}
+    parts = [made.get(n, lambda n=n: cubes.cells(s, d, n))().agg(F.lit(n).alias("cube"), F.count(F.lit(1)).alias("cells"), F.round(F.count(F.lit(1)) / float(np.prod(c.sizes) * c.steps), 9).alias("density")) for n, c in cubes.CUBES.items()]
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)

@@ -114,6 +114,31 @@ def lts_quasi_newton_fit(s, d):
     return _series(s, d).groupBy("key").applyInPandas(go, "key long, alpha double, beta double, gamma double, sse double")
 
 
+@query("lts_estimated_states")
+def lts_estimated_states(s, d):
+    """Squared error of every series with first states taken from season means, and with estimated ones."""
+    def go(pdf):
+        import pandas as pd
+
+        from .functions import lts_fit
+
+        y = pdf.sort_values("t")["y"].to_numpy(float)
+        return pd.DataFrame([(int(pdf["key"].iloc[0]), float(lts_fit.fit(y, 7)[1]), float(lts_fit.fit_states(y, 7)[1]))], columns=["key", "sse_usual", "sse_estimated"])
+
+    return _series(s, d).groupBy("key").applyInPandas(go, "key long, sse_usual double, sse_estimated double")
+
+
+@query("lts_exponential_weights", f"WITH {_SERIES}, n AS (SELECT key, max(t) AS last, count(*) AS n FROM series GROUP BY key), r AS (SELECT key, y, row_number() OVER (PARTITION BY key ORDER BY t) AS k FROM series), w AS (SELECT key, y, 0.3 * pow(0.7, n - k) AS w, n FROM r JOIN n USING (key)) SELECT key, round(sum(w * y), 6) + 0.0 AS level, round(sum(w) + pow(0.7, any_value(n)), 9) AS weights FROM w GROUP BY key")
+def lts_exponential_weights(s, d):
+    """Without trend and season the level is the past's values with weights that fall by 1 - alpha a step and sum to one
+    with the first state's: the smoothing fold against the closed sum in the twin."""
+    zero = F.array(*[F.lit(0.0)] * 7)
+    fold = lambda ys, level: lts.fold(ys, F.lit(level), F.lit(0.0), zero, 0.3, 0.0, 0.0)["level"]
+    rows = lts.ordered(_series(s, d))
+    ones = F.transform("ys", lambda y: F.lit(1.0))
+    return rows.select("key", r6(fold(F.col("ys"), 0.0)).alias("level"), F.round(fold(ones, 1.0), 9).alias("weights"))
+
+
 # ---- bounded influence, on hourly sensor cells with forecast 50 and scale 20
 
 _S = _with("sensor_hour")
@@ -276,6 +301,16 @@ for _solver in ("smooth", "plain"):
     query(f"init_{_solver}_als")(lambda s, d, k=_solver: _factor_rows(s, startup.run(_log_flow(s, d), _SPEC, _HP, k)))
 
 
+@query("als_inner_loop")
+def als_inner_loop(s, d):
+    """Fitness after each sweep over the cluster until it settles: the solver's inner loop on the start-up cells."""
+    cells = _log_flow(s, d).where(F.col("t") < _SPEC.startup).persist()
+    factors, trace = smooth_als.initial_factors((*_SPEC.sizes, _SPEC.startup), _SPEC.rank, _HP.seed), []
+    smooth_als.fit_distributed(cells, factors, _SPEC, _HP.with_(inner_max_iter=30), None, trace)
+    cells.unpersist()
+    return s.createDataFrame([(k + 1, float(x)) for k, x in enumerate(trace)], "sweep int, fitness double")
+
+
 @query("init_impute")
 def init_impute(s, d):
     """Start-up cells that were not observed, with their low-rank values."""
@@ -382,16 +417,8 @@ query("forecast_cells")(lambda s, d: _fold(s, d, impute=False, horizon=12).where
 
 @query("online_step")
 def online_step(s, d):
-    """Six steps over the cluster after a start-up over the cluster."""
-    cells = _log_flow(s, d)
-    hp = HyperParams(lambda1=0.01, lambda2=0.01, max_iter=8)
-    state, scales, out = startup.snapshot(startup.run(cells, _SPEC, hp), _SPEC), None, None
-    for t in range(_SPEC.startup, _SPEC.startup + 6):
-        state, judged = step.advance(state, cells.where(F.col("t") == t), scales, _SPEC, hp)
-        scales = step.overlay(scales, judged, _SPEC)
-        part = judged.select(F.lit(t).alias("t"), "i1", "i2", "y_hat", "outlier")
-        out = part if out is None else out.unionByName(part)
-    return out
+    """Every step after the start-up over the cluster, to the stream's end."""
+    return step.run(_log_flow(s, d), _SPEC, HyperParams(lambda1=0.01, lambda2=0.01, max_iter=8)).select("t", "i1", "i2", "y_hat", "outlier")
 
 
 @query("online_many_tensors")
@@ -455,16 +482,13 @@ def b11_floors(s, d):
     return _cube(s, d).groupBy("i1", "i2", F.pmod("t", F.lit(12)).cast("int").alias("phase")).agg(F.round(F.avg("y"), 6).alias("season_mean"), F.max_by("y", "t").alias("last_value"))
 
 
-def _run_method(name, **more):
-    """A whole run of a method over the planted monthly flows, in one task: rae and afe after the start-up."""
+def _run_method(name):
+    """All runs of a method on the four streams: running error and time a step (forecasters: forecasting error)."""
     def go(s, d):
         from . import experiments
 
-        if name in ("seasonal_stream_mf", "static_cp_forecast"):
-            run = ("forecasting", name, "orders_day", (0, 20, 5), 1)
-        else:
-            run = ("imputation", name, "orders_day", (20, 10, 2), 1)
-        return experiments.grid(s, [run])
+        runs = experiments.forecasting_runs(s, d) if name in experiments.FORECASTERS else experiments.imputation_runs(s, d)
+        return experiments.mean_error(runs.where(F.col("method") == name), "seed", "settings")
 
     return go
 
@@ -530,10 +554,10 @@ def afe(s, d):
     return metrics.afe(_estimated(s, d).where("t >= 71")).select(F.round("afe", 6).alias("afe"))
 
 
-@query("art_paper_divisor", "SELECT round(sum(l_quantity) / (count(*) - 1), 6) AS paper, round(avg(l_quantity), 6) AS mean FROM lineitem WHERE l_orderkey = 1")
+@query("art_paper_divisor", "SELECT l_orderkey, round(sum(l_quantity) / (count(*) - 1), 6) AS paper, round(avg(l_quantity), 6) AS mean FROM lineitem GROUP BY l_orderkey HAVING count(*) > 1")
 def art_paper_divisor(s, d):
-    q = [r[0] for r in load(s, d, "lineitem").where("l_orderkey = 1").select("l_quantity").collect()]  # one order
-    return s.createDataFrame([(round(metrics.art(q), 6), round(metrics.art(q, "mean"), 6))], "paper double, mean double") if len(q) > 1 else s.createDataFrame([(None, None)], "paper double, mean double")
+    """Both divisors of the mean time, on every order's quantities in place of times."""
+    return metrics.art_rows(load(s, d, "lineitem").select("l_orderkey", "l_quantity"), "l_orderkey", "l_quantity")
 
 
 @query("rel_change", f"{_with()} SELECT round(sqrt(sum((0.1 * cos(t)) ** 2)) / sqrt(sum((y / 100) ** 2)), 6) AS change FROM cells")
@@ -572,31 +596,71 @@ def corruption_levels(s, d):
 
 @query("q1_start_up")
 def q1_start_up(s, d):
+    """Errors of the time factor and the tensor after every outer iteration, with and without smoothness, five seeds."""
     from . import experiments
 
-    return experiments.grid(s, [("start_up", k, "planted 30x30x90", (90, 20, 7), seed) for k in ("smooth", "plain") for seed in (1, 2)])
+    return experiments.start_up_runs(s)
 
 
 @query("q2_imputation")
 def q2_imputation(s, d):
+    """Error of every step and its running mean: five methods, four streams, four corruptions, five seeds."""
     from . import experiments
 
-    return experiments.grid(s, [("imputation", m, "flow_month", level, 1) for m in experiments.IMPUTERS for level in ((20, 10, 2), (70, 20, 5))])
+    return experiments.running(experiments.imputation_runs(s, d))
+
+
+@query("q2_comparison")
+def q2_comparison(s, d):
+    """Means of five repetitions: the proposed method against the most accurate other, by stream and corruption."""
+    from . import experiments
+
+    return experiments.compared(experiments.imputation_runs(s, d), ["workload", "missing", "outliers", "times"])
+
+
+@query("q3_speed")
+def q3_speed(s, d):
+    """Mean seconds a step of every method on every stream; a method that is rerun at each step costs a rerun."""
+    from . import experiments
+
+    runs = experiments.imputation_runs(s, d).unionByName(experiments.forecasting_runs(s, d).where(F.col("method") != experiments.OWN))
+    one = experiments.mean_error(runs, "seed")
+    return one.groupBy("workload", "method").agg(F.avg("art").alias("art"))
 
 
 @query("q4_forecasting")
 def q4_forecasting(s, d):
+    """Error of every forecast step: four streams, five seeds, three rates of missing cells for the proposed method."""
     from . import experiments
 
-    return experiments.grid(s, [("forecasting", m, "flow_month", (20, 20, 5), 1) for m in experiments.FORECASTERS])
+    return experiments.forecasting_runs(s, d)
+
+
+@query("q4_comparison")
+def q4_comparison(s, d):
+    """Means of five repetitions by stream and missing rate: the proposed method against the better rival, which sees every cell."""
+    from . import experiments
+
+    runs = experiments.forecasting_runs(s, d)
+    rates = s.createDataFrame([(m,) for m in experiments.MISSING], "rate int")
+    rivals = runs.where(F.col("method") != experiments.OWN).crossJoin(F.broadcast(rates))
+    own = runs.where(F.col("method") == experiments.OWN).withColumn("rate", F.col("missing"))
+    return experiments.compared(own.unionByName(rivals), ["workload", "rate"])
 
 
 @query("q5_scalability")
 def q5_scalability(s, d):
+    """Seconds by cells of a slice (first mode 50 to 500 of 500) and by steps (to 5000)."""
     from . import experiments
 
-    rows = [(n, experiments.scalability(n, 45)["art"]) for n in (2_000, 4_000, 8_000, 16_000)]
-    return s.createDataFrame(rows, "cells int, seconds_a_step double")
+    return experiments.scalability_runs(s)
+
+
+@query("q5_linearity")
+def q5_linearity(s, d):
+    from . import experiments
+
+    return experiments.linear(experiments.scalability_runs(s))
 
 
 @query("b3_step", f"""{_with()}, c AS (SELECT i1, i2, y / 100 AS y, cos((i1 + 1) * 0.3) AS u, cos((i2 + 1) * 0.5) AS v FROM cells WHERE t = 40), w AS (SELECT sum(u * v * y) / (sum((u * v) ** 2) + 0.001) AS w FROM c),
@@ -631,7 +695,7 @@ def b7_forecast(s, d):
 # ---- many online steps of a rank-one stream of orders by priority and month, from a given state
 
 _R1 = """WITH RECURSIVE cells AS (SELECT list_position(['1-URGENT','2-HIGH','3-MEDIUM','4-NOT SPECIFIED','5-LOW'], o_orderpriority) AS i, (year(o_orderdate) - 1995) * 12 + month(o_orderdate) - 1 AS t, count(*) / 100 AS y FROM orders GROUP BY ALL),
-g AS (SELECT t, list(y ORDER BY i) AS ys FROM (SELECT a.t, b.i, y FROM range(60) a(t) CROSS JOIN range(1, 6) b(i) LEFT JOIN cells ON cells.t = a.t AND cells.i = b.i) GROUP BY t),
+g AS (SELECT t, list(y ORDER BY i) AS ys FROM (SELECT a.t, b.i, y FROM (SELECT unnest(range((SELECT max(t) + 1 FROM cells))) AS t) a CROSS JOIN range(1, 6) b(i) LEFT JOIN cells ON cells.t = a.t AND cells.i = b.i) GROUP BY t),
 st AS (SELECT -1::BIGINT AS t, [1.0, 0.9, 0.8, 0.7, 0.6]::DOUBLE[] AS u, 0.4::DOUBLE AS level, 0.01::DOUBLE AS trend, list_transform(range(12), lambda k: 0.02 * cos(k + 1))::DOUBLE[] AS season, list_transform(range(12), lambda k: 0.4 + 0.01 * k)::DOUBLE[] AS ring, list_transform(range(5), lambda k: 0.01)::DOUBLE[] AS s2, 0::DOUBLE AS w
 UNION ALL SELECT t + 1, un, ln, 0.1 * (ln - level) + 0.9 * trend, season[2:] || [0.2 * (wn - base) + 0.8 * season[1]], ring[2:] || [wn], sn, wn FROM (
  SELECT *, 0.3 * (wn - season[1]) + 0.7 * base AS ln FROM (SELECT *, wh + 0.2 * (list_sum(list_transform(range(1, 6), lambda i: coalesce(r[i] * u[i], 0))) + 0.1 * (ring[12] - wh) + 0.2 * (ring[1] - wh)) / (list_sum(list_transform(range(1, 6), lambda i: CASE WHEN ys[i] IS NULL THEN 0 ELSE u[i] ** 2 END)) + 0.1 + 0.2) AS wn,
@@ -645,7 +709,7 @@ SELECT t, round(w, 6) AS w, round(level, 6) AS level, round(u[1], 6) AS u1, roun
 @query("online_r1_recursive", _R1)
 def online_r1_recursive(s, d):
     o = load(s, d, "orders").select(cubes.code("o_orderpriority", cubes.PRIORITIES).alias("i1"), ((F.year("o_orderdate") - 1995) * 12 + F.month("o_orderdate") - 1).alias("t"))
-    cells = o.where("t < 60").groupBy("i1", "t").agg((F.count(F.lit(1)) / 100).alias("y"))
+    cells = o.groupBy("i1", "t").agg((F.count(F.lit(1)) / 100).alias("y"))
     hp = HyperParams(lambda1=0.1, lambda2=0.2, lambda3=10.0, mu=0.1, phi=0.05)
     one = lambda x: np.array([x])
     season = 0.02 * np.cos(np.arange(12) + 1)[:, None]
@@ -656,7 +720,7 @@ def online_r1_recursive(s, d):
 
         now, out = state.copy(), []
         by = {t: g for t, g in pdf.groupby("t")}
-        for t in range(60):
+        for t in range(int(pdf["t"].max()) + 1):
             g = by.get(t)
             idx, y = (g[["i1"]].to_numpy(np.int64), g["y"].to_numpy()) if g is not None else (np.empty((0, 1), np.int64), np.empty(0))
             now, _ = kernel.advance(now, idx, y, hp)
@@ -669,16 +733,17 @@ def online_r1_recursive(s, d):
 
 @query("rank_choice")
 def rank_choice(s, d):
-    """Running error by rank on the planted daily orders shape, each rank in a task of its own."""
+    """Running error by rank on the planted monthly flow shape, five seeds, each run in a task of its own."""
     from . import experiments
 
     def go(pdf):
         import pandas as pd
 
-        got = experiments.rank_choice("flow_month", 1, [int(pdf["rank"].iloc[0])])
-        return pd.DataFrame(got.items(), columns=["rank", "rae"])
+        rank, seed = int(pdf["rank"].iloc[0]), int(pdf["seed"].iloc[0])
+        return pd.DataFrame([(rank, seed, experiments.rank_choice("flow_month", seed, [rank])[rank])], columns=["rank", "seed", "rae"])
 
-    return s.createDataFrame([(r,) for r in experiments.RANKS], "rank int").groupBy("rank").applyInPandas(go, "rank int, rae double")
+    plan = s.createDataFrame([(r, k) for r in experiments.RANKS for k in experiments.SEEDS], "rank int, seed int")
+    return plan.groupBy("rank", "seed").applyInPandas(go, "rank int, seed int, rae double")
 
 
 for _name in ("impute", "outliers"):

@@ -2,16 +2,14 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
-
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from .catalog import CUBE_SQL, _cube, _factor, _vec_sql, _with, query, r6
 from .operators import algebra
 from .sources import cubes
-from .sources.tables import load
+from .sources.tables import load, new_folder
+from .streaming import live
 
 _NAMES = ["i1", "i2", "t"]
 _U = f"u AS (SELECT i::INT AS i1, {_vec_sql('i', 0)[0]} AS v FROM range(25) r(i))"
@@ -229,11 +227,17 @@ def op_percentiles(s, d):
 _STREAM = "SELECT date_diff('hour', TIMESTAMP '2024-01-01', date_trunc('hour', ts)) AS t, event_type, count(*) AS n FROM events WHERE date_trunc('hour', ts) < (SELECT date_trunc('hour', max(ts)) FROM events) GROUP BY ALL"
 
 
+def _source(s, d):
+    """The events table as a stream: a folder is read as it is, a single file by a pattern that it alone meets."""
+    path = s._jvm.org.apache.hadoop.fs.Path(f"{d}/events.parquet")
+    folder = path.getFileSystem(s._jsparkSession.sessionState().newHadoopConf()).getFileStatus(path).isDirectory()
+    return s.readStream.schema(load(s, d, "events").schema).parquet(f"{d}/events.parquet" if folder else f"{d}/[e]vents.parquet")
+
+
 def _drained(s, d, transform, name):
     """Runs a stream over the events table to its end and returns what it wrote, as a table."""
-    folder = tempfile.mkdtemp(prefix="cellstream-")
-    events = load(s, d, "events")
-    source = s.readStream.schema(events.schema).parquet(f"{d}/events.parquet" if os.path.isdir(f"{d}/events.parquet") else f"{d}/[e]vents.parquet")
+    folder = new_folder(s, name)
+    source = _source(s, d)
     q = transform(source).writeStream.outputMode("append").format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     q.awaitTermination()
     return s.read.parquet(f"{folder}/out")
@@ -262,38 +266,54 @@ def op_stream_dedup(s, d):
     return _drained(s, d, go, "dedup")
 
 
-@query("op_stream_sliding")
+@query("op_stream_late", "WITH e AS (SELECT event_id, date_trunc('day', ts) AS day FROM events) SELECT count(*) AS late FROM e WHERE day < (SELECT max(day) FROM e) AND event_id % 100 = 0")
+def op_stream_late(s, d):
+    """Rows dropped by the watermark and counted: a second file brings every hundredth event of closed days once more."""
+    folder, events = new_folder(s, "late"), load(s, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    last = F.lit(events.agg(F.max(F.date_trunc("day", "ts"))).first()[0])
+    events.coalesce(1).write.parquet(f"{folder}/in/1")
+    query, dropped = None, 0
+    for k in (1, 2):
+        if k == 2:
+            events.where((F.date_trunc("day", "ts") < last) & (F.col("event_id") % 100 == 0)).coalesce(1).write.parquet(f"{folder}/in/2")
+        rows = s.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in/*").withWatermark("ts", "0 seconds").dropDuplicatesWithinWatermark(["event_id"])
+        query = rows.writeStream.outputMode("append").format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
+        query.awaitTermination()
+        dropped += live.late_rows(query)
+    return s.createDataFrame([(dropped,)], "late long")
+
+
+@query("op_stream_sliding", "SELECT start, event_type, round(avg(value), 6) AS y FROM (SELECT event_type, value, unnest([date_trunc('hour', ts) - (hour(ts) % 3) * INTERVAL 1 HOUR, date_trunc('hour', ts) - (hour(ts) % 3 + 3) * INTERVAL 1 HOUR]) AS start FROM events) WHERE start + INTERVAL 6 HOUR <= (SELECT max(ts) FROM events) GROUP BY start, event_type")
 def op_stream_sliding(s, d):
     def go(e):
         e = e.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "0 seconds")
         return e.groupBy(F.window("ts", "6 hours", "3 hours"), "event_type").agg(F.avg("value").alias("y"))
 
-    return _drained(s, d, go, "sliding")
+    out = _drained(s, d, go, "sliding")
+    return out.select(F.col("window.start").cast("timestamp_ntz").alias("start"), "event_type", F.round("y", 6).alias("y"))
 
 
-@query("op_stream_session")
+@query("op_stream_session", "WITH e AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), g AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS burst FROM e) SELECT user_id, min(ts) AS start, count(*) AS n FROM g GROUP BY user_id, burst HAVING max(ts) + INTERVAL 6 HOUR <= (SELECT max(ts) FROM events)")
 def op_stream_session(s, d):
     """Bursts of a user's events with gaps under six hours."""
     def go(e):
         e = e.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "0 seconds")
         return e.groupBy(F.session_window("ts", "6 hours"), "user_id").agg(F.count(F.lit(1)).alias("n"))
 
-    return _drained(s, d, go, "session")
+    out = _drained(s, d, go, "session")
+    return out.select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "n")
 
 
 @query("online_stream_replay")
 def online_stream_replay(s, d):
     """The events table as a live stream of hourly slices: start-up, then one update a slice."""
     from .model import HyperParams, TensorSpec
-    from .streaming import live
 
-    folder = tempfile.mkdtemp(prefix="cellstream-")
-    events = load(s, d, "events")
-    source = s.readStream.schema(events.schema).parquet(f"{d}/events.parquet" if os.path.isdir(f"{d}/events.parquet") else f"{d}/[e]vents.parquet")
-    rows = source.select(F.col("ts").cast("timestamp").alias("ts"), (F.col("user_id") % 16).cast("int").alias("i1"), cubes.code("event_type", cubes.EVENT_TYPES).alias("i2"), F.log2(1 + F.col("value")).alias("value"))
+    folder = new_folder(s, "replay")
+    rows = _source(s, d).select(F.col("ts").cast("timestamp").alias("ts"), (F.col("user_id") % 16).cast("int").alias("i1"), cubes.code("event_type", cubes.EVENT_TYPES).alias("i2"), F.log2(1 + F.col("value")).alias("value"))
     sink = live.Sink(TensorSpec((16, 5), 24, 2), HyperParams(lambda1=0.01, lambda2=0.01, max_iter=20), folder, "2024-01-01", 3600, 1)
     live.replay(rows, sink, "1 hour", "0 seconds", f"{folder}/checkpoint")
-    return s.read.parquet(f"file://{folder}/step-*.parquet")
+    return sink.outputs(s)
 
 
 @query("op_udtf_forecast")

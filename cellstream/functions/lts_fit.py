@@ -1,4 +1,4 @@
-"""Fit of level-trend-season parameters by a bounded quasi-Newton method, in numpy."""
+"""Fit of level-trend-season parameters by a bounded quasi-Newton method, and of first states by least squares, in numpy."""
 
 from __future__ import annotations
 
@@ -74,3 +74,40 @@ def fit(y: np.ndarray, m: int, init=None, starts=((0.3, 0.1, 0.1), (0.8, 0.05, 0
         if best is None or f < best[1]:
             best = (p, f, state)
     return best
+
+
+def first_states(y: np.ndarray, m: int, p: np.ndarray) -> tuple:
+    """The first level, trend and season with the least squared error for given parameters.
+
+    Errors are linear in the first states, so each step's error is a row of coefficients on (level, trend, seasons, 1).
+    A constant may move between level and season; the solution of least norm around the usual start is taken.
+    """
+    a, b, g = p
+    n = m + 3
+    eye = np.eye(n)
+    level, trend, season, one = eye[0], eye[1], eye[2 : 2 + m].copy(), eye[n - 1]
+    errors = np.empty((len(y), n))
+    for t, v in enumerate(y):
+        k, base = t % m, level + trend
+        old = season[k].copy()
+        errors[t] = v * one - base - old
+        new = a * (v * one - old) + (1 - a) * base
+        trend = b * (new - level) + (1 - b) * trend
+        season[k] = g * (v * one - base) + (1 - g) * old
+        level = new
+    usual = start(y, m)
+    x = np.r_[usual[0], usual[1], usual[2]]
+    x = x - np.linalg.lstsq(errors[:, :-1], errors[:, :-1] @ x + errors[:, -1], rcond=1e-10)[0]
+    return float(x[0]), float(x[1]), x[2:]
+
+
+def fit_states(y: np.ndarray, m: int, rounds: int = 4):
+    """As fit, with first states estimated as well: parameters and first states in turn, while the error falls."""
+    best, init = fit(y, m), start(y, m)
+    for _ in range(rounds):
+        init = first_states(y, m, best[0])
+        now = fit(y, m, init, starts=(tuple(best[0]), (0.3, 0.1, 0.1)))
+        if not now[1] < best[1] * (1 - 1e-9):
+            break
+        best = now
+    return best

@@ -29,6 +29,12 @@ def art(times: list[float], divisor: str = "paper") -> float:
     return sum(times) / max(1, len(times) - (divisor == "paper"))
 
 
+def art_rows(times: DataFrame, by: str, column: str) -> DataFrame:
+    """(by, paper, mean) of the times of each run with two steps at least: both divisors."""
+    n = F.count(F.lit(1))
+    return times.groupBy(by).agg(F.round(F.sum(column) / (n - 1), 6).alias("paper"), F.round(F.avg(column), 6).alias("mean"), n.alias("n")).where("n > 1").drop("n")
+
+
 def relative_change(cells: DataFrame) -> DataFrame:
     """Frobenius norm of new - old over that of old."""
     d = F.col("x_new") - F.col("x_old")

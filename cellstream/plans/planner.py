@@ -4,9 +4,10 @@ from __future__ import annotations
 
 import numpy as np
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from ..model import Snapshot, TensorSpec
-from ..streaming import kernel
+from ..model import HyperParams, Snapshot, TensorSpec
+from ..streaming import fold, kernel, step
 
 #: Cells of a slice that one task folds over; above, a step runs over the cluster.
 FOLD_CELLS = 10_000_000
@@ -21,6 +22,18 @@ def choose(spec: TensorSpec, cells_per_slice: int) -> str:
     return "fold" if cells_per_slice <= FOLD_CELLS else "step"
 
 
+def drive(cells: DataFrame, spec: TensorSpec, hp: HyperParams) -> DataFrame:
+    """Updates of every tensor's stream (tensor_id, modes.., t, kind, x_hat, outlier), by the driver that its largest slice asks for."""
+    largest = cells.groupBy("tensor_id", "t").count().agg(F.max("count")).first()[0] or 0
+    if choose(spec, largest) == "fold":
+        return fold.run(cells, spec, hp, impute=False)
+    out = None
+    for tensor in [r["tensor_id"] for r in cells.select("tensor_id").distinct().orderBy("tensor_id").collect()]:  # tensors with huge slices are few
+        part = step.run(cells.where(F.col("tensor_id") == tensor).drop("tensor_id"), spec, hp, 3).select(F.lit(tensor).alias("tensor_id"), *spec.modes, "t", F.lit("update").alias("kind"), F.col("x_hat"), "outlier")
+        out = part if out is None else out.unionByName(part)
+    return out if out is not None else fold.run(cells, spec, hp, impute=False)
+
+
 def impute_at(coords: DataFrame, state: Snapshot, spec: TensorSpec, h: int = 0) -> DataFrame:
     """coords (modes..) with x_hat: values of the last step (h = 0) or h steps past it, for asked coordinates only."""
     w = kernel.forecast_time(state, h) if h else state.ring[state.t % len(state.ring)]

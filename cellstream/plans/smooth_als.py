@@ -14,13 +14,27 @@ from pyspark.sql import functions as F
 
 from ..model import HyperParams, TensorSpec
 
-#: Row systems of one mode that may come to the driver.
-MOST_ROWS = 2_000_000
+#: Numbers of one mode's rows that may come to the driver, and of its row systems that a task sums before it sends them.
+MOST_NUMBERS, TASK_NUMBERS = 50_000_000, 20_000_000
+
+
+def drawn(mode: int, rows: np.ndarray, rank: int, seed: int, salt: int = 0) -> np.ndarray:
+    """Numbers in (0, 1) for (row, component) of a mode, from a hash of them: the same wherever they are made."""
+    x = np.asarray(rows, np.uint64)[:, None] * np.uint64(0x9E3779B97F4A7C15) + np.arange(rank, dtype=np.uint64) * np.uint64(0xBF58476D1CE4E5B9)
+    x = x + np.uint64((seed * 0x94D049BB133111EB + mode * 0xD6E8FEB86659FD93 + salt * 0xA0761D6478BD642F + 1) % 2**64)
+    for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+        x = (x ^ (x >> np.uint64(shift))) * np.uint64(factor)
+    x = x ^ (x >> np.uint64(31))
+    return ((x >> np.uint64(11)).astype(float) + 0.5) / 2**53
 
 
 def initial_factors(sizes: tuple[int, ...], rank: int, seed: int, dist: str = "uniform") -> list[np.ndarray]:
-    rng = np.random.default_rng(seed)
-    return [rng.random((s, rank)) if dist == "uniform" else rng.standard_normal((s, rank)) for s in sizes]
+    """Random factors; dist: uniform in (0, 1), or normal."""
+    out = []
+    for n, s in enumerate(sizes):
+        u = drawn(n, np.arange(s), rank, seed)
+        out.append(u if dist == "uniform" else np.sqrt(-2 * np.log(u)) * np.cos(2 * np.pi * drawn(n, np.arange(s), rank, seed, 1)))
+    return out
 
 
 def products(factors: list[np.ndarray], idx: np.ndarray, skip: int | None = None) -> np.ndarray:
@@ -126,43 +140,104 @@ def fit_local(factors: list[np.ndarray], idx: np.ndarray, y: np.ndarray, m: int,
     return now
 
 
-def row_systems(cells: DataFrame, factors: list[np.ndarray], names: list[str], n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Gram matrices and right sides of mode n, summed over cells (names.., y) without moving them."""
+def cleaned(fs, frozen, threshold: float, idx: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """y without the outliers that the frozen factors see: residuals are cut at the threshold."""
+    if frozen is None:
+        return y
+    r = y - products(frozen, idx).sum(1)
+    return y - np.sign(r) * np.maximum(np.abs(r) - threshold, 0)
+
+
+def row_sums(cells: DataFrame, factors: list[np.ndarray], names: list[str], n: int, outliers: tuple | None = None) -> tuple[DataFrame, list[str], list[str], object]:
+    """(row, g.., c..): upper Gram entries and right sides of mode n summed over cells (names.., y) without moving them.
+
+    outliers: (frozen factors, threshold) whose outliers are taken off y in the same pass.
+    """
     rank, size = factors[0].shape[1], len(factors[n])
-    if size > MOST_ROWS:
-        raise ValueError(f"mode {names[n]} has {size} rows; row systems of {MOST_ROWS} at most are solved on the driver")
     pairs = [(a, b) for a in range(rank) for b in range(a, rank)]
-    shared = cells.sparkSession.sparkContext.broadcast(factors)  # rows of all modes, of checked size
-    out = [f"g{i}" for i in range(len(pairs))] + [f"c{a}" for a in range(rank)]
+    frozen, threshold = outliers or (None, 0.0)
+    shared = cells.sparkSession.sparkContext.broadcast((factors, frozen))  # rows of all modes, of checked size
+    grams, rights = [f"g{i}" for i in range(len(pairs))], [f"c{a}" for a in range(rank)]
+    whole = size * rank * rank <= TASK_NUMBERS
 
     def run(batches):
         import numpy as np
         import pyarrow as pa
 
-        fs = shared.value
+        fs, before = shared.value
+
+        def rows_of(on, part):
+            return pa.RecordBatch.from_arrays([pa.array(on, pa.int64()), *(pa.array(part[:, j]) for j in range(part.shape[1]))], ["row", *grams, *rights])
+
         total = None
         for batch in batches:
             idx = np.stack([batch.column(k).to_numpy(zero_copy_only=False) for k in names], 1).astype(np.int64)
-            y = batch.column("y").to_numpy(zero_copy_only=False)
-            gram, right = systems(products(fs, idx, n), y, idx[:, n], size)
+            y = cleaned(fs, before, threshold, idx, batch.column("y").to_numpy(zero_copy_only=False))
+            on, at = (None, idx[:, n]) if whole else np.unique(idx[:, n], return_inverse=True)
+            gram, right = systems(products(fs, idx, n), y, at, size if whole else len(on))
             part = np.concatenate([np.stack([gram[:, a, b] for a, b in pairs], 1), right], 1)
-            total = part if total is None else total + part
+            if whole:
+                total = part if total is None else total + part
+            elif len(on):  # a long mode: a batch's touched rows leave at once
+                yield rows_of(on, part)
         if total is not None:
             on = np.flatnonzero(np.abs(total).sum(1))
-            yield pa.RecordBatch.from_arrays([pa.array(on, pa.int64()), *(pa.array(total[on, j]) for j in range(len(out)))], ["row", *out])
+            yield rows_of(on, total[on])
+
+    schema = "row long, " + ", ".join(f"{c} double" for c in [*grams, *rights])
+    out = cells.select(*names, "y").mapInArrow(run, schema).groupBy("row").agg(*[F.sum(c).alias(c) for c in [*grams, *rights]])
+    return out, grams, rights, shared
+
 
-    schema = "row long, " + ", ".join(f"{c} double" for c in out)
-    got = cells.select(*names, "y").mapInArrow(run, schema).groupBy("row").agg(*[F.sum(c).alias(c) for c in out]).toPandas()
+def unpacked(got, rank: int, grams: list[str], rights: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Gram matrices and right sides from columns of sums."""
+    gram, k = np.zeros((len(got), rank, rank)), 0
+    for a in range(rank):
+        for b in range(a, rank):
+            gram[:, a, b] = gram[:, b, a] = got[grams[k]].to_numpy()
+            k += 1
+    return gram, np.stack([got[c].to_numpy() for c in rights], 1) if len(got) else np.zeros((0, rank))
+
+
+def row_systems(cells: DataFrame, factors: list[np.ndarray], names: list[str], n: int, outliers: tuple | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Gram matrices and right sides of every row of mode n, on the driver: for the time mode, whose rows hang together."""
+    rank, size = factors[0].shape[1], len(factors[n])
+    if size * rank * rank > MOST_NUMBERS:
+        raise ValueError(f"mode {names[n]}: row systems of {size} x {rank} x {rank} numbers are over {MOST_NUMBERS}")
+    sums, grams, rights, shared = row_sums(cells, factors, names, n, outliers)
+    got = sums.toPandas()  # of checked size
     shared.unpersist()
     gram, right = np.zeros((size, rank, rank)), np.zeros((size, rank))
-    rows = got["row"].to_numpy()
-    for j, (a, b) in enumerate(pairs):
-        gram[rows, a, b] = gram[rows, b, a] = got[f"g{j}"].to_numpy()
-    for a in range(rank):
-        right[rows, a] = got[f"c{a}"].to_numpy()
+    at = got["row"].to_numpy(dtype=np.int64)
+    gram[at], right[at] = unpacked(got, rank, grams, rights)
     return gram, right
 
 
+def solved_rows(cells: DataFrame, factors: list[np.ndarray], names: list[str], n: int, outliers: tuple | None = None) -> np.ndarray:
+    """The new rows of a non-temporal mode, solved in the tasks that hold their sums; R numbers a row come back."""
+    rank, size = factors[0].shape[1], len(factors[n])
+    if size * rank > MOST_NUMBERS:
+        raise ValueError(f"mode {names[n]}: {size} x {rank} numbers are over {MOST_NUMBERS}; its factor is not held on the driver")
+    sums, grams, rights, shared = row_sums(cells, factors, names, n, outliers)
+    columns = [f"u{a}" for a in range(rank)]
+
+    def solve(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            got = batch.to_pandas()
+            gram, right = unpacked(got, rank, grams, rights)
+            at = got["row"].to_numpy(dtype="int64")
+            u = solve_rows(gram, right, shared.value[0][n][at])
+            yield pa.RecordBatch.from_arrays([pa.array(at), *(pa.array(u[:, a]) for a in range(rank))], ["row", *columns])
+
+    got = sums.mapInArrow(solve, "row long, " + ", ".join(f"{c} double" for c in columns)).toPandas()  # of checked size
+    shared.unpersist()
+    out = factors[n].copy()
+    out[got["row"].to_numpy(dtype=np.int64)] = got[columns].to_numpy()
+    return out
+
+
 def residuals(cells: DataFrame, factors: list[np.ndarray], names: list[str]) -> DataFrame:
     """cells with x_hat."""
     shared = cells.sparkSession.sparkContext.broadcast(factors)
@@ -180,13 +255,48 @@ def residuals(cells: DataFrame, factors: list[np.ndarray], names: list[str]) ->
     return cells.mapInArrow(run, StructType([*cells.schema.fields]).add("x_hat", DoubleType()))
 
 
-def sweep_distributed(cells: DataFrame, factors: list[np.ndarray], spec: TensorSpec, hp: HyperParams) -> None:
+def sweep_distributed(cells: DataFrame, factors: list[np.ndarray], spec: TensorSpec, hp: HyperParams, outliers: tuple | None = None) -> None:
     """As sweep, over a DataFrame of cells (modes.., t, y)."""
     names, last = [*spec.modes, "t"], len(factors) - 1
     for n in range(last):
-        factors[n] = solve_rows(*row_systems(cells, factors, names, n), factors[n])
+        factors[n] = solved_rows(cells, factors, names, n, outliers)
         normalize(factors, n)
-    factors[last] = time_rows(*row_systems(cells, factors, names, last), factors[last], spec.period, hp.lambda1, hp.lambda2, hp.time_order)
+    factors[last] = time_rows(*row_systems(cells, factors, names, last, outliers), factors[last], spec.period, hp.lambda1, hp.lambda2, hp.time_order)
+
+
+def fitness_distributed(cells: DataFrame, factors: list[np.ndarray], names: list[str], outliers: tuple | None = None) -> float:
+    """The fitness over a DataFrame of cells: two sums a task."""
+    frozen, threshold = outliers or (None, 0.0)
+    shared = cells.sparkSession.sparkContext.broadcast((factors, frozen))
+
+    def run(batches):
+        import pyarrow as pa
+
+        fs, before = shared.value
+        error = size = 0.0
+        for batch in batches:
+            idx = np.stack([batch.column(k).to_numpy(zero_copy_only=False) for k in names], 1).astype(np.int64)
+            y = cleaned(fs, before, threshold, idx, batch.column("y").to_numpy(zero_copy_only=False))
+            error, size = error + float(((y - products(fs, idx).sum(1)) ** 2).sum()), size + float((y**2).sum())
+        yield pa.RecordBatch.from_arrays([pa.array([error]), pa.array([size])], ["error", "size"])
+
+    error, size = cells.select(*names, "y").mapInArrow(run, "error double, size double").agg(F.sum("error"), F.sum("size")).first()
+    shared.unpersist()
+    return 1 - np.sqrt(error) / np.sqrt(size) if size else 1.0
+
+
+def fit_distributed(cells: DataFrame, factors: list[np.ndarray], spec: TensorSpec, hp: HyperParams, outliers: tuple | None = None, trace: list | None = None) -> None:
+    """As fit_local, over a DataFrame: sweeps until the fitness settles, or inner_max_iter; one sweep asks for no fitness."""
+    before = -np.inf
+    for _ in range(hp.inner_max_iter):
+        sweep_distributed(cells, factors, spec, hp, outliers)
+        if hp.inner_max_iter > 1 or trace is not None:
+            now = fitness_distributed(cells, factors, [*spec.modes, "t"], outliers)
+            if trace is not None:
+                trace.append(now)
+            if abs(now - before) < hp.tol:
+                break
+            before = now
 
 
 def kruskal_inner(f: list[np.ndarray], g: list[np.ndarray]) -> float:

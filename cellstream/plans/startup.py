@@ -34,23 +34,19 @@ def run_local(idx: np.ndarray, y: np.ndarray, spec: TensorSpec, hp: HyperParams,
 
 
 def run(cells: DataFrame, spec: TensorSpec, hp: HyperParams, solver: str = "smooth") -> list[np.ndarray]:
-    """As run_local, over a DataFrame of start-up cells: outliers are a function of the cell's residual, so each
-    sweep computes them in the tasks from the factors and threshold before it."""
+    """As run_local, over a DataFrame of start-up cells: outliers are a function of the cell's residual, so the pass
+    that sums a mode's row systems takes them off with the factors and threshold before it; cells stay as they are."""
     if solver == "plain":
         hp = hp.with_(lambda1=0.0, lambda2=0.0)
     names = [*spec.modes, "t"]
     cells = cells.where(F.col("t") < spec.startup).select(*names, "y").persist()
     try:
         factors = smooth_als.initial_factors((*spec.sizes, spec.startup), spec.rank, hp.seed, hp.dist)
-        current, threshold, old = cells, hp.lambda3, None
+        outliers, threshold, old = None, hp.lambda3, None
         for _ in range(hp.max_iter):
-            for _ in range(hp.inner_max_iter):
-                smooth_als.sweep_distributed(current, factors, spec, hp)
+            smooth_als.fit_distributed(cells, factors, spec, hp, outliers)
             frozen = [u.copy() for u in factors]
-            used = threshold / (2 if hp.half_threshold else 1)
-            scored = smooth_als.residuals(cells, frozen, names)
-            r = F.col("y") - F.col("x_hat")
-            current = scored.select(*names, (F.col("y") - F.signum(r) * F.greatest(F.abs(r) - used, F.lit(0.0))).alias("y"))
+            outliers = frozen, threshold / (2 if hp.half_threshold else 1)
             threshold = max(hp.decay * threshold, hp.lambda3 * hp.floor)
             if old is not None and smooth_als.relative_change(factors, old) < hp.tol:
                 break
@@ -60,10 +56,24 @@ def run(cells: DataFrame, spec: TensorSpec, hp: HyperParams, solver: str = "smoo
         cells.unpersist()
 
 
-def fit_seasons(w: np.ndarray, m: int) -> SeasonState:
-    """Parameters and last states of every column of the time factor."""
+def best(cells: DataFrame, spec: TensorSpec, hp: HyperParams, starts: int = 3, solver: str = "smooth") -> list[np.ndarray]:
+    """As best_local, over a DataFrame: of several random starts, the factors with the least mean absolute residual."""
+    if starts == 1:
+        return run(cells, spec, hp, solver)
+    names, found = [*spec.modes, "t"], None
+    early = cells.where(F.col("t") < spec.startup)
+    for k in range(starts):
+        factors = run(cells, spec, hp.with_(seed=hp.seed + 101 * k), solver)
+        loss = smooth_als.residuals(early.select(*names, "y"), factors, names).agg(F.avg(F.abs(F.col("y") - F.col("x_hat")))).first()[0]
+        if found is None or loss < found[0]:
+            found = loss, factors
+    return found[1]
+
+
+def fit_seasons(w: np.ndarray, m: int, states: bool = False) -> SeasonState:
+    """Parameters and last states of every column of the time factor; states: first states are estimated too."""
     steps, rank = w.shape
-    out = [lts_fit.fit(w[:, r], m) for r in range(rank)]
+    out = [(lts_fit.fit_states if states else lts_fit.fit)(w[:, r], m) for r in range(rank)]
     level, trend = (np.array([o[2][k] for o in out]) for k in (0, 1))
     season = np.stack([o[2][2] for o in out], 1)  # slot t mod m
     p = np.array([o[0] for o in out])

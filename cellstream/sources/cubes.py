@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .tables import load
+from .tables import load, staged
 
 EVENT_TYPES = ["click", "error", "purchase", "signup", "view"]
 PRIORITIES = ["1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW"]
@@ -48,18 +48,18 @@ def sensor(spark: SparkSession, d: str, per_day: int) -> DataFrame:
 def transition(spark: SparkSession, d: str, per_user: bool) -> DataFrame:
     """Hourly number of steps from an event type to the next one, over all events or each user's.
 
-    The chain over all events is cut by days for the order, each day's first event taking up the day before's
-    last, so that no task sorts the whole table.
+    The chain over all events is cut by minutes for the order, each minute's last event being followed by the next
+    minute's first, so that no task sorts the whole table.
     """
-    e = event_cells(spark, d, 24).withColumn("day", day("ts", EVENTS_FROM))
+    e = event_cells(spark, d, 24).withColumn("part", day("ts", EVENTS_FROM) * 1440 + F.hour("ts") * 60 + F.minute("ts"))
     if per_user:
         follow = F.lead("i2").over(Window.partitionBy("user_id").orderBy("ts", "event_id"))
         pairs = e.select("i2", "t", follow.alias("j")).where("j is not null")
     else:
-        inside = e.select("i2", "t", "day", F.lead("i2").over(Window.partitionBy("day").orderBy("ts", "event_id")).alias("j"))
-        first = e.groupBy("day").agg(F.min_by("i2", F.struct("ts", "event_id")).alias("first"))
-        after = first.select("day", F.lead("day").over(Window.orderBy("day")).alias("_"), F.lead("first").over(Window.orderBy("day")).alias("next"))  # a row a day
-        pairs = inside.join(F.broadcast(after.select("day", "next")), "day").select("i2", "t", F.coalesce("j", "next").alias("j")).where("j is not null")
+        inside = e.select("i2", "t", "part", F.lead("i2").over(Window.partitionBy("part").orderBy("ts", "event_id")).alias("j"))
+        first = e.groupBy("part").agg(F.min_by("i2", F.struct("ts", "event_id")).alias("first"))
+        after = first.select("part", F.lead("first").over(Window.orderBy("part")).alias("next"))  # a row a minute of the calendar
+        pairs = inside.join(after, "part").select("i2", "t", F.coalesce("j", "next").alias("j")).where("j is not null")
     return pairs.groupBy(F.col("i2").alias("i1"), F.col("j").alias("i2"), "t").agg(F.count(F.lit(1)).cast("double").alias("y"))
 
 
@@ -77,11 +77,11 @@ def month(column: str) -> Column:
     return ((F.year(column) - 1995) * 12 + F.month(column) - 1).cast("int")
 
 
-def flow(spark: SparkSession, d: str, grain: str) -> DataFrame:
-    """Supplier nation x customer nation x week, month or day; quantity, for days log2(1 + count)."""
+def flow(spark: SparkSession, d: str, grain: str, rows: DataFrame | None = None) -> DataFrame:
+    """Supplier nation x customer nation x week, month or day; quantity, for days log2(1 + count). rows: a `shipped` made before."""
     t = {"week": F.floor(day("l_shipdate", ORDERS_FROM) / 7).cast("int"), "month": month("l_shipdate"), "day": day("l_shipdate", ORDERS_FROM)}[grain]
     y = F.round(F.log2(F.count(F.lit(1)) + F.lit(1.0)), 6) if grain == "day" else F.sum(cents("l_quantity")) / 100
-    return shipped(spark, d).groupBy(F.col("s_nation").alias("i1"), F.col("c_nation").alias("i2"), t.alias("t")).agg(y.alias("y"))
+    return (rows or shipped(spark, d)).groupBy(F.col("s_nation").alias("i1"), F.col("c_nation").alias("i2"), t.alias("t")).agg(y.alias("y"))
 
 
 def orders_day(spark: SparkSession, d: str) -> DataFrame:
@@ -91,16 +91,28 @@ def orders_day(spark: SparkSession, d: str) -> DataFrame:
     return joined.groupBy(code("o_orderpriority", PRIORITIES).alias("i1"), code("c_mktsegment", SEGMENTS).alias("i2"), day("o_orderdate", ORDERS_FROM).alias("t")).agg(F.count(F.lit(1)).cast("double").alias("y"))
 
 
-def brand_month(spark: SparkSession, d: str) -> DataFrame:
+def brand_month(spark: SparkSession, d: str, rows: DataFrame | None = None) -> DataFrame:
     """Order 4: brand x supplier region x customer region x month, quantity."""
     nation = load(spark, d, "nation").select(F.col("n_nationkey").cast("int").alias("n"), F.col("n_regionkey").cast("int").alias("r"))
     part = load(spark, d, "part").select("p_partkey", "p_brand")
     brands = part.select("p_brand").distinct().select("p_brand", (F.dense_rank().over(Window.orderBy("p_brand")) - 1).cast("int").alias("i1"))  # a row a brand
-    rows = shipped(spark, d).join(part, F.col("l_partkey") == F.col("p_partkey")).join(brands, "p_brand")
+    rows = (rows or shipped(spark, d)).join(part, F.col("l_partkey") == F.col("p_partkey")).join(brands, "p_brand")
     rows = rows.join(nation.select(F.col("n").alias("s_nation"), F.col("r").alias("i2")), "s_nation").join(nation.select(F.col("n").alias("c_nation"), F.col("r").alias("i3")), "c_nation")
     return rows.groupBy("i1", "i2", "i3", month("l_shipdate").alias("t")).agg((F.sum(cents("l_quantity")) / 100).alias("y"))
 
 
+def numbered(labels: DataFrame) -> DataFrame:
+    """(label, idx): a dense number from 0 in the order of the labels, for a dictionary of any size.
+
+    Labels are dealt by ranges; a task numbers its range, and the ranges' counts, one row each, are summed up before.
+    """
+    ranges = staged(labels.select("label").repartitionByRange("label").withColumn("part", F.spark_partition_id()), "labels")
+    sizes = ranges.groupBy("part").agg(F.count(F.lit(1)).alias("n"))  # a row a range
+    before = F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    own = F.row_number().over(Window.partitionBy("part").orderBy("label"))
+    return ranges.withColumn("own", own).join(F.broadcast(sizes.select("part", before.alias("before"))), "part").select("label", (F.col("own") + F.col("before") - 1).cast("int").alias("idx"))
+
+
 @dataclass(frozen=True)
 class Cube:
     name: str

@@ -81,17 +81,24 @@ def advance(state: Snapshot, idx: np.ndarray, y: np.ndarray, hp: HyperParams, in
     if scaled:
         pull = pull / max((p * p).sum() + hp.lambda1 + hp.lambda2, 1e-300)
     w = w_hat + 2 * hp.mu * pull
+    new, w = finished(new, w, t, hp)
+    ring = state.ring.copy()
+    ring[slot] = w
+    out = {"y_hat": y_hat, "outlier": outlier, "sigma2": sigma2, "w": w, "w_hat": w_hat}
+    return Snapshot(new, update_season(state.season, w, slot), ring, t, scales), out
+
+
+def finished(factors: list[np.ndarray], w: np.ndarray, t: int, hp: HyperParams) -> tuple[list[np.ndarray], np.ndarray]:
+    """A step's factors and time vector, renormalized where that is asked for, and held against divergence."""
     if hp.renormalize:
-        for n, u in enumerate(new):
+        factors = list(factors)
+        for n, u in enumerate(factors):
             norms = np.where((x := np.linalg.norm(u, axis=0)) > 0, x, 1.0)
-            new[n] = u / norms
+            factors[n] = u / norms
             w = w * norms
     if not np.isfinite(w).all() or np.abs(w).max(initial=0) > 1e12:
         raise Diverged(f"step {t}: the time vector left all bounds; use step_rule='row_scaled' or a smaller mu")
-    ring = state.ring.copy()
-    ring[slot] = w
-    out = {"y_hat": y_hat, "outlier": outlier, "sigma2": sigma2, "w": w, "w_hat": w_hat}
-    return Snapshot(new, update_season(state.season, w, slot), ring, t, scales), out
+    return factors, w
 
 
 def impute(state: Snapshot, idx: np.ndarray) -> np.ndarray:

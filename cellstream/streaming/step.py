@@ -12,6 +12,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import HyperParams, Snapshot, TensorSpec
+from ..plans import startup
+from ..sources.tables import staged
 from . import kernel
 
 
@@ -89,8 +91,7 @@ def apply(state: Snapshot, w_hat: np.ndarray, sums, rank: int, hp: HyperParams)
     if scaled:
         pull = pull / max(size + hp.lambda1 + hp.lambda2, 1e-300)
     w = w_hat + 2 * hp.mu * pull
-    if not np.isfinite(w).all():
-        raise kernel.Diverged(f"step {t}")
+    new, w = kernel.finished(new, w, t, hp)
     ring = state.ring.copy()
     ring[slot] = w
     return Snapshot(new, kernel.update_season(state.season, w, slot), ring, t, state.scales)
@@ -102,3 +103,37 @@ def overlay(scales: DataFrame | None, judged: DataFrame, spec: TensorSpec) -> Da
     if scales is None:
         return delta.withColumnRenamed("new", "sigma2")
     return scales.join(delta, spec.modes, "full_outer").select(*spec.modes, F.coalesce("new", "sigma2").alias("sigma2"))
+
+
+def run(cells: DataFrame, spec: TensorSpec, hp: HyperParams, starts: int = 1) -> DataFrame:
+    """(modes.., t, y_hat, x_hat, outlier) of every step after the start-up, to the stream's end, one step over the cluster
+    at a time. Of `starts` random start-ups the one with the least absolute residual is kept. Judged slices and the sparse
+    scales are staged after each step, so no plan grows with the stream."""
+    cells = staged(cells.select(*spec.modes, "t", "y"), "cells")
+    state = startup.snapshot(startup.best(cells, spec, hp, starts), spec)
+    scales = out = None
+    last = cells.agg(F.max("t")).first()[0]
+    shown = lambda state: cells.sparkSession.sparkContext.broadcast((state.factors, state.ring[state.t % len(state.ring)]))
+    for t in range(spec.startup, (-1 if last is None else last) + 1):
+        state, judged = advance(state, cells.where(F.col("t") == t), scales, spec, hp)
+        scales = staged(overlay(scales, judged, spec), "scales")
+        part = staged(imputed(judged, shown(state), spec).select(*spec.modes, F.lit(t).alias("t"), "y_hat", "x_hat", "outlier"), "judged")
+        judged.unpersist()
+        out = part if out is None else out.unionByName(part)
+    schema = ", ".join(f"{m} int" for m in spec.modes) + ", t int, y_hat double, x_hat double, outlier double"
+    return out if out is not None else cells.sparkSession.createDataFrame([], schema)
+
+
+def imputed(judged: DataFrame, shared, spec: TensorSpec) -> DataFrame:
+    """judged with x_hat, the cell's value after the step."""
+    from pyspark.sql.types import DoubleType, StructType
+
+    def run(batches):
+        import pyarrow as pa
+
+        factors, w = shared.value
+        for batch in batches:
+            idx = np.stack([batch.column(k).to_numpy(zero_copy_only=False) for k in spec.modes], 1).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(kernel.rows(factors, idx) @ w)], [*batch.schema.names, "x_hat"])
+
+    return judged.mapInArrow(run, StructType([*judged.schema.fields]).add("x_hat", DoubleType()))

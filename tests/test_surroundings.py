@@ -57,7 +57,35 @@ def test_keyed_stream_equals_fold(spark, tmp_path):
     assert got == {(r["tensor_id"], r["t"], r["i1"], r["i2"]): round(r["x_hat"], 9) for r in want}
 
 
-def test_compare_and_repeat():
-    got = experiments.compare({"robust_seasonal": {"rae": 0.1, "art": 1.0}, "b": {"rae": 0.4, "art": 10.0}, "c": {"rae": 0.5, "art": 0.1}})
-    assert np.isclose(got["percent_less_error"], 75) and got["times_faster"] == 10
-    assert experiments.repeat(lambda s: {"x": float(s)}) == {"x": 3.0}
+def test_comparison_with_the_second(spark):
+    """Means over seeds and steps; the most accurate other method is the one compared with."""
+    rows = [("w", 20, 10, 2, seed, m, "{}", t, e + 0.1 * (seed == 2), s) for seed in (1, 2) for t in (5, 6, 7) for m, e, s in (("robust_seasonal", 0.05, 1.0), ("b", 0.35, 10.0), ("c", 0.5, 0.1))]
+    got = experiments.compared(spark.createDataFrame(rows, experiments.STEP_SCHEMA), ["workload", "missing", "outliers", "times"]).first()
+    assert got["second"] == "b" and np.isclose(got["percent_less_error"], 75) and np.isclose(got["times_faster"], 10) and np.isclose(got["own_art"], 1.5)
+
+
+def test_planted_values_agree(spark):
+    """The column formula and the array hold the same numbers, seed by seed."""
+    from cellstream.sources import planted
+
+    at = spark.createDataFrame([(i, j, t) for i in range(3) for j in range(4) for t in range(10)], "i1 int, i2 int, t int")
+    for seed in (0, 3):
+        x = planted.values((3, 4), 10, 2, 5, seed)
+        assert all(np.isclose(x[r["i1"], r["i2"], r["t"]], r["x"]) for r in planted.truth(at, ["i1", "i2"], 2, 5, seed).collect())
+
+
+def test_runs_see_the_cubes_gaps_and_every_method(spark):
+    """A small grid of runs on the coordinates of the given tables' monthly flows."""
+    cells = experiments.observed(spark, "/root/testdata/sf0.01", "flow_month", [(20, 10, 2)], [1, 2])
+    got = experiments.runs(cells, ["robust_seasonal", "sgd_stream_cp"], experiments.imputed, {}).toPandas()
+    assert set(got["method"]) == {"robust_seasonal", "sgd_stream_cp"} and set(got["seed"]) == {1, 2} and set(got["t"]) == set(range(36, 83))
+    mean = got.groupby("method")["nre"].mean()
+    assert mean["robust_seasonal"] < mean["sgd_stream_cp"]
+
+
+def test_dense_numbers_over_ranges(spark):
+    from cellstream.sources import cubes
+
+    labels = [f"l{(7919 * k) % 5000:05d}" for k in range(500)]
+    got = {r["label"]: r["idx"] for r in cubes.numbered(spark.createDataFrame([(x,) for x in labels], "label string").repartition(7)).collect()}
+    assert got == {x: i for i, x in enumerate(sorted(labels))}
