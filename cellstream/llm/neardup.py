@@ -83,7 +83,7 @@ def profiles(docs: DataFrame, width: int = WIDTH) -> DataFrame:
 
 
 def sets_of(docs: DataFrame, classes: DataFrame, width: int = WIDTH) -> DataFrame:
-    """set_id and its full set, for each of classes (set_id, rep), read from the representative's text."""
+    """cid and its full set, for each of classes (cid, set_id, rep), read from the representative's text."""
     def run(batches):
         import pyarrow as pa
 
@@ -95,20 +95,20 @@ def sets_of(docs: DataFrame, classes: DataFrame, width: int = WIDTH) -> DataFram
     texts = docs.select("doc_id", "text").join(classes.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi")
     # A doc_id that stands on several texts gives the sets of them all; only those asked for stay, once.
     sets = texts.mapInArrow(run, "set_id binary, shingles array<long>").where("set_id is not null")
-    return sets.join(classes.select("set_id"), "set_id", "left_semi").dropDuplicates(["set_id"])
+    return sets.join(classes.select("set_id", "cid"), "set_id").select("cid", "shingles").dropDuplicates(["cid"])
 
 
 def verified(pairs: DataFrame, sets: DataFrame, share=SHARE) -> DataFrame:
     """The pairs (a, b) whose full sets share at least share[0] / share[1] of their union."""
-    both = pairs.join(sets.select(F.col("set_id").alias("a"), F.col("shingles").alias("sa")), "a").join(sets.select(F.col("set_id").alias("b"), F.col("shingles").alias("sb")), "b")
+    both = pairs.join(sets.select(F.col("cid").alias("a"), F.col("shingles").alias("sa")), "a").join(sets.select(F.col("cid").alias("b"), F.col("shingles").alias("sb")), "b")
     shared = F.size(F.array_intersect("sa", "sb"))
     return both.where(share[1] * shared >= share[0] * (F.size("sa") + F.size("sb") - shared)).select("a", "b")
 
 
 def table_keys(halves: DataFrame) -> DataFrame:
-    """One row (key, set_id, n) per table: a key joins one half-key of each collection."""
+    """One row (key, cid, n) per table: a key joins one half-key of each collection."""
     keys = F.array(*[F.xxhash64(F.lit(i * HALVES + j), F.col("halves")[i], F.col("halves")[HALVES + j]) for i in range(HALVES) for j in range(HALVES)])
-    return halves.select("set_id", "n_shingles", F.explode(keys).alias("key"))
+    return halves.select("cid", "n_shingles", F.explode(keys).alias("key"))
 
 
 def prefix_pairs(members: DataFrame, sets: DataFrame, share=SHARE) -> DataFrame:
@@ -119,21 +119,21 @@ def prefix_pairs(members: DataFrame, sets: DataFrame, share=SHARE) -> DataFrame:
     stand one by one only against other components; a shingle of over PART members is dealt over several tasks, one
     side by salt, the other to each.
     """
-    rows = sets.join(members.select("set_id", "root").distinct(), "set_id").select("set_id", "root", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
+    rows = sets.join(members.select("cid", "root").distinct(), "cid").select("cid", "root", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
     frequency = rows.groupBy("s").agg(F.count(F.lit(1)).alias("f"), F.min("root").alias("lo"), F.max("root").alias("hi"))
     open_ones = frequency.select("s", "f", (F.col("lo") < F.col("hi")).alias("between"))
-    ordered = rows.join(open_ones, "s").groupBy("set_id", "root", "n").agg(F.array_sort(F.collect_list(F.struct("f", "s", "between"))).alias("o"))
+    ordered = rows.join(open_ones, "s").groupBy("cid", "root", "n").agg(F.array_sort(F.collect_list(F.struct("f", "s", "between"))).alias("o"))
     prefix = F.slice("o", F.lit(1), (F.col("n") - F.ceil(F.col("n") * share[0] / share[1]) + 1).cast("int"))
-    first = ordered.select("set_id", "root", "n", F.posexplode(prefix).alias("at", "x")).where("x.between")
+    first = ordered.select("cid", "root", "n", F.posexplode(prefix).alias("at", "x")).where("x.between")
     salts = F.ceil(F.col("x.f") / PART)
-    first = first.select("set_id", "root", "n", "at", F.col("x.s").alias("s"), salts.alias("salts"))
-    left = first.withColumn("salt", F.pmod(F.xxhash64("set_id"), "salts"))
+    first = first.select("cid", "root", "n", "at", F.col("x.s").alias("s"), salts.alias("salts"))
+    left = first.withColumn("salt", F.pmod(F.xxhash64("cid"), "salts"))
     right = first.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)))
     l, r = left.alias("l"), right.alias("r")
     # What two sets can share if this is the first shingle that they share; for a later one the first has spoken.
     most = F.least(F.col("l.n") - F.col("l.at"), F.col("r.n") - F.col("r.at"))
     fits = (F.col("l.root") < F.col("r.root")) & ((share[0] + share[1]) * most >= share[0] * (F.col("l.n") + F.col("r.n")))
-    return l.join(r, (F.col("l.s") == F.col("r.s")) & (F.col("l.salt") == F.col("r.salt")) & fits).select(F.col("l.set_id").alias("a"), F.col("r.set_id").alias("b")).distinct()
+    return l.join(r, (F.col("l.s") == F.col("r.s")) & (F.col("l.salt") == F.col("r.salt")) & fits).select(F.col("l.cid").alias("a"), F.col("r.cid").alias("b")).distinct()
 
 
 def grouped(docs: DataFrame, width: int = WIDTH, share=SHARE) -> DataFrame:
@@ -143,35 +143,39 @@ def grouped(docs: DataFrame, width: int = WIDTH, share=SHARE) -> DataFrame:
     seen = common.staged(profiles(docs, width), "profiles")
     named = seen.where("set_id is not null and doc_id is not null")
     classes = named.groupBy("set_id").agg(F.min("doc_id").alias("rep"), F.max("doc_id").alias("last"), F.count(F.lit(1)).alias("copies"), F.first("n_shingles").alias("n_shingles"), F.first("halves").alias("halves"))
-    reps = common.staged(classes, "classes")
+    # Classes go by numbers from here on; they are staged, so each keeps its own.
+    reps = common.staged(common.numbered(classes, "cid"), "classes")
     keys = table_keys(reps)
-    low = keys.groupBy("key").agg(F.min("set_id").alias("a"), F.max("set_id").alias("z")).where("a < z").select("key", "a")
-    met = common.staged(keys.join(low, "key").select("key", "a", F.col("set_id").alias("b"), "n_shingles"), "met")
+    low = keys.groupBy("key").agg(F.min("cid").alias("a"), F.max("cid").alias("z")).where("a < z").select("key", "a")
+    met = common.staged(keys.join(low, "key").select("key", "a", F.col("cid").alias("b"), "n_shingles"), "met")
     stars = met.where("a <> b").groupBy("a", "b").agg(F.first("n_shingles").alias("n"))
-    stars = stars.join(reps.select(F.col("set_id").alias("a"), F.col("n_shingles").alias("na")), "a").where(F.least("n", "na") * share[1] >= F.greatest("n", "na") * share[0]).select("a", "b")
+    stars = stars.join(reps.select(F.col("cid").alias("a"), F.col("n_shingles").alias("na")), "a").where(F.least("n", "na") * share[1] >= F.greatest("n", "na") * share[0]).select("a", "b")
     stars = common.staged(stars, "stars")
-    ends = met.select(F.col("b").alias("set_id")).distinct()
-    sets = common.staged(sets_of(docs, reps.select("set_id", "rep").join(ends, "set_id", "left_semi"), width), "sets")
+    ends = met.select(F.col("b").alias("cid")).distinct()
+    sets = common.staged(sets_of(docs, reps.select("cid", "set_id", "rep").join(ends, "cid", "left_semi"), width), "sets")
     links = common.staged(verified(stars, sets, share), "confirmed")
     first = common.components(links)
-    rooted = met.select("key", F.col("b").alias("set_id")).join(first.withColumnRenamed("node", "set_id"), "set_id", "left").select("key", "set_id", F.coalesce("root", "set_id").alias("root"))
+    rooted = met.select("key", F.col("b").alias("cid")).join(first.withColumnRenamed("node", "cid"), "cid", "left").select("key", "cid", F.coalesce("root", "cid").alias("root"))
     open_keys = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("key")
-    members = common.staged(rooted.join(open_keys, "key").select("set_id", "root").distinct(), "open")
+    members = common.staged(rooted.join(open_keys, "key").select("cid", "root").distinct(), "open")
+    common.dropped(met, stars)
     more = verified(prefix_pairs(members, sets, share), sets, share)
     # A doc_id that stands on several texts ties their classes together: to the smallest of them, one row a class.
-    several = named.groupBy("doc_id").agg(F.min("set_id").alias("a"), F.max("set_id").alias("z")).where("a < z").select("doc_id", "a")
-    ties = named.join(several, "doc_id").where("set_id <> a").select("a", F.col("set_id").alias("b")).distinct()
+    several = named.groupBy("doc_id").agg(F.min(F.xxhash64("set_id")).alias("lo"), F.max(F.xxhash64("set_id")).alias("hi")).where("lo < hi").select("doc_id")
+    several = common.staged(named.select("doc_id", "set_id").join(several, "doc_id").join(reps.select("set_id", "cid"), "set_id").select("doc_id", "cid"), "several")
+    ties = several.join(several.groupBy("doc_id").agg(F.min("cid").alias("a")), "doc_id").where("cid <> a").select("a", F.col("cid").alias("b")).distinct()
     roots = common.staged(common.components(links.unionByName(more).unionByName(ties)), "roots")
+    common.dropped(sets, links, members, several)
     # The smallest doc_id of a component, and of each class in one; classes outside keep their own.
-    whole = roots.join(reps.select(F.col("set_id").alias("node"), "rep"), "node")
+    whole = roots.join(reps.select(F.col("cid").alias("node"), "rep"), "node")
     lowest = whole.groupBy("root").agg(F.min("rep").alias("component"))
-    linked = roots.join(lowest, "root").select(F.col("node").alias("set_id"), "component")
+    linked = roots.join(lowest, "root").select(F.col("node").alias("cid"), "component")
     # One row for each doc_id that is not its own component; ids of several texts agree, since these are tied.
-    other = reps.select("set_id", "rep", "last", "copies").join(linked, "set_id", "left").select("set_id", F.coalesce("component", "rep").alias("component"), "last", "copies").where("last <> component")
+    other = reps.select("cid", "set_id", "rep", "last", "copies").join(linked, "cid", "left").select("set_id", F.coalesce("component", "rep").alias("component"), "last", "copies").where("last <> component")
     other = common.staged(other.drop("last"), "other")
     moved = common.matched(named.select("set_id", "doc_id"), other, ["set_id"], F.col("copies") * 1000 > seen.count())
     moved = common.staged(moved.where("doc_id <> component").select("doc_id", "component").distinct(), "moved")
-    common.dropped(reps, met, stars, sets, links, members, roots)
+    common.dropped(reps, roots, other)
     out = seen.select("doc_id", "n_shingles").join(moved, "doc_id", "left")
     component = F.coalesce("component", "doc_id")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
