@@ -743,7 +743,7 @@ def rank_choice(s, d):
         return pd.DataFrame([(rank, seed, experiments.rank_choice("flow_month", seed, [rank])[rank])], columns=["rank", "seed", "rae"])
 
     plan = s.createDataFrame([(r, k) for r in experiments.RANKS for k in experiments.SEEDS], "rank int, seed int")
-    return plan.groupBy("rank", "seed").applyInPandas(go, "rank int, seed int, rae double")
+    return plan.repartition(experiments.TASKS, "rank", "seed").groupBy("rank", "seed").applyInPandas(go, "rank int, seed int, rae double")
 
 
 for _name in ("impute", "outliers"):

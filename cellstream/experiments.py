@@ -3,7 +3,7 @@
 Streams are planted on the coordinates of the given tables' cubes: a closed low-rank seasonal value at every coordinate,
 observed where the cube has a cell and a hash draw does not drop it, so that the tables' real gaps count. A group of runs
 is one (workload, corruption, seed), dealt to the tasks as rows; in it every method sees the same cells. Rivals' settings
-are chosen by a grid for each workload and corruption, on a seed of its own. Results are rows, one a step, method and run.
+are chosen by a grid for each workload, on a seed and corruption of its own. Results are rows, one a step, method and run.
 """
 
 from __future__ import annotations
@@ -35,7 +35,9 @@ IMPUTERS = [OWN, "sgd_stream_cp", "rls_stream_cp", "multi_aspect_stream", "slab_
 FORECASTERS = [OWN, "seasonal_stream_mf", "static_cp_forecast"]
 #: Missing percent at which the proposed method forecasts; rivals see every cell.
 MISSING = (0, 30, 70)
-HORIZON, RANK, TUNING_SEED = 24, 3, 0
+HORIZON, RANK, TUNING_SEED, TUNING_LEVEL = 24, 3, 0, (30, 15, 3)
+#: Tasks that groups of runs are dealt to; a number of its own, so that they are not put together for being small.
+TASKS = 160
 #: Settings that a rival's grid search tries.
 GRIDS = {
     "sgd_stream_cp": [{"step": a, "ridge": b} for a in (0.03, 0.1, 0.3) for b in (1e-3, 1e-1)],
@@ -155,7 +157,7 @@ def observed(spark: SparkSession, d: str, workload: str, levels, seeds, whole: b
 def runs(cells: DataFrame, methods: dict[str, list[dict]] | list[str], measure, chosen: dict | None = None) -> DataFrame:
     """Rows of STEP_SCHEMA: every method on every group of cells, a group a task.
 
-    methods: names with the settings to try; chosen: settings by (workload, missing, outliers, times, method) instead.
+    methods: names with the settings to try; chosen: settings by (workload, method) instead.
     """
     import json
 
@@ -169,7 +171,7 @@ def runs(cells: DataFrame, methods: dict[str, list[dict]] | list[str], measure,
         hp = hyper(pdf["y"].to_numpy())
         rows = []
         for name in methods:
-            for settings in [json.loads(chosen.get((workload, *level, name), "{}"))] if chosen is not None else methods[name]:
+            for settings in [json.loads(chosen.get((workload, name), "{}"))] if chosen is not None else methods[name]:
                 try:
                     got = measure(name, spec, x, slices, hp, seed, settings)
                 except (kernel.Diverged, np.linalg.LinAlgError, ValueError):
@@ -177,7 +179,8 @@ def runs(cells: DataFrame, methods: dict[str, list[dict]] | list[str], measure,
                 rows += [(workload, *level, seed, name, json.dumps(settings, sort_keys=True), *g) for g in got]
         return pd.DataFrame(rows, columns=[c.split()[0] for c in STEP_SCHEMA.split(", ")])
 
-    return cells.groupBy("workload", "missing", "outliers", "times", "seed").applyInPandas(go, STEP_SCHEMA)
+    by = ["workload", "missing", "outliers", "times", "seed"]
+    return cells.repartition(TASKS, *by).groupBy(*by).applyInPandas(go, STEP_SCHEMA)
 
 
 def mean_error(rows: DataFrame, *more: str) -> DataFrame:
@@ -187,9 +190,9 @@ def mean_error(rows: DataFrame, *more: str) -> DataFrame:
 
 
 def tuned(rows: DataFrame) -> dict:
-    """The settings with the least error by workload, corruption and method."""
-    best = mean_error(rows, "settings").groupBy("workload", "missing", "outliers", "times", "method").agg(F.min_by("settings", F.struct("rae", "settings")).alias("settings"))
-    return {tuple(r)[:5]: r["settings"] for r in best.collect()}  # a row a method and setting of the grid
+    """The settings with the least error by workload and method."""
+    best = mean_error(rows, "settings").groupBy("workload", "method").agg(F.min_by("settings", F.struct("rae", "settings")).alias("settings"))
+    return {(r["workload"], r["method"]): r["settings"] for r in best.collect()}  # a row a workload and method
 
 
 _kept: dict[tuple, DataFrame] = {}
@@ -214,7 +217,7 @@ def imputation_runs(spark: SparkSession, d: str) -> DataFrame:
     """Every imputer on four streams, four corruptions and five seeds; rivals tuned."""
     def build():
         rivals = {m: GRIDS[m] for m in IMPUTERS if m != OWN}
-        trial = union(observed(spark, d, w, LEVELS, [TUNING_SEED]) for w in WORKLOADS)
+        trial = union(observed(spark, d, w, [TUNING_LEVEL], [TUNING_SEED]) for w in WORKLOADS)
         chosen = tuned(runs(trial, rivals, imputed))
         cells = union(observed(spark, d, w, LEVELS, SEEDS) for w in WORKLOADS)
         return runs(cells, IMPUTERS, imputed, chosen)
@@ -317,7 +320,7 @@ def start_up_runs(spark: SparkSession, level=(90, 20, 7)) -> DataFrame:
         return pd.DataFrame([(solver, seed, *g) for g in start_up(solver, level, seed)], columns=["solver", "seed", "iteration", "factor_nre", "nre"])
 
     plan = spark.createDataFrame([(s, k) for s in ("smooth", "plain") for k in SEEDS], "solver string, seed int")
-    return plan.groupBy("solver", "seed").applyInPandas(go, "solver string, seed int, iteration int, factor_nre double, nre double")
+    return plan.repartition(TASKS, "solver", "seed").groupBy("solver", "seed").applyInPandas(go, "solver string, seed int, iteration int, factor_nre double, nre double")
 
 
 def scalability_runs(spark: SparkSession, columns: int = 500, firsts=tuple(range(50, 501, 50)), long_steps: int = 5000, short_steps: int = 60) -> DataFrame:

@@ -79,12 +79,13 @@ class Stream:
         return [("startup", int(t), idx[on][:, :-1], x[on], o[on]) for t in np.unique(idx[:, -1]) for on in [idx[:, -1] == t]]
 
 
-def run(cells: DataFrame, spec: TensorSpec, hp: HyperParams, horizon: int = 0, impute: bool = True, starts: int = 3, limit: int = 2_000_000) -> DataFrame:
+def run(cells: DataFrame, spec: TensorSpec, hp: HyperParams, horizon: int = 0, impute: bool = True, starts: int = 3, limit: int = 2_000_000, short: str = "raise") -> DataFrame:
     """(tensor_id, modes.., t, kind, x_hat, outlier) for cells (tensor_id, modes.., t, y).
 
     kind: startup and update for observed cells, imputed for the others of an updated slice, forecast for
     `horizon` steps past each tensor's end. A full slice has prod(sizes) cells; where that is over `limit`, ask
-    for single coordinates by plans.planner.impute_at instead. A tensor shorter than the start-up is an error.
+    for single coordinates by plans.planner.impute_at instead. A tensor shorter than the start-up is an error, or with
+    short="mark" gives its cells as kind too_short, without values, and leaves the other tensors alone.
     """
     modes = spec.modes
     if (impute or horizon) and int(np.prod(spec.sizes)) > limit:
@@ -110,6 +111,8 @@ def run(cells: DataFrame, spec: TensorSpec, hp: HyperParams, horizon: int = 0, i
         out = []
         if stream.state is None and stream.buffer:
             if max(t for t, _, _ in stream.buffer) + 1 < spec.startup:
+                if short == "mark":
+                    return [("too_short", t, idx, np.full(len(idx), np.nan), np.zeros(len(idx))) for t, idx, _ in stream.buffer]
                 raise ValueError(f"tensor {tensor} ends before its start-up of {spec.startup} steps")
             out += stream.begin()
         for h in range(1, horizon + 1):

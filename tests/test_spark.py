@@ -75,6 +75,14 @@ def test_short_tensor_is_an_error(cells):
         fold.run(cells.where("t < 5").select(F.lit("a").alias("tensor_id"), "*"), SPEC, HP, starts=1).collect()
 
 
+def test_short_tensor_can_be_marked(cells):
+    """One tensor that ends too early leaves the others alone."""
+    rows = cells.select(F.lit("whole").alias("tensor_id"), "*").unionByName(cells.where("t < 5").select(F.lit("short").alias("tensor_id"), "*"))
+    got = fold.run(rows, SPEC, HP, starts=1, short="mark").groupBy("tensor_id", "kind").count().collect()
+    kinds = {(r["tensor_id"], r["kind"]): r["count"] for r in got}
+    assert kinds["short", "too_short"] == cells.where("t < 5").count() and kinds["whole", "update"] > 0 and ("short", "update") not in kinds
+
+
 def test_live_replay_restarts_and_skips_late_rows(spark, tmp_path):
     """Micro-batches, a restart in between and a late row give what the fold gives."""
     rng = np.random.default_rng(0)
