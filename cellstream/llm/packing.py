@@ -20,6 +20,8 @@ from pyspark.sql import functions as F
 from . import common
 
 SEQUENCE, CLOSE, SPECIAL = 1024, 0, "<|endoftext|>"
+#: Places of patterns that are broadcast at most; more are met by an exchange.
+MOST_PLACES = 1_000_000
 #: Rows of one length that one task ranks, about.
 PART = 100_000
 
@@ -160,7 +162,9 @@ def pack(docs: DataFrame, path: str, sequence: int = SEQUENCE) -> DataFrame:
     spark = docs.sparkSession
     rows = common.staged(pieces(docs, path, sequence), "pieces")
     counts = {r["length"]: r["count"] for r in rows.groupBy("length").count().collect()}  # at most `sequence` rows
-    places = spark.createDataFrame(slots(patterns(counts, sequence)), "length long, lo long, hi long, base long, offset long")
-    r, s = ranked(rows, counts).alias("r"), F.broadcast(places).alias("s")  # as many rows as patterns have places
+    found = slots(patterns(counts, sequence))
+    places = spark.createDataFrame(found, "length long, lo long, hi long, base long, offset long")
+    # As many rows as patterns have places, whatever the number of documents.
+    r, s = ranked(rows, counts).alias("r"), (F.broadcast(places) if len(found) <= MOST_PLACES else places).alias("s")
     met = (F.col("r.length") == F.col("s.length")) & (F.col("rank") >= F.col("lo")) & (F.col("rank") < F.col("hi"))
     return r.join(s, met).select("doc_id", "start", F.col("r.length").alias("length"), "ids_crc32", "doc_tokens", (F.col("base") + F.col("rank") - F.col("lo")).alias("sequence_id"), "offset")
