@@ -653,14 +653,15 @@ def q5_scalability(s, d):
     """Seconds by cells of a slice (first mode 50 to 500 of 500) and by steps (to 5000)."""
     from . import experiments
 
-    return experiments.scalability_runs(s)
+    return experiments.kept("scalability", s, d, lambda: experiments.scalability_runs(s))
 
 
 @query("q5_linearity")
 def q5_linearity(s, d):
     from . import experiments
 
-    return experiments.linear(experiments.scalability_runs(s))
+    """Straight lines through the same times: slope and R squared, by cells and by steps."""
+    return experiments.linear(q5_scalability(s, d))
 
 
 @query("b3_step", f"""{_with()}, c AS (SELECT i1, i2, y / 100 AS y, cos((i1 + 1) * 0.3) AS u, cos((i2 + 1) * 0.5) AS v FROM cells WHERE t = 40), w AS (SELECT sum(u * v * y) / (sum((u * v) ** 2) + 0.001) AS w FROM c),
