@@ -244,14 +244,28 @@ def kernel_rows(index: Index, words: list[str]) -> np.ndarray:
 
 
 def spread(ranked: list[str], most: int, alike: float = 0.85) -> list[str]:
-    """The first of a ranking that are not alike one taken before."""
-    ranked = ranked[: 6 * most]
-    z = Index(ranked).z.astype(np.float32) if ranked else None
-    taken: list[int] = []
-    for i in range(len(ranked)):
-        if len(taken) < most and (not taken or float((z[taken] @ z[i]).max()) < alike):
-            taken.append(i)
-    return [ranked[i] for i in taken]
+    """The first of a ranking that are not alike one taken before, by their kernels over postings of subsequences."""
+    taken: list[str] = []
+    postings: dict[tuple, list[tuple[int, float]]] = {}
+    for word in ranked[: 6 * most]:
+        own: dict[tuple, float] = {}
+        for i in range(len(word)):
+            for x, y, z in STEPS:
+                if i + z < len(word):
+                    key = word[i], word[i + x], word[i + y], word[i + z]
+                    own[key] = own.get(key, 0.0) + DECAY ** (z - 3)
+        size = math.sqrt(sum(v * v for v in own.values())) or 1.0
+        near = [0.0] * len(taken)
+        for key, v in own.items():
+            for k, w in postings.get(key, ()):
+                near[k] += v * w / size
+        if own and max(near, default=0.0) < alike:
+            for key, v in own.items():
+                postings.setdefault(key, []).append((len(taken), v / size))
+            taken.append(word)
+            if len(taken) == most:
+                break
+    return taken
 
 
 def units(words) -> set[str]:
