@@ -280,23 +280,26 @@ def crc(word: str) -> int:
     return zlib.crc32(word.encode("utf-8", "surrogatepass"))
 
 
-def fit(telling: list[str], plain: list[str], bad: list[list[str]], good: list[list[str]]) -> tuple[Index, np.ndarray, float] | None:
-    """Index, folded table and bias from the units that stand out, others, and the sentences (words) of both classes."""
-    if not telling or not plain:
+def fit(telling: list[str], plain: list[str], bad: list[str], good: list[str]) -> tuple[Index, np.ndarray, float] | None:
+    """Index, folded table and bias from the units that stand out, others, and the sentences (words with blanks between) of both classes."""
+    if not (telling and plain and bad and good):
         return None
     index = Index(list(dict.fromkeys(spread(telling, LANDMARKS // 2) + spread(plain, LANDMARKS // 2))))
     lam, vec = np.linalg.eigh(index.z @ index.z.T)
     keep = lam > 1e-6
     root = vec[:, keep] / np.sqrt(lam[keep])
     rank = {u: i for i, u in enumerate(telling)}
-    words = list(dict.fromkeys(w for s in (*bad, *good) for w in s))
-    at = {w: i for i, w in enumerate(words)}
+    at: dict[str, int] = {}
+    numbered = lambda s: np.array([at.setdefault(w, len(at)) for w in s.split(" ")], np.int32)
+    bags, held = [numbered(s) for s in bad], [np.unique(numbered(s)) for s in good]
+    words = list(at)
+    del at
     best = np.array([min((rank[u] for u in units([w]) if u in rank), default=len(rank)) for w in words])
     value = np.where(best < len(rank), 1.0 + 1.0 / (1 + best), -1.0)  # before there is a machine: the order in which units stand out
-    clean, often = np.unique([at[w] for s in good for w in set(s)], return_counts=True)
+    clean, often = np.unique(np.concatenate(held), return_counts=True)
+    del held
     count = np.zeros(len(words))
     count[clean] = often
-    bags = [np.array([at[w] for w in s]) for s in bad]
     some = np.array(sorted(clean.tolist(), key=lambda i: crc(words[i])), np.int64)[:OTHERS]
     table, bias = None, 0.0
     for _ in range(ROUNDS):
@@ -316,7 +319,7 @@ def fit(telling: list[str], plain: list[str], bad: list[list[str]], good: list[l
         u, bias = hinge(x, y, weight)
         table = np.zeros(index.size, np.float32)
         table[index.places] = index.z.T @ (root @ u)
-        value = margins(index, table, bias, words)
+        value = np.concatenate([margins(index, table, bias, words[k : k + 20_000]) for k in range(0, len(words), 20_000)])
     return (index, table, float(bias)) if table is not None else None
 
 
@@ -478,7 +481,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED, most_se
     telling, plain = standing(counts, n)
     common.dropped(counts)
     found = rows.mapInPandas(cut, "toxic int, string string").groupBy("string").agg(F.min("toxic").alias("toxic"))  # what a clean document holds is clean
-    sample = [[r["string"].split(" ") for r in found.where(F.col("toxic") == c).orderBy(F.xxhash64("string"), "string").limit(most_sentences).collect()] for c in (1, 0)]
+    sample = [[r["string"] for r in found.where(F.col("toxic") == c).orderBy(F.xxhash64("string"), "string").limit(most_sentences).collect()] for c in (1, 0)]
     fitted = fit(telling, plain, *sample)
     if fitted is not None:
         model |= dict(zip(("index", "table", "bias"), fitted))
