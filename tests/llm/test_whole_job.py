@@ -4,7 +4,7 @@ import random
 import string
 from itertools import combinations
 
-from cellstream.llm import neardup, pages, quality
+from cellstream.llm import common, neardup, pages, quality
 from tests.conftest import SMALL
 
 LOWER = str.maketrans(string.ascii_uppercase, string.ascii_lowercase)
@@ -104,3 +104,15 @@ def test_stretches_equal_brute_force(spark, monkeypatch):
     want = {(h, int(pages.grams(list(g), words).view("int64")[0])) for (h, g), p in seen.items() if len(p) > 1}
     got = pages.stretches(spark.createDataFrame(rows, "host string, page_id long, texts array<string>")).collect()
     assert {(r["host"], r["gram"]) for r in got} == want and len(got) == len(want)
+
+
+def test_heavy_keys_are_parted_without_an_outer_join(spark):
+    """A key with nine tenths of the rows is met by a broadcast; no join gives all rows back only to part them."""
+    rows = spark.createDataFrame([(i, 7 if i % 10 else i, "x") for i in range(2000)] + [(-1, None, "x")], "row_id long, key long, word string")
+    keys = spark.createDataFrame([(7, "x", 1800), (20, "x", 1), (30, "y", 1), (None, "x", 5)], "key long, word string, n long")
+    for on in (["key"], ["key", "word"]):
+        got = common.matched(rows, keys if len(on) > 1 else keys.drop("word"), on, "n > 1000")
+        want = sorted((i, 7, 1800) for i in range(2000) if i % 10) + [(20, 20, 1)] + ([(30, 30, 1)] if len(on) == 1 else [])
+        assert sorted((r["row_id"], r["key"], r["n"]) for r in got.collect()) == sorted(want)
+        plan = got._jdf.queryExecution().executedPlan().toString()
+        assert "LeftOuter" not in plan and "BroadcastHashJoin" in plan
