@@ -7,11 +7,11 @@ in the last class, the second factor is (c + 1) / (n + v + 1) with the class's o
 probabilities of all words, and one unseen word, sum to 1.
 
 Training: truncated backpropagation through SPAN steps, states carried from one span to the next, Adam. It is data-parallel:
-in each of ROUNDS rounds the round's documents are dealt by hash to shards of about SHARD bytes, as many as they need; each
+in each of ROUNDS rounds its part of the documents is dealt by hash to shards of about SHARD bytes, as many as they need; each
 shard trains a copy of the network on its documents, in the order of their hashes, and the copies are averaged, weighted by
 their tokens, in a tree of FAN copies a task. So the result follows the documents alone, not how the table is cut into
-files or partitions; the driver gets one network. Of the training documents, those whose hash modulo SHARE is the round's
-number give gradients, once (a fixed share at every size); output biases start from the counts of all of them.
+files or partitions; the driver gets one network. Every training document gives gradients, once: in the round that its hash
+modulo ROUNDS names. Output biases start from the counts of all of them.
 
 Scoring: documents run in LANES side by side, a lane taking the next one when it is done; the state is set
 to zero at a document's start and carried across windows until its end, so that whole documents are scored.
@@ -35,8 +35,8 @@ from . import common
 
 VOCABULARY, CLASS, HEAD = 2048, 64, 300_000
 EMBEDDED, STATE = 16, 24
-SPAN, TRAIN_LANES, LANES, RATE = 20, 32, 256, 0.006
-ROUNDS, SHARE, SHARD, FAN = 2, 8, 4_000_000, 32
+SPAN, TRAIN_LANES, LANES, RATE = 20, 128, 256, 0.006
+ROUNDS, SHARD, FAN = 2, 16_000_000, 32
 #: Tasks that shards are dealt to at most.
 TASKS = 10_000
 #: Bytes of text that are scored at once, about.
@@ -159,12 +159,13 @@ class Network:
         return out, back
 
 
-def lanes(docs: list, n: int, end: int):
+def lanes(docs: list, n: int, end: int, spare: int = 4):
     """Documents (id arrays) dealt to n lanes: inputs, targets, keep (0 at a start) and document of each step."""
     import numpy as np
 
-    # No lane is much longer than the others, unless one document is; then there are fewer.
-    n = max(1, min(n, len(docs), 4 * sum(map(len, docs)) // max(1, max(map(len, docs)))))
+    # No lane is much longer than the others, unless one document is; then there are fewer (spare 1: about as many as
+    # are full until the longest document ends).
+    n = max(1, min(n, len(docs), -(-spare * sum(map(len, docs)) // max(1, max(map(len, docs))))))
     order = sorted(range(len(docs)), key=lambda i: -len(docs[i]))
     length, dealt = [(0, k) for k in range(n)], [[] for _ in range(n)]
     import heapq
@@ -195,12 +196,14 @@ def fit_copy(net: Network, docs: list, end: int) -> int:
 
     m, v, step, seen = np.zeros_like(net.flat), np.zeros_like(net.flat), 0, 0
     s = STATE
-    inputs, targets, keep, owner = lanes(docs, TRAIN_LANES, end)
+    inputs, targets, keep, owner = lanes(docs, TRAIN_LANES, end, 1)
     h = np.zeros((inputs.shape[1], s), np.float32)
     for a in range(0, len(inputs), SPAN):
         x, y, k, live = inputs[a : a + SPAN], targets[a : a + SPAN], keep[a : a + SPAN], owner[a : a + SPAN] >= 0
-        if not live.any():
-            break
+        on = live.any(0)
+        if not on.all():  # lanes that have ended
+            inputs, targets, keep, owner, h = inputs[:, on], targets[:, on], keep[:, on], owner[:, on], h[on]
+            x, y, k, live = x[:, on], y[:, on], k[:, on], live[:, on]
         grads, tape = Network(net.size), []
         states = np.zeros((*x.shape, s), np.float32)
         used, x = np.unique(x, return_inverse=True)  # only rows of words in the span move
@@ -325,8 +328,8 @@ def trained(docs: DataFrame, net: Network, ids: dict) -> Network:
     import numpy as np
 
     sc = docs.sparkSession.sparkContext
-    turn = F.pmod(F.xxhash64("doc_id"), F.lit(SHARE))
-    size_of = {r["turn"]: r["size"] for r in docs.groupBy(turn.alias("turn")).agg(F.sum(F.octet_length(F.coalesce("text", F.lit("")))).alias("size")).collect()}  # SHARE rows
+    turn = F.pmod(F.xxhash64("doc_id"), F.lit(ROUNDS))
+    size_of = {r["turn"]: r["size"] for r in docs.groupBy(turn.alias("turn")).agg(F.sum(F.octet_length(F.coalesce("text", F.lit("")))).alias("size")).collect()}  # ROUNDS rows
     for k in range(ROUNDS):
         shards = max(1, -(-size_of.get(k, 0) // SHARD))
         shared = sc.broadcast((net.size, net.flat.copy(), ids))  # of a fixed size: VOCABULARY words

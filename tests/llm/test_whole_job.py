@@ -4,7 +4,7 @@ import random
 import string
 from itertools import combinations
 
-from cellstream.llm import common, neardup, pages, quality
+from cellstream.llm import common, language_model, neardup, pages, quality
 from tests.conftest import SMALL
 
 LOWER = str.maketrans(string.ascii_uppercase, string.ascii_lowercase)
@@ -116,3 +116,19 @@ def test_heavy_keys_are_parted_without_an_outer_join(spark):
         assert sorted((r["row_id"], r["key"], r["n"]) for r in got.collect()) == sorted(want)
         plan = got._jdf.queryExecution().executedPlan().toString()
         assert "LeftOuter" not in plan and "BroadcastHashJoin" in plan
+
+
+def test_every_training_document_gives_gradients(spark, monkeypatch):
+    """The tokens that the copies were trained on, over all rounds, are those of all training documents."""
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text")
+    seen, averaged = [], language_model.averaged
+
+    def kept(copies, shards):
+        got = averaged(copies, shards)
+        seen.append(got[0] if got else 0)
+        return got
+
+    monkeypatch.setattr(language_model, "averaged", kept)
+    monkeypatch.setattr(language_model, "SHARD", 100_000)
+    language_model.trained(docs, language_model.Network.initial([5, 3], 9), {b"\n": 0, b"the": 1})
+    assert sum(seen) == sum(len(language_model.word_list(r["text"])) for r in docs.collect())
