@@ -26,3 +26,7 @@ def differ(spark, part, name):
 
 def test_khatri_rao_pair(spark, part):
     assert differ(spark, part, "khatri_rao_pair")
+
+
+def test_khatri_rao_chain(spark, part):
+    assert differ(spark, part, "khatri_rao_chain")
