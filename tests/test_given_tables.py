@@ -30,3 +30,7 @@ def test_khatri_rao_pair(spark, part):
 
 def test_khatri_rao_chain(spark, part):
     assert differ(spark, part, "khatri_rao_chain")
+
+
+def test_column_norms(spark, part):
+    assert differ(spark, part, "column_norms")
