@@ -34,3 +34,7 @@ def test_khatri_rao_chain(spark, part):
 
 def test_column_norms(spark, part):
     assert differ(spark, part, "column_norms")
+
+
+def test_normalize_columns(spark, part):
+    assert differ(spark, part, "normalize_columns")
