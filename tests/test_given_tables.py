@@ -38,3 +38,7 @@ def test_column_norms(spark, part):
 
 def test_normalize_columns(spark, part):
     assert differ(spark, part, "normalize_columns")
+
+
+def test_predict_time(spark, part):
+    assert differ(spark, part, "predict_time")
