@@ -42,3 +42,7 @@ def test_normalize_columns(spark, part):
 
 def test_predict_time(spark, part):
     assert differ(spark, part, "predict_time")
+
+
+def test_factor_nre(spark, part):
+    assert differ(spark, part, "factor_nre")
