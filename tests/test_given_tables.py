@@ -46,3 +46,7 @@ def test_predict_time(spark, part):
 
 def test_factor_nre(spark, part):
     assert differ(spark, part, "factor_nre")
+
+
+def test_corruption_levels(spark, part):
+    assert differ(spark, part, "corruption_levels")
