@@ -50,3 +50,7 @@ def test_factor_nre(spark, part):
 
 def test_corruption_levels(spark, part):
     assert differ(spark, part, "corruption_levels")
+
+
+def test_capability_table_is_no_query():
+    assert "capability_matrix" not in contract.queries() and "capability_matrix" not in contract.oracle_sql()
