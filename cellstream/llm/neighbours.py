@@ -54,6 +54,7 @@ def search_block(ids, x, query_ids, q, top: float, k: int):
     scale = np.linalg.norm(q, axis=1) * top
     lows = [np.stack([np.searchsorted(values[j], pq[:, j] - r, "left") for j in range(PROJECTIONS)], 1) for r in RADII]
     highs = [np.stack([np.searchsorted(values[j], pq[:, j] + r, "right") for j in range(PROJECTIONS)], 1) for r in RADII]
+    room = np.empty(PROJECTIONS * n, np.intp)  # what the windows of a query cover
     out, verified = ([], [], []), 0
     for i in range(len(q)):
         own = ids == query_ids[i]
@@ -65,13 +66,11 @@ def search_block(ids, x, query_ids, q, top: float, k: int):
         l, h = lows[0][i].tolist(), highs[0][i].tolist()
         while wanted:
             # Only what a wider window newly covers is counted, at both ends of each sorted array.
-            for j in range(PROJECTIONS):
-                o = order[j]
-                if l0 is None:
-                    count[o[l[j] : h[j]]] += 1
-                else:
-                    count[o[l[j] : l0[j]]] += 1
-                    count[o[h0[j] : h[j]]] += 1
+            if l0 is None:
+                pieces = [o[a:b] for o, a, b in zip(order, l, h)]
+            else:
+                pieces = [p for o, a, b, c, d in zip(order, l, l0, h0, h) for p in (o[a:b], o[c:d])]
+            count += np.bincount(np.concatenate(pieces, out=room[: sum(map(len, pieces))]), minlength=n).astype(np.uint8)
             l0, h0 = l, h
             last = r == RADII[-1]
             fresh = np.flatnonzero((count >= THRESHOLD) & ~tried)
@@ -80,7 +79,7 @@ def search_block(ids, x, query_ids, q, top: float, k: int):
             if len(fresh):
                 verified += len(fresh)
                 tried[fresh] = True
-                found, score = np.r_[found, fresh], np.r_[score, x[fresh] @ q[i]]
+                found, score = np.r_[found, fresh], np.r_[score, np.take(x, fresh, 0) @ q[i]]
                 if len(found) > 4 * k:
                     low = np.partition(score, -k)[-k]
                     found, score = found[score >= low], score[score >= low]

@@ -4,7 +4,7 @@ import random
 import string
 from itertools import combinations
 
-from cellstream.llm import common, language_model, neardup, pages, quality
+from cellstream.llm import common, language_model, neardup, neighbours, pages, quality
 from tests.conftest import SMALL
 
 LOWER = str.maketrans(string.ascii_uppercase, string.ascii_lowercase)
@@ -132,3 +132,23 @@ def test_every_training_document_gives_gradients(spark, monkeypatch):
     monkeypatch.setattr(language_model, "SHARD", 100_000)
     language_model.trained(docs, language_model.Network.initial([5, 3], 9), {b"\n": 0, b"the": 1})
     assert sum(seen) == sum(len(language_model.word_list(r["text"])) for r in docs.collect())
+
+
+def test_verified_vectors_are_those_that_collide_often(monkeypatch):
+    """At the one radius left, a vector is verified where it lies in THRESHOLD windows: as a plain count of all values says."""
+    import numpy as np
+
+    monkeypatch.setattr(neighbours, "RADII", (1.1, 3.0))
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((3000, 16))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    ids = np.arange(3000)
+    axes = np.random.default_rng(20).standard_normal((17, neighbours.PROJECTIONS))
+    px = np.c_[x, np.sqrt(1 - np.minimum((x * x).sum(1), 1))] @ axes
+    for i in range(5):
+        near = np.abs(px - x[i] @ axes[:16]) <= 1.1
+        often = np.flatnonzero((near.sum(1) >= neighbours.THRESHOLD) & (ids != i))
+        score = np.sort(x[often] @ x[i])[::-1]
+        assert len(often) > 5 and 2 - 2 * score[4] < 1.1**2  # so that no wider window is opened
+        (_, found, s), verified = neighbours.search_block(ids, x, ids[i : i + 1], x[i : i + 1], 1.0, 5)
+        assert verified == len(often) and np.allclose(s, score[:5])
