@@ -1,6 +1,7 @@
 """Cases in which an operator once did less than its whole job."""
 
 import random
+from collections import Counter
 import string
 from itertools import combinations
 
@@ -106,6 +107,49 @@ def test_stretches_equal_brute_force(spark, monkeypatch):
     assert {(r["host"], r["gram"]) for r in got} == want and len(got) == len(want)
 
 
+def test_suffix_array_judges_blocks_of_articles(spark):
+    """A plain notice in over half of a host's articles goes; copied articles, shared passages and headings stay."""
+    rng = random.Random(5)
+    text = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(6)) for _ in range(n))
+    notice, passage, base = text(9), text(30), [text(40) for _ in range(4)]
+    rows, want = [], {}
+
+    def add(host, kept, inside=()):
+        rows.append((len(rows), f"http://{host}/{len(rows)}", "<body><nav>Menu</nav><article>" + "".join(f"<p>{t}" for t in [*kept, *inside]) + "</article>"))
+        want[rows[-1][0]] = "\n".join(kept)
+
+    for i in range(20):
+        add("notice.org", ["In short", text(30), text(20)], [notice] * (i % 5 > 0))
+        add("passage.org", [text(30), *[passage] * (i % 5 < 2)])
+        add("copies.org", [*base[:3], f"{base[3]} edition {i}"])
+        add("same.org", [base[0], notice])
+    for i in range(6):
+        add("few.org", [text(10), notice])
+    made = spark.createDataFrame(rows, "page_id long, url string, html string")
+    assert {r["page_id"]: r["text"] for r in pages.extract(made.repartition(5)).collect()} == want
+
+
+def test_notices_equal_brute_force(spark, monkeypatch):
+    """Stretches of over half of a host's distinct articles, over hosts of one and of several parts, as a plain count finds them."""
+    monkeypatch.setattr(pages, "PART", 128)
+    rng = random.Random(6)
+    often = [" ".join(f"w{k}n{i}" for i in range(8)) for k in range(4)]
+    rows, held = [], {}
+    for i in range(900):
+        host = "big" if i < 600 else f"h{i % 9}"
+        texts = [f"a{rng.randint(0, 500)} b c d e f g", *[t for k, t in enumerate(often) if rng.random() < (0.35, 0.6, 0.8, 0.95)[k]]]
+        for _ in range(1 + (i % 7 == 0)):
+            rows.append((i, f"http://{host}/{i}", "<article>" + "".join(f"<p>{t}" for t in texts) + "</article>"))
+        held.setdefault(host, set()).add(tuple(texts))
+    words, want = pages.common.WordHash(), set()
+    for host, articles in held.items():
+        n = Counter(g for a in articles for g in {tuple(t.split()[k : k + pages.GRAM]) for t in a for k in range(len(t.split()) - pages.GRAM + 1)})
+        want |= {(host, int(pages.common.windows(pages.short_hashes(" ".join(g), words), pages.GRAM).view("int64")[0])) for g, c in n.items() if 2 * c > len(articles) + pages.PRIOR}
+    made = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    got = pages.notices(pages.common.staged(pages.parsed(pages.common.numbered(made)), "pages")).collect()
+    assert {(r["host"], g) for r in got for g in r["heavy"]} == want and sum(len(r["heavy"]) for r in got) == len(want) > 30
+
+
 def test_heavy_keys_are_parted_without_an_outer_join(spark):
     """A key with nine tenths of the rows is met by a broadcast; no join gives all rows back only to part them."""
     rows = spark.createDataFrame([(i, 7 if i % 10 else i, "x") for i in range(2000)] + [(-1, None, "x")], "row_id long, key long, word string")
