@@ -95,68 +95,115 @@ class Network:
         net.bo[:] = np.log(c)
         return net
 
-    def steps(self, table, h, inputs, keep, out, tape=None):
-        """Runs len(inputs) steps from state h; states after each step go to out."""
+    def gates(self, rows=slice(None)):
+        """What a word adds to each gate, (3, words, STATE), and the state's weights, (3, STATE, STATE). The first two
+        gates' are halved: their sigmoid is taken as (1 + tanh(x / 2)) / 2."""
         import numpy as np
 
         s = STATE
+        table = np.stack([self.embed[rows] @ self.wx[:, k * s : (k + 1) * s] + self.b[k * s : (k + 1) * s] for k in range(3)])
+        wh = np.stack([self.wh[:, k * s : (k + 1) * s] for k in range(3)])
+        table[:2] *= np.float32(0.5)
+        wh[:2] *= np.float32(0.5)
+        return table, wh
+
+    def steps(self, gates, h, inputs, keep, out, tape=None):
+        """Runs len(inputs) steps from state h; states after each step go to out. tape: arrays (steps, lanes, STATE) for the
+        states before and the candidates, (steps, 2, lanes, STATE) for the gates, (steps, 3, lanes, STATE) for the state's parts."""
+        import numpy as np
+
+        table, wh = gates
+        n_words, lanes = table.shape[1], inputs.shape[1]
+        table = table.reshape(-1, STATE)
+        places = inputs[:, None, :] + (np.arange(3) * n_words)[None, :, None]
+        ends = (keep == 0).any(1)
+        g, u, free = (np.empty((3, lanes, STATE), np.float32) for _ in range(3))
+        zr, n, half = free[:2], free[2], np.float32(0.5)
         for t in range(len(inputs)):
-            if keep is not None:
+            if ends[t]:
                 h = h * keep[t][:, None]
-            g, u = table[inputs[t]], h @ self.wh
-            zr = np.tanh((g[:, : 2 * s] + u[:, : 2 * s]) * np.float32(0.5)) * np.float32(0.5) + np.float32(0.5)
-            z, r = zr[:, :s], zr[:, s:]
-            n = np.tanh(g[:, 2 * s :] + r * u[:, 2 * s :])
             if tape is not None:
-                tape.append((h, z, r, n, u[:, 2 * s :]))
-            h = n + z * (h - n)
-            out[t] = h
+                tape[0][t], zr, n, u = h, tape[1][t], tape[2][t], tape[3][t]
+            np.take(table, places[t], axis=0, out=g, mode="clip")
+            np.matmul(h, wh, out=u)
+            np.add(g[:2], u[:2], out=zr)
+            np.tanh(zr, out=zr)
+            zr *= half
+            zr += half
+            np.multiply(u[2], zr[1], out=n)
+            n += g[2]
+            np.tanh(n, out=n)
+            o = out[t]
+            np.subtract(h, n, out=o)
+            o *= zr[0]
+            o += n
+            h = o
         return h
 
-    def table(self):
-        return self.embed @ self.wx + self.b
-
     def output(self, states, targets, grads: Network | None = None):
         """Natural log probabilities of targets (ids; `size` is the class of other words); with grads, also
         adds the gradient of their negative sum and returns that of the states."""
         import numpy as np
 
-        kind = np.minimum(targets // CLASS, self.classes - 1)
-        kind[targets >= self.size] = self.classes - 1
-        rows = np.arange(len(targets))
-        logit = states @ self.wc + self.bc
-        logit -= logit.max(1, keepdims=True)
-        p = np.exp(logit)
-        total = p.sum(1)
-        out = logit[rows, kind] - np.log(total)
+        s, c, m = STATE, self.classes, len(targets)
+        kind = np.minimum(targets // CLASS, c - 1).astype(np.int16)
+        kind[targets >= self.size] = c - 1
+        # Rows lie by class, with a 1 beside each state for the biases; a class's words are a slice then.
+        order = np.argsort(kind, kind="stable")
+        edges = [0, *np.cumsum(np.bincount(kind, minlength=c)).tolist()]
+        kind, rows = kind[order], np.arange(m)
+        st = np.empty((m, s + 1), np.float32)
+        st[:, :s], st[:, s] = states[order], 1
+        p = np.vstack([self.wc, self.bc]).T @ st.T  # a row for each class
+        found = p[kind, rows]
+        if not (p.max(initial=0) < 80 and found.min(initial=0) > -80):  # else exp neither overflows nor loses the target
+            p -= p.max(0)
+            found = p[kind, rows]
+        np.exp(p, out=p)
+        total = p.sum(0)
+        found -= np.log(total)
         back = None
         if grads is not None:
-            p /= total[:, None]
-            p[rows, kind] -= 1
-            grads.wc += states.T @ p
-            grads.bc += p.sum(0)
-            back = p @ self.wc.T
-        order = np.argsort(kind, kind="stable")
-        edges = np.searchsorted(kind[order], np.arange(self.classes))
-        for k in range(self.classes - 1):
-            own = order[edges[k] : edges[k + 1]]
-            if not len(own):
-                continue
+            p /= total
+            p[kind, rows] -= 1
+            g = p @ st
+            grads.wc += g[:, :s].T
+            grads.bc += g[:, s]
+            back = p.T @ self.wc.T
+        words = np.zeros(((c - 1) * CLASS, s + 1), np.float32)
+        words[: self.size, :s], words[: self.size, s], words[self.size :, s] = self.wo, self.bo, -1e30
+        words = words.reshape(c - 1, CLASS, s + 1)
+        m = edges[c - 1]
+        p, rows, at = np.empty((m, CLASS), np.float32), rows[:m], targets[order[:m]] - kind[:m].astype(np.int64) * CLASS
+        own = [(k, a, b) for k, (a, b) in enumerate(zip(edges[: c - 1], edges[1:c])) if a < b]
+        for k, a, b in own:
+            np.matmul(st[a:b], words[k].T, out=p[a:b])
+        picked = p[rows, at]
+        if not (p.max(initial=0) < 80 and picked.min(initial=0) > -80):
+            p -= p.max(1, keepdims=True)
+            picked = p[rows, at]
+        np.exp(p, out=p)
+        total = p @ np.ones(CLASS, np.float32)
+        found[:m] += picked - np.log(total)
+        out = np.empty_like(found)
+        out[order] = found
+        if grads is None:
+            return out, None
+        # p - 1 at the targets, times the totals, which the states and what goes back are divided by instead.
+        p[rows, at] -= total
+        total = (1 / total)[:, None]
+        scaled, more = st[:m] * total, np.empty((m, s), np.float32)
+        for k, a, b in own:
             lo, hi = k * CLASS, min(self.size, (k + 1) * CLASS)
-            st = states[own]
-            logit = st @ self.wo[lo:hi].T + self.bo[lo:hi]
-            logit -= logit.max(1, keepdims=True)
-            p = np.exp(logit)
-            total = p.sum(1)
-            at = targets[own] - lo
-            out[own] += logit[np.arange(len(own)), at] - np.log(total)
-            if grads is not None:
-                p /= total[:, None]
-                p[np.arange(len(own)), at] -= 1
-                grads.wo[lo:hi] += p.T @ st
-                grads.bo[lo:hi] += p.sum(0)
-                back[own] += p @ self.wo[lo:hi]
-        return out, back
+            g = p[a:b].T @ scaled[a:b]
+            grads.wo[lo:hi] += g[: hi - lo, :s]
+            grads.bo[lo:hi] += g[: hi - lo, s]
+            np.matmul(p[a:b], words[k, :, :s], out=more[a:b])
+        more *= total
+        back[:m] += more
+        turned = np.empty_like(back)
+        turned[order] = back
+        return out, turned
 
 
 def lanes(docs: list, n: int, end: int, spare: int = 4):
@@ -197,50 +244,62 @@ def fit_copy(net: Network, docs: list, end: int) -> int:
     m, v, step, seen = np.zeros_like(net.flat), np.zeros_like(net.flat), 0, 0
     s = STATE
     inputs, targets, keep, owner = lanes(docs, TRAIN_LANES, end, 1)
-    h = np.zeros((inputs.shape[1], s), np.float32)
+    h, place = np.zeros((inputs.shape[1], s), np.float32), np.zeros(net.size + 1, np.int64)
     for a in range(0, len(inputs), SPAN):
         x, y, k, live = inputs[a : a + SPAN], targets[a : a + SPAN], keep[a : a + SPAN], owner[a : a + SPAN] >= 0
         on = live.any(0)
         if not on.all():  # lanes that have ended
             inputs, targets, keep, owner, h = inputs[:, on], targets[:, on], keep[:, on], owner[:, on], h[on]
             x, y, k, live = x[:, on], y[:, on], k[:, on], live[:, on]
-        grads, tape = Network(net.size), []
-        states = np.zeros((*x.shape, s), np.float32)
-        used, x = np.unique(x, return_inverse=True)  # only rows of words in the span move
-        x = x.reshape(y.shape)
-        embed = net.embed[used]
-        h = net.steps(embed @ net.wx + net.b, h, x, k, states, tape)
+        grads = Network(net.size)
+        tape = [np.empty((len(x), q, x.shape[1], s), np.float32) for q in (1, 2, 1, 3)]
+        tape[0], tape[2] = tape[0][:, 0], tape[2][:, 0]
+        states = np.empty((*x.shape, s), np.float32)
+        used = np.flatnonzero(np.bincount(x.ravel(), minlength=net.size + 1))  # only rows of words in the span move
+        place[used] = np.arange(len(used))
+        x = place[x]
+        gates = net.gates(used)
+        h = net.steps(gates, h, x, k, states, tape).copy()
         on = np.flatnonzero(live.ravel())
         _, got = net.output(states.reshape(-1, s)[on], y.ravel()[on], grads)
         back = np.zeros((x.size, s), np.float32)
         back[on] = got
         back = back.reshape(*x.shape, s)
-        hp, z, r, n, un = (np.stack(q) for q in zip(*tape))
+        hp, zr, n, un = tape
+        z, r, un = zr[:, 0], zr[:, 1], un[:, 2]
         to_n, to_z, to_r = (1 - z) * (1 - n * n), (hp - n) * z * (1 - z), un * r * (1 - r)
-        dh = np.zeros_like(h)
-        dg, du = np.empty((*x.shape, 3 * s), np.float32), np.empty((*x.shape, 3 * s), np.float32)
-        turned = net.wh.T.copy()
+        # d: of the state's parts of the three gates, and last of the candidates' sum, in which r does not stand before a word's part.
+        dh, d = np.zeros_like(h), np.empty((4, *x.shape, s), np.float32)
+        turned, ends = [np.ascontiguousarray(net.wh[:, q * s : (q + 1) * s].T) for q in range(3)], (k == 0).any(1)
         for t in range(len(x) - 1, -1, -1):
             dh += back[t]
-            dn = dh * to_n[t]
-            g = dg[t]
-            np.multiply(dh, to_z[t], out=g[:, :s])
-            np.multiply(dn, to_r[t], out=g[:, s : 2 * s])
-            g[:, 2 * s :] = dn
-            u = du[t]
-            u[:, : 2 * s] = g[:, : 2 * s]
-            np.multiply(dn, r[t], out=u[:, 2 * s :])
+            dz, dr, du, dn = d[:, t]
+            np.multiply(dh, to_n[t], out=dn)
+            np.multiply(dh, to_z[t], out=dz)
+            np.multiply(dn, to_r[t], out=dr)
+            np.multiply(dn, r[t], out=du)
             dh *= z[t]
-            dh += u @ turned
-            dh *= k[t][:, None]
-        flat = dg.reshape(-1, 3 * s)
-        order = np.argsort(x.ravel(), kind="stable")
-        starts = np.searchsorted(x.ravel()[order], np.arange(len(used)))
-        dtable = np.add.reduceat(flat[order], starts, axis=0)
-        grads.wh += hp.reshape(-1, s).T @ du.reshape(-1, 3 * s)
-        grads.embed[used] += dtable @ net.wx.T
-        grads.wx += embed.T @ dtable
-        grads.b += flat.sum(0)
+            dh += dz @ turned[0]
+            dh += dr @ turned[1]
+            dh += du @ turned[2]
+            if ends[t]:
+                dh *= k[t][:, None]
+        x = x.ravel()
+        d = np.concatenate([q.reshape(-1, s) for q in d], axis=1)
+        # One product gives the gradients of all weights that d is multiplied with.
+        left = np.empty((len(x), s + EMBEDDED + 1), np.float32)
+        left[:, :s], left[:, s:-1], left[:, -1] = hp.reshape(-1, s), net.embed[used][x], 1
+        g = left.T @ d
+        grads.wh += g[:s, : 3 * s]
+        grads.wx[:, : 2 * s] += g[s:-1, : 2 * s]
+        grads.wx[:, 2 * s :] += g[s:-1, 3 * s :]
+        grads.b[: 2 * s] += g[-1, : 2 * s]
+        grads.b[2 * s :] += g[-1, 3 * s :]
+        order = np.argsort(x.astype(np.int16), kind="stable")
+        starts = np.r_[0, np.cumsum(np.bincount(x, minlength=len(used)))[:-1]]
+        wx = np.zeros((4 * s, EMBEDDED), np.float32)
+        wx[: 2 * s], wx[3 * s :] = net.wx[:, : 2 * s].T, net.wx[:, 2 * s :].T
+        grads.embed[used] += np.add.reduceat((d @ wx)[order], starts, axis=0)
         g = grads.flat / max(1, len(on))
         norm = float(np.sqrt(g @ g))
         if norm > 1:
@@ -269,7 +328,7 @@ def log_probabilities(net: Network, docs: list, end: int):
     if not docs:
         return out
     inputs, targets, keep, owner = lanes(docs, LANES, end)
-    table, h = net.table(), np.zeros((inputs.shape[1], STATE), np.float32)
+    gates, h = net.gates(), np.zeros((inputs.shape[1], STATE), np.float32)
     a = 0
     while a < len(inputs):
         # Lanes end at different steps; the rest goes on with those that have a document still.
@@ -278,7 +337,7 @@ def log_probabilities(net: Network, docs: list, end: int):
             inputs, targets, keep, owner, h = inputs[:, live], targets[:, live], keep[:, live], owner[:, live], h[live]
         x = inputs[a : a + 64]
         states = np.empty((*x.shape, STATE), np.float32)
-        h = net.steps(table, h, x, keep[a : a + 64], states)
+        h = net.steps(gates, h, x, keep[a : a + 64], states)
         on = np.flatnonzero(owner[a : a + 64].ravel() >= 0)
         got, _ = net.output(states.reshape(-1, STATE)[on], targets[a : a + 64].ravel()[on])
         out += np.bincount(owner[a : a + 64].ravel()[on], got, minlength=len(docs))
@@ -310,12 +369,15 @@ def averaged(copies: DataFrame, shards: int) -> tuple[int, object] | None:
 def trainer(shared):
     """A function that trains a copy of the shared network on one shard."""
     def run(pdf):
+        from itertools import repeat
+
         import numpy as np
         import pandas as pd
 
         size, flat, ids = shared.value
         pdf = pdf.sort_values(["h", "doc_id", "text"])
-        texts = [np.array([ids.get(w, size) for w in word_list(t)], np.int32) for t in pdf["text"]]
+        find = ids.get
+        texts = [np.fromiter(map(find, w, repeat(size)), np.int32, len(w)) for w in map(word_list, pdf["text"])]
         own = Network(size, flat.copy())
         n = fit_copy(own, texts, ids[b"\n"])
         return pd.DataFrame({"shard": [int(pdf["shard"].iloc[0])], "n": [n], "flat": [own.flat * np.float64(n)]})

@@ -178,6 +178,50 @@ def test_every_training_document_gives_gradients(spark, monkeypatch):
     assert sum(seen) == sum(len(language_model.word_list(r["text"])) for r in docs.collect())
 
 
+def test_training_makes_few_array_calls():
+    """A span's cost is bounded in calls, with a whole vocabulary too: most of them once a span, not once a class."""
+    import sys
+
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    net = language_model.Network.initial([9] * language_model.VOCABULARY, 9)
+    docs = [np.r_[rng.integers(1, language_model.VOCABULARY + 1, 99), 0].astype(np.int32) for _ in range(language_model.TRAIN_LANES)]
+    calls = [0]
+    sys.setprofile(lambda frame, event, arg: calls.__setitem__(0, calls[0] + (event in ("call", "c_call"))))
+    try:
+        seen = language_model.fit_copy(net, docs, 0)
+    finally:
+        sys.setprofile(None)
+    assert seen == sum(map(len, docs))
+    assert calls[0] * language_model.SPAN / 100 < 800  # 673; 1,085 when each class had its own
+
+
+def test_step_follows_the_gradient():
+    """The first step of Adam moves each weight against the sign of its gradient, as differences of the score give it."""
+    import numpy as np
+
+    rng = np.random.default_rng(4)
+    docs = [np.r_[rng.integers(1, 6, n), 0].astype(np.int32) for n in (6, 9, 13, 13)]
+    before = language_model.Network.initial([9, 8, 7, 6, 5], 3)
+    after = language_model.Network(before.size, before.flat.copy())
+    language_model.fit_copy(after, docs, 0)
+    for name in ("embed", "wx", "wh", "b", "wc", "bc", "wo", "bo"):
+        p, tried = getattr(before, name), 0
+        for _ in range(25):
+            at = tuple(rng.integers(0, k) for k in p.shape)
+            kept, e = p[at], np.float32(0.05)
+            p[at] = kept + e
+            up = language_model.log_probabilities(before, docs, 0).sum()
+            p[at] = kept - e
+            slope = (up - language_model.log_probabilities(before, docs, 0).sum()) / (2 * e)
+            p[at] = kept
+            if abs(slope) > 0.02:
+                assert np.sign(getattr(after, name)[at] - kept) == np.sign(slope), name
+                tried += 1
+        assert tried, name
+
+
 def test_verified_vectors_are_those_that_collide_often(monkeypatch):
     """At the one radius left, a vector is verified where it lies in THRESHOLD windows: as a plain count of all values says."""
     import numpy as np
