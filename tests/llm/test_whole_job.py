@@ -222,6 +222,66 @@ def test_step_follows_the_gradient():
         assert tried, name
 
 
+ODD_TEXTS = ["  A b\tc\n", None, "", " ", "x", "\x0b\x0cÀ É\x85z q\xa0  w\x1c\x1dk", "a\rb a", "a\n\na"]
+
+
+def test_words_in_arrow_are_those_of_word_list():
+    """Texts are split, lower-cased and numbered in bulk, as word_list does it one by one; a slice and long offsets too."""
+    import pyarrow as pa
+
+    for texts in (pa.array(ODD_TEXTS), pa.array(ODD_TEXTS).slice(1, 6), pa.array(ODD_TEXTS, pa.large_string()), pa.array(["", None], pa.string())):
+        want = [language_model.word_list(x.as_py()) for x in texts]
+        words, n = language_model.words_of(texts)
+        assert words.to_pylist() == [x for w in want for x in w[:-1]] and n.tolist() == [len(w) - 1 for w in want]
+        ids, starts = language_model.numbers_of(words, n, pa.array([b"a", b"b", b"\n"], pa.binary()), 9, 2)
+        assert ids.tolist() == [{b"a": 0, b"b": 1, b"\n": 2}.get(x, 9) for w in want for x in w]
+        assert starts.tolist() == [sum(map(len, want[:i])) for i in range(len(want))]
+
+
+def test_words_are_counted_before_they_are_rows(spark):
+    """A word that a slice of texts repeats leaves it as one row with its count, not as a row for each place."""
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(ODD_TEXTS)], "doc_id long, text string")
+    got = language_model.counted(docs)
+    want = {}
+    for t in ODD_TEXTS:
+        for w in language_model.word_list(t):
+            want[w] = want.get(w, 0) + 1
+    assert {bytes(r["word"]): r["c"] for r in got.collect()} == want
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "Generate" not in plan
+
+
+def test_a_shard_is_trained_on_without_word_lists(monkeypatch):
+    """A shard's network is that of fit_copy on its documents by hash, and no text becomes a list of Python's words."""
+    import numpy as np
+    import pyarrow as pa
+
+    ids = {b"\n": 0, b"a": 1, b"b": 2}
+    net = language_model.Network.initial([5, 3, 2], 4)
+    order = sorted(range(len(ODD_TEXTS)), key=lambda i: i * 5 % 8)
+    plain = language_model.Network(net.size, net.flat.copy())
+    docs = [np.array([ids.get(w, net.size) for w in language_model.word_list(ODD_TEXTS[i])], np.int32) for i in order]
+    seen = language_model.fit_copy(plain, docs, 0)
+
+    def never(text):
+        raise AssertionError("a text was split by itself")
+
+    monkeypatch.setattr(language_model, "word_list", never)
+    shared = type("Shared", (), {"value": (net.size, net.flat.copy(), ids)})
+    table = pa.table({"doc_id": range(8), "text": [t or "" for t in ODD_TEXTS], "h": [i * 5 % 8 for i in range(8)], "shard": [7] * 8})
+    got = language_model.trainer(shared)(table).to_pylist()
+    assert [(r["shard"], r["n"]) for r in got] == [(7, seen)] and seen == sum(map(len, docs))
+    assert np.allclose(np.array(got[0]["flat"]) / seen, plain.flat, atol=1e-6)
+
+
+def test_rare_words_meet_their_counts(spark, monkeypatch):
+    """Words beyond the head are counted in each text and joined; known words and the base score stay what they are."""
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id", "text").limit(60)
+    want = {r["doc_id"]: (r["n_tokens"], r["n_known"], round(r["base_score"], 6)) for r in language_model.query(docs).collect()}
+    monkeypatch.setattr(language_model, "HEAD", 50)
+    assert {r["doc_id"]: (r["n_tokens"], r["n_known"], round(r["base_score"], 6)) for r in language_model.query(docs).collect()} == want
+
+
 def test_verified_vectors_are_those_that_collide_often(monkeypatch):
     """At the one radius left, a vector is verified where it lies in THRESHOLD windows: as a plain count of all values says."""
     import numpy as np
